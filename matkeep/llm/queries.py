@@ -7,7 +7,7 @@ import re
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat_format, fertility_rules, hilbert_shards, quality_net, sentence_pieces, toxicity_fm, url_filter
+from . import chat_format, fertility_rules, hilbert_shards, quality_net, queries_text, sentence_pieces, toxicity_fm, url_filter
 from .shared import table
 
 
@@ -49,7 +49,7 @@ def op10_hilbert_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     f.__name__: f
     for f in (op1_sentencepiece, op4_chat_format, op6_toxicity, op7_quality, op8_fertility, op9_url_filter, op10_hilbert_shards)
-}
+} | queries_text.QUERIES
 
 
 def _glob_regex(glob: str) -> str:
@@ -112,4 +112,4 @@ SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text |
        CAST(sum(chars * uses) AS BIGINT) AS formatted_chars, CAST(max(span) + 1 AS BIGINT) AS n_windows
 FROM used GROUP BY conv_id"""
 
-ORACLE_SQL = {"op4_chat_format": CHAT_SQL, "op9_url_filter": _url_sql()}
+ORACLE_SQL = {"op4_chat_format": CHAT_SQL, "op9_url_filter": _url_sql()} | queries_text.ORACLE_SQL
