@@ -217,3 +217,17 @@ def score_documents(spark: SparkSession, docs: DataFrame, net: QualityNet) -> Da
 
     held = (fold(docs["doc_id"], FOLDS) == HELD_OUT).alias("held_out")
     return docs.select("doc_id", "text", held).mapInArrow(score, SCORES)
+
+
+def good_documents(spark: SparkSession, docs: DataFrame, net: QualityNet) -> DataFrame:
+    """The rows of ``docs``, all columns, whose score is 0.7 or more; a null or blank text is scored as no words."""
+    sent = spark.sparkContext.broadcast(net)
+    at = docs.columns.index("text")
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pooler = Pooler(sent.value.table)
+        for batch in batches:
+            x = np.array([pooler.pooled(t or "") for t in batch.column(at).to_pylist()]).reshape(-1, 4 * DIMS + 3)
+            yield batch.filter(pa.array(sent.value.probability(x) >= THRESHOLD))
+
+    return docs.mapInArrow(keep, docs.schema)
