@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from .lang import Rule, RuleError
 from .materialise import RoundLimit, materialise
 from .plans.firing import Bag, View, bag_affected, bag_union, columns_of, head_of, match_backward, meet, minus, together
-from .store import Materialisation, add_counts, settle, settle_all, settle_bag
+from .store import Growing, Materialisation, add_counts, settle, settle_all, settle_bag
 from .strata import Stratification
 
 STRATEGIES = ("odr", "odr_2c", "pbd", "pbd_1c", "counting", "remat", "remat_1c", "remat_2c")
@@ -72,8 +72,8 @@ class _Update:
     def __init__(self, mat: Materialisation, removed: dict, added: dict, strategy: str, options: Options):
         self.spark, self.mat, self.strat, self.options, self.strategy = mat.spark, mat, mat.strat, options, strategy
         self.gone, self.new_explicit = removed, added
-        self.D: dict[str, DataFrame] = {}
-        self.A: dict[str, DataFrame] = {}
+        self.D = Growing()
+        self.A = Growing()
         self.report = UpdateReport(mat, 0.0)
         self.signed: list[tuple[Bag, int, int]] = []
         self._net: dict[tuple[str, int], DataFrame | None] = {}
@@ -130,10 +130,6 @@ class _Update:
 
     stratum = 0
 
-    def put(self, overlay: dict[str, DataFrame], more: dict[str, DataFrame]) -> None:
-        for p, df in more.items():
-            overlay[p] = together(overlay.get(p), df)
-
     def explicit_bag(self, facts: dict[str, DataFrame], s: int) -> Bag:
         return {p: facts[p].withColumn("m", F.lit(1).cast("bigint")) for p in self.strat.preds(s) if p in facts}
 
@@ -191,14 +187,12 @@ class _Update:
         while delta:
             step += 1
             self._limit(step)
-            self.put(self.A, delta)
+            self.A.grow(delta)
             if not rules:
                 break
             bag = self.settled_bag(self.affected(rules, View(self.new, self.new), delta.get, lambda p: None), "insert", step)
             self._raise({}, bag, nr, r)
             delta = self._fresh({p: df.select(*columns_of(df)) for p, df in bag.items()})
-            if step % 8 == 0:
-                self._compress(self.A)
 
     def _fresh(self, heads: dict[str, DataFrame]) -> dict[str, DataFrame]:
         """Distinct heads that are not in the new view."""
@@ -222,11 +216,6 @@ class _Update:
         if step > self.options.max_rounds:
             raise RoundLimit(f"stratum {self.stratum}")
 
-    def _compress(self, overlay: dict[str, DataFrame]) -> None:
-        for p in self.strat.preds(self.stratum):
-            if p in overlay:
-                overlay[p] = settle(overlay[p])[0]
-
     # Strategies ----------------------------------------------------------------------------------------------------
 
     def odr(self, s: int) -> None:
@@ -258,11 +247,9 @@ class _Update:
             step += 1
             self._limit(step)
             bag = self.spread(delta, rec, "overdelete", step) if rec else {}
-            self.put(self.D, delta)
+            self.D.grow(delta)
             self.after_spread(bag)
             delta = settle_all(gate(self.not_in(self.D, bag)))[0]
-            if step % 8 == 0:
-                self._compress(self.D)
 
     def after_spread(self, bag: Bag) -> None:
         if self.strategy == "odr_2c" and bag:
@@ -336,7 +323,7 @@ class _Update:
             for overlay, test in ((self.D, "c_nr > 0 AND c_nr + m <= 0"), (self.A, "c_nr <= 0 AND c_nr + m > 0")):
                 got, n = settle(net.where(test).select(*cols))
                 if n:
-                    self.put(overlay, {p: got})
+                    overlay.grow({p: got})
 
     def _prove_then_delete(self, s: int, counted: bool) -> None:
         from .prove import Prover
@@ -356,8 +343,7 @@ class _Update:
             proved = prover.prove(candidates)
             delta = settle_all({p: minus(df, proved.get(p)) for p, df in candidates.items()})[0]
             bag = self.spread(delta, rec, "delete", step) if delta and rec else {}
-            self.put(self.D, delta)
-            prover.forget(delta)
+            self.D.grow(delta)
             candidates = settle_all(self.not_in(self.D, bag))[0]
         prover.finish()
         self.insert(s, {}, counted, False)
@@ -374,9 +360,9 @@ class _Update:
         for p in set(self.gone) | set(self.new_explicit):
             if self.strat.level.get(p, 0) == 0:
                 if p in self.gone:
-                    self.D[p] = self.gone[p]
+                    self.D.grow({p: self.gone[p]})
                 if p in self.new_explicit:
-                    self.A[p] = self.new_explicit[p]
+                    self.A.grow({p: self.new_explicit[p]})
         for s in range(1, self.strat.count + 1):
             self.stratum = s
             here = [r for r in self.strat.rules(s)]

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from .lang import Program
 from .plans.firing import View, bag_affected, bag_all, bag_union, columns_of, minus, together
-from .store import Materialisation, add_counts, settle, settle_all
+from .store import Growing, Materialisation, add_counts, settle, settle_all
 from .strata import Stratification, stratify
 
 
@@ -37,7 +37,8 @@ def materialise(
     ``counters``: 0 keeps none, 1 keeps c_nr, 2 keeps c_nr and c_r. ``explicit`` holds fact frames as ``load`` makes them.
     """
     strat = policy if isinstance(policy, Stratification) else stratify(program, policy)
-    out = Materialisation(spark, strat, dict(explicit), {p: df for p, df in explicit.items() if strat.level.get(p, 0) == 0})
+    facts = Growing({p: df for p, df in explicit.items() if strat.level.get(p, 0) == 0})
+    out = Materialisation(spark, strat, dict(explicit), facts)
     none = lambda p: None
     for s in range(1, strat.count + 1):
         view = View(out.facts.get, out.facts.get)
@@ -45,7 +46,7 @@ def materialise(
         base, sizes = settle_all(bag_union(own, bag_all(spark, strat.nonrecursive(s), view)))
         parts = [(base, 1, 0)]
         delta = {p: df.drop("m") for p, df in base.items()}
-        out.facts |= delta
+        facts.grow(delta)
         rounds = 0
         rules = strat.recursive(s)
         if work is not None:
@@ -58,17 +59,13 @@ def materialise(
             if counters > 1:
                 parts.append((bag, 0, 1))
             delta = settle_all({p: minus(df.drop("m"), out.facts.get(p)) for p, df in bag.items()})[0]
-            for p, df in delta.items():
-                out.facts[p] = together(out.facts.get(p), df)
+            facts.grow(delta)
             if work is not None:
                 work.append((s, "recursive", rounds, "heads", sum(sizes.values())))
-        if rounds > 8:  # many small parts would make long plans of all that follows
-            for p in strat.preds(s):
-                if p in out.facts:
-                    out.facts[p] = settle(out.facts[p])[0]
         if counters:
             for p, df in add_counts(parts).items():
                 out.counters[p] = settle(df if counters > 1 else df.drop("c_r"))[0]
+    out.facts = dict(facts)
     return out
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from .lang import Const
 from .plans.firing import Bag, View, bag_affected, columns_of, head_of, literal, match_backward, meet, minus, together
-from .store import settle, settle_all
+from .store import Growing, settle, settle_all
 
 Sets = dict[str, DataFrame]
 
@@ -21,16 +21,9 @@ class Prover:
     def __init__(self, update, stratum: int, lost_nr: Bag | None):
         self.u, self.s, self.lost_nr = update, stratum, lost_nr
         self.rec, self.non = update.strat.recursive(stratum), update.strat.nonrecursive(stratum)
-        self.checked: Sets = {}
-        self.expanded: Sets = {}
-        self.proved: Sets = {}
-        self.delayed: Sets = {}
+        self.checked, self.expanded, self.proved, self.delayed = Growing(), Growing(), Growing(), Growing()
         self.waves = 0
 
-    def _put(self, into: Sets, more: Sets) -> None:
-        for p, df in more.items():
-            into[p] = together(into.get(p), df)
-
     def _without(self, facts: Sets, *sets: Sets) -> Sets:
         out = dict(facts)
         for other in sets:
@@ -41,22 +34,18 @@ class Prover:
         """The candidates that hold without the facts deleted so far."""
         fresh = self._without(candidates, self.checked)
         while True:
-            self._put(self.checked, fresh)
-            if fresh:
-                self._saturate(self._based(fresh))
-            if self.u.options.early_stop and not self._without(candidates, self.proved):
+            self.checked.grow(fresh)
+            found = self._saturate(self._based(fresh)) if fresh else False
+            if self.u.options.early_stop and found and not self._without(candidates, self.proved):
                 break
             waiting = self._without(self.checked, self.expanded, self.proved)
             if not waiting:
                 break
             self.waves += 1
-            self._put(self.expanded, waiting)
+            self.expanded.grow(waiting)
             fresh = self._without(self._bodies(waiting), self.checked)
         return settle_all({p: meet(df, self.proved.get(p)) for p, df in candidates.items()})[0]
 
-    def forget(self, deleted: Sets) -> None:
-        """Facts that have gone are nobody's proof any more; they were never proved, so nothing hangs on them."""
-
     def _based(self, fresh: Sets) -> Sets:
         """Newly checked facts that need no recursive rule: delayed, explicit, or nonrecursively supported."""
         out: Sets = {}
@@ -77,19 +66,29 @@ class Prover:
             out[p] = together(*parts).distinct()
         return self._without(out, self.proved)
 
-    def _saturate(self, new: Sets) -> None:
-        """Consequences of proved facts, over proved facts here and surviving facts below."""
+    def _saturate(self, new: Sets) -> bool:
+        """Consequences of proved facts, over proved facts here and surviving facts below; whether any was proved."""
+        any_new = bool(new)
         level = self.u.strat.level
         pos = lambda p: self.proved.get(p) if level.get(p, 0) == self.s else self.u.surviving(p)
         while new:
-            self._put(self.proved, new)
+            self.proved.grow(new)
             bag = bag_affected(self.u.spark, self.rec, View(pos, self.u.old_or_added), new.get, lambda p: None)
-            heads = self.u.settled_bag(bag, "prove", self.waves)
-            # Only old facts that still stand matter: what insertion adds comes later.
-            heads = {p: meet(df.drop("m"), self.u.surviving(p)) for p, df in heads.items()}
-            heads = self._without(heads, self.proved, self.delayed)
-            new = settle_all({p: meet(df, self.checked.get(p)) for p, df in heads.items()})[0]
-            self._put(self.delayed, self._without(heads, new))
+            new, later = {}, {}
+            for p, df in bag.items():
+                # Only old facts that still stand matter: what insertion adds comes later.
+                heads = minus(minus(meet(df.drop("m"), self.u.surviving(p)), self.proved.get(p)), self.delayed.get(p))
+                cols, asked = columns_of(heads), self.checked.get(p)
+                marked = heads.withColumn("asked", F.lit(False)) if asked is None else heads.join(asked.select(*cols).withColumn("asked", F.lit(True)), cols, "left")
+                marked, n = settle(marked.withColumn("asked", F.coalesce("asked", F.lit(False))))
+                self.u.note("prove", self.waves, "heads", n)
+                if n:
+                    seen = {r[0] for r in marked.select("asked").distinct().collect()}
+                    for flag, into in ((True, new), (False, later)):
+                        if flag in seen:
+                            into[p] = marked.where(F.col("asked") == flag).select(*cols)
+            self.delayed.grow(later)
+        return any_new
 
     def _bodies(self, facts: Sets) -> Sets:
         """Facts of this stratum in the bodies of recursive instances of these facts, over what survives."""

@@ -10,7 +10,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from .plans.firing import Bag, columns_of
+from .plans.firing import Bag, columns_of, together
 from .strata import Stratification
 
 
@@ -59,6 +59,25 @@ def settle_all(frames: dict[str, DataFrame]) -> tuple[dict[str, DataFrame], dict
     return out, sizes
 
 
+class Growing(dict):
+    """Fact sets that grow by disjoint parts; the newer parts are merged now and then, so that plans stay short."""
+
+    #: Parts of one predicate that may stand side by side.
+    PARTS = 4
+
+    def __init__(self, start: dict[str, DataFrame] | None = None):
+        super().__init__(start or {})
+        self._parts = {p: [df] for p, df in self.items()}
+
+    def grow(self, more: dict[str, DataFrame]) -> None:
+        for p, df in more.items():
+            parts = self._parts.setdefault(p, [])
+            parts.append(df)
+            if len(parts) > self.PARTS:
+                parts[1:] = [settle(together(*parts[1:]))[0]]
+            self[p] = together(*parts)
+
+
 @dataclass
 class Materialisation:
     """Explicit facts, all facts, and counters (a0.., c_nr, c_r) of every derived predicate."""
