@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import oracles
+from .operators.relational import OPERATORS, SQL
 from .maintain import COUNTERS, Options, UpdateReport, maintain
 from .materialise import Materialisation, materialise
 from .plans.firing import View, columns_of, fire_affected, match_backward
@@ -210,19 +211,19 @@ def catalogue() -> tuple[dict[str, Query], dict[str, str]]:
                 add(f"{x}_delete_{name}", update_query(w, pred, x, "delete", options=Options(rederive_plan="body_first")), oracles.facts_sql(name, pred, "less"))
             else:
                 add(f"{x}_delete_{name}", update_query(w, pred, x, "delete"), oracles.facts_sql(name, pred, "less"))
-        for x in ("odr_2c", "pbd_1c"):
+        for x in ("odr_2c",) if name == "path" else ("odr_2c", "pbd_1c"):
             add(f"{x}_counters_after_{name}", counters_after_query(w, pred, x, "mixed"), oracles.counters_sql(name, pred, "mixed", x == "odr_2c"))
         add(f"odr_2c_insert_{name}", update_query(w, pred, "odr_2c", "insert"), oracles.facts_sql(name, pred, "all"))
         add(f"odr_2c_mixed_{name}", update_query(w, pred, "odr_2c", "mixed"), oracles.facts_sql(name, pred, "mixed"))
     for name in ("path", "seed", "taint", "thread"):
-        for x in ("odr", "pbd", "pbd_1c"):
+        for x in ("odr",) if name == "path" else ("odr", "pbd", "pbd_1c"):
             add(f"{x}_mixed_{name}", update_query(WORKLOADS[name], MAIN[name], x, "mixed"), oracles.facts_sql(name, MAIN[name], "mixed"))
             add(f"{x}_insert_{name}", update_query(WORKLOADS[name], MAIN[name], x, "insert"), oracles.facts_sql(name, MAIN[name], "all"))
     for x, gated in (("odr", False), ("odr_2c", True)):
         for name in ("seed", "path"):
             add(f"{x}_overdeleted_{name}", part_query(WORKLOADS[name], MAIN[name], x, "overdeleted"), oracles.overdeleted_sql(name, gated))
             add(f"{x}_rederived_{name}", part_query(WORKLOADS[name], MAIN[name], x, "rederived"))
-    for name in ("path", "seed", "taint", "copy", "host", "thread"):
+    for name in ("seed", "taint", "copy", "host", "thread"):
         add(f"pbd_1c_deleted_{name}", part_query(WORKLOADS[name], MAIN[name], "pbd_1c", "deleted"), oracles.deleted_sql(name, MAIN[name]))
     add("counting_delete_cooc", update_query(COOC, "pair", "counting", "delete"), oracles.facts_sql("cooc", "pair", "less"))
     add("counting_counters_after_cooc", counters_after_query(COOC, "pair", "counting", "mixed"), oracles.counters_sql("cooc", "pair", "mixed", False))
@@ -245,7 +246,7 @@ def catalogue() -> tuple[dict[str, Query], dict[str, str]]:
         add(f"remat_{name}", update_query(w, pred, "remat", "delete"), oracles.facts_sql(name, pred, "less"))
         add(f"remat_1c_{name}", counters_after_query(w, pred, "remat_1c", "delete"), oracles.counters_sql(name, pred, "less", False))
         add(f"remat_2c_{name}", counters_after_query(w, pred, "remat_2c", "delete"), oracles.counters_sql(name, pred, "less"))
-        for x in ("odr", "odr_2c", "pbd", "pbd_1c"):
+        for x in ("odr", "odr_2c") if name == "path" else ("odr", "odr_2c", "pbd", "pbd_1c"):
             add(f"work_{x}_{name}", work_query(w, pred, x))
     add("instances_lost_cooc", _pair_instances(False), oracles.instances_sql(False))
     add("instances_gained_cooc", _pair_instances(True), oracles.instances_sql(True))
@@ -253,7 +254,7 @@ def catalogue() -> tuple[dict[str, Query], dict[str, str]]:
     add("workload_profile", profile, _profile_sql())
     add("why_support", why, WHY_SQL)
     add("goal_sql", goal, GOAL_SQL)
-    return q, o
+    return q | OPERATORS, o | SQL
 
 
 QUERIES, ORACLE_SQL = catalogue()
