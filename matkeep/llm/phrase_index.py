@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from .shared import cut, text_or_empty
 
-#: Words of a window.
+#: Words of a window; at most 63.
 WINDOW = 10
 #: Rarest places of a window whose lists are intersected first.
 RAREST = 3
@@ -98,8 +98,10 @@ def phrase_matches(index: DataFrame, windows: PhraseWindows, slop: int = 0) -> D
     first = 1 if slop else RAREST
     ranked = cut(ranked.where("least > 0").select("win", "offset", "term", "length", (F.col("nth") <= first).alias("rare")), "places-rated")
     lists = index.join(small(ranked.where("rare").drop("rare")), "term")
-    met = lists.select(*_KEY, "win", (F.col("pos") - F.col("offset")).alias("start"), "length").where(F.lit(slop > 0) | (F.col("start") >= 0))
-    met = met.groupBy(*_KEY, "win", "start").agg(F.count(F.lit(1)).alias("n"), F.first("length").alias("length"))
+    # A set of places as bits: postings of repeated rows count once.
+    places = F.bit_count(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.col("offset"))))
+    met = lists.select(*_KEY, "win", (F.col("pos") - F.col("offset")).alias("start"), "offset", "length").where(F.lit(slop > 0) | (F.col("start") >= 0))
+    met = met.groupBy(*_KEY, "win", "start").agg(places.alias("n"), F.first("length").alias("length"))
     candidates = cut(met.where(F.col("n") == F.least(F.col("length"), F.lit(first))).drop("n"), "candidates")
     rest = small(ranked.where(~F.col("rare")).select("win", "offset", "term"))
     wanted = candidates.where(F.col("length") > first).join(rest, "win")
@@ -107,7 +109,7 @@ def phrase_matches(index: DataFrame, windows: PhraseWindows, slop: int = 0) -> D
     wanted = wanted.select(*_KEY, "win", "start", "length", "offset", "term", near.alias("pos"))
     kept = index.join(small(candidates.where(F.col("length") > first).select(*_KEY).distinct()), _KEY, "left_semi")
     found = wanted.join(kept, [*_KEY, "pos", "term"]).groupBy(*_KEY, "win", "start", "length")
-    found = found.agg((F.countDistinct("offset") if slop else F.count(F.lit(1))).alias("n"))
+    found = found.agg(places.alias("n"))
     whole = found.where(F.col("n") == F.col("length") - first).drop("n")
     return candidates.where(F.col("length") <= first).unionByName(whole)
 
