@@ -4,7 +4,8 @@ A document is the set of its 5-word shingles. Under any order of all shingles, t
 of their first ``size - ceil(t * size) + 1`` shingles. This holds under each of several orders at once, so candidates must
 share a prefix shingle under the first order and one under the second; only then are the texts compared, exactly.
 
-The first order puts shingles found to be frequent last, so that lists stay short; the second is by a hash.
+The first order goes from shingles of rare words to those of common ones and puts shingles found to be frequent last, so
+that lists stay short; the second is by a hash. How many shingles two prefixes must share follows from their sizes.
 
 Copies: documents of one set are a class, of which the smallest id takes part. In a group of near copies no pairs are
 listed: each member is first compared with leaders of its lists; pairs between what that left in different
@@ -13,10 +14,13 @@ components, and only these, follow, so no link that could join two components is
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -29,6 +33,8 @@ WIDTH = 5
 SHARE = 80
 #: Frequent shingles that the first order knows, at most; it changes speed, not results.
 FREQUENT_KEPT = 100_000
+#: Common words whose commonness it knows, at most.
+COMMON_KEPT = 50_000
 #: A side is broadcast only up to so many counted rows.
 BROADCAST_ROWS = 300_000
 #: Rounds of comparisons with leaders, at most, before the remaining pairs are listed.
@@ -48,17 +54,32 @@ def mixed(x: np.ndarray, salt: int = 0) -> np.ndarray:
 
 
 class Shingler:
-    """Distinct 64-bit shingles of texts; hashes of words are looked up."""
+    """Distinct 64-bit shingles of texts; hashes of words are looked up, and how common the words are."""
 
-    def __init__(self, width: int = WIDTH, keep: int = 500_000):
+    def __init__(self, common: dict[bytes, int] | None = None, width: int = WIDTH, keep: int = 500_000):
         import xxhash
 
-        self.hash, self.width, self.keep = xxhash.xxh3_64_intdigest, width, keep
+        self.hash, self.width, self.keep, self.common = xxhash.xxh3_64_intdigest, width, keep, common or {}
         self.known: dict[bytes, int] = {}
 
-    def shingles(self, text: str | None) -> np.ndarray:
+    def words(self, text: str | None) -> list[bytes]:
+        return (text or "").encode("utf-8", "surrogatepass").lower().split()
+
+    def shingles(self, words: list[bytes]) -> np.ndarray:
         """Sorted and distinct; with fewer words than the width the whole sequence is one."""
-        words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+        return np.unique(self._all(words))
+
+    def rated(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Shingles, and for each the summed commonness of its words."""
+        found, first = np.unique(self._all(words), return_index=True)
+        if not len(found):
+            return found, np.zeros(0, dtype=np.int64)
+        rate = np.fromiter(map(self.common.get, words, repeat(0)), dtype=np.int64, count=len(words))
+        upto = np.concatenate([[0], np.cumsum(rate)])
+        width = min(self.width, len(words))
+        return found, (upto[width:] - upto[:-width])[first]
+
+    def _all(self, words: list[bytes]) -> np.ndarray:
         if not words:
             return np.zeros(0, dtype=np.uint64)
         if len(self.known) > self.keep:
@@ -68,10 +89,12 @@ class Shingler:
             known[w] = self.hash(w)
         h = np.fromiter(map(known.__getitem__, words), dtype=np.uint64, count=len(words))
         width = min(self.width, len(words))
-        out = np.full(len(h) - width + 1, width, dtype=np.uint64)
-        for i in range(width):
-            out = mixed(out, i) ^ h[i : len(h) - width + 1 + i]
-        return np.unique(mixed(out, 99))
+        n = len(h) - width + 1
+        with np.errstate(over="ignore"):
+            out = h[:n] + np.uint64(width)
+            for i in range(1, width):
+                out = out * _M3 + h[i : n + i]
+        return mixed(out, 99)
 
 
 def prefix_length(size: int) -> int:
@@ -83,9 +106,9 @@ def first_of(shingles: np.ndarray, keys: np.ndarray) -> np.ndarray:
     return shingles[np.argpartition(keys, p - 1)[:p]] if p < len(shingles) else shingles
 
 
-def first_keys(shingles: np.ndarray, frequent: np.ndarray, ranks: np.ndarray) -> np.ndarray:
-    """The first order: rare ones by hash, then the frequent ones by how frequent they are."""
-    keys = mixed(shingles, 1) >> np.uint64(1)
+def first_keys(shingles: np.ndarray, rates: np.ndarray, frequent: np.ndarray, ranks: np.ndarray) -> np.ndarray:
+    """The first order: those of rare words first, ties by hash; then the frequent ones by how frequent they are."""
+    keys = (np.minimum(rates, 1023).astype(np.uint64) << np.uint64(53)) | (mixed(shingles, 1) >> np.uint64(11))
     if len(frequent) and len(shingles):
         at = np.searchsorted(frequent, shingles)
         at[at == len(frequent)] = 0
@@ -105,57 +128,77 @@ def _small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
 
-def frequent_shingles(docs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Shingles found in several texts of one partition, with their counts there summed: sorted, and their ranks.
+def frequent_parts(docs: DataFrame) -> tuple[np.ndarray, np.ndarray, dict[bytes, int]]:
+    """Frequent shingles (sorted, and their ranks) and how common the common words are (in sixteenths of a doubling).
 
-    Equal texts of a partition count once. At most FREQUENT_KEPT come to the driver.
+    Counts are made in each partition and summed where they are above one (shingles) or sixteen (words); equal texts of a
+    partition count once. At most FREQUENT_KEPT shingles and COMMON_KEPT words come to the driver.
     """
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, seen = Shingler(), set()
+        shingler, seen, common = Shingler(), set(), Counter()
         total_s, total_n = np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64)
-        for batch in batches:
+        parts, held = [], 0
+
+        def fold() -> None:
+            nonlocal total_s, total_n, parts, held
+            s, n = np.unique(np.concatenate([*parts, np.zeros(0, dtype=np.uint64)]), return_counts=True)
             parts, held = [], 0
-            texts = batch.column(0).to_pylist()
-            for i, text in enumerate(texts):
-                h = hash(text)
-                if h not in seen:
-                    seen.add(h)
-                    parts.append(shingler.shingles(text))
-                    held += len(parts[-1])
-                if held > 2_000_000 or (i == len(texts) - 1 and parts):
-                    s, n = np.unique(np.concatenate(parts), return_counts=True)
-                    parts, held = [], 0
-                    s, n = s[n > 1], n[n > 1]
-                    both, where = np.unique(np.concatenate([total_s, s]), return_inverse=True)
-                    total_s, total_n = both, np.bincount(where.reshape(-1), np.concatenate([total_n, n]), len(both)).astype(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(total_s.view(np.int64)), pa.array(total_n)], names=["s", "n"])
-
-    counted = docs.select("text").mapInArrow(count, "s long, n long").groupBy("s").agg(F.sum("n").alias("n"))
-    top = counted.where("n > 2").orderBy(F.desc("n"), "s").limit(FREQUENT_KEPT).toArrow()
-    s = top["s"].to_numpy().view(np.uint64) if top.num_rows else np.zeros(0, dtype=np.uint64)
+            s, n = s[n > 1], n[n > 1]
+            both, where = np.unique(np.concatenate([total_s, s]), return_inverse=True)
+            total_s, total_n = both, np.bincount(where.reshape(-1), np.concatenate([total_n, n]), len(both)).astype(np.int64)
+
+        for batch in batches:
+            for text in batch.column(0).to_pylist():
+                if (h := hash(text)) in seen:
+                    continue
+                seen.add(h)
+                words = shingler.words(text)
+                common.update(words)
+                parts.append(shingler.shingles(words))
+                held += len(parts[-1])
+                if held > 2_000_000:
+                    fold()
+                if len(common) > 1_000_000:
+                    common = Counter({w: c for w, c in common.items() if c > 1})
+        fold()
+        kept = [(w, c) for w, c in common.items() if c >= 16]
+        n = len(total_s)
+        columns = [
+            pa.array([None] * n + [w for w, _ in kept], pa.binary()),
+            pa.concat_arrays([pa.array(total_s.view(np.int64)), pa.array([0] * len(kept), pa.int64())]),
+            pa.array([*total_n.tolist(), *(c for _, c in kept)], pa.int64()),
+        ]
+        yield pa.RecordBatch.from_arrays(columns, names=["w", "s", "n"])
+
+    counted = docs.select("text").mapInArrow(count, "w binary, s long, n long").groupBy("w", "s").agg(F.sum("n").alias("n"))
+    top = lambda test, least, kept: counted.where(test).where(F.col("n") > least).orderBy(F.desc("n"), "w", "s").limit(kept)
+    both = top("w IS NULL", 2, FREQUENT_KEPT).unionByName(top("w IS NOT NULL", 0, COMMON_KEPT)).toArrow()
+    found = both.filter(pc.is_null(both["w"])).sort_by([("n", "descending"), ("s", "ascending")])
+    named = both.filter(pc.is_valid(both["w"]))
+    s = found["s"].to_numpy().view(np.uint64) if found.num_rows else np.zeros(0, dtype=np.uint64)
+    ranks = np.arange(len(s), 0, -1).astype(np.uint64)  # the most frequent last
     order = np.argsort(s)
-    ranks = np.empty(len(s), dtype=np.uint64)
-    ranks[:] = np.arange(len(s), 0, -1)  # the most frequent last
-    return s[order], ranks[order]
+    rates = {w: int(16 * np.log2(c)) // 2 for w, c in zip(named["w"].to_pylist(), named["n"].to_pylist(), strict=True)}
+    return s[order], ranks[order], rates
 
 
 def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, ha and hb (128 bits of the set), p1 and p2 (prefixes; p2 cut to 32 bits, which only lets more pass)."""
-    sent = spark.sparkContext.broadcast(frequent_shingles(docs))
+    sent = spark.sparkContext.broadcast(frequent_parts(docs))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler = Shingler()
-        frequent, ranks = sent.value
+        frequent, ranks, rates = sent.value
+        shingler = Shingler(rates)
         for batch in batches:
             n, ha, hb, p1, p2 = [], [], [], [], []
             for text in batch.column(1).to_pylist():
-                s = shingler.shingles(text)
+                s, rate = shingler.rated(shingler.words(text))
                 n.append(len(s))
                 ha.append(int(mixed(s, 5).sum(dtype=np.uint64).view(np.int64)))
                 hb.append(int(mixed(s, 6).sum(dtype=np.uint64).view(np.int64)))
                 if len(s):
-                    p1.append(first_of(s, first_keys(s, frequent, ranks)).view(np.int64))
+                    p1.append(first_of(s, first_keys(s, rate, frequent, ranks)).view(np.int64))
                     p2.append((first_of(s, mixed(s, 2)) & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32))
                 else:
                     p1.append(np.zeros(0, dtype=np.int64))
@@ -171,10 +214,9 @@ def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
 
 
 def verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame) -> DataFrame:
-    """Of the pairs a, b those that share a prefix shingle under the second order and whose texts are similar enough."""
-    second = reps.select("doc_id", "p2")
-    side = lambda c, p: second.select(F.col("doc_id").alias(c), F.col("p2").alias(p))
-    both = pairs.join(side("a", "pa"), "a").join(side("b", "pb"), "b").where(F.arrays_overlap("pa", "pb")).select("a", "b").distinct()
+    """Of the pairs a, b those whose prefixes agree enough under each order, and whose texts then are similar enough."""
+    side = lambda c: reps.select(F.col("doc_id").alias(c), *[F.col(x).alias(f"{x}{c}") for x in ("n", "p1", "p2")])
+    both = pairs.join(side("a"), "a").join(side("b"), "b").where(_enough("p1") & _enough("p2")).select("a", "b").distinct()
     both = cut(both, "pairs")
     ids = cut(both.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "pair-ids")
     texts = docs.select("doc_id", "text").join(_small(ids), "doc_id", "left_semi")
@@ -189,14 +231,25 @@ def verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame) -> DataFrame:
             for i, (x, y) in enumerate(zip(batch.column(2), batch.column(3), strict=True)):
                 text = x.as_py()
                 if text != last:
-                    last, own = text, shingler.shingles(text)
-                if jaccard_linked(own, shingler.shingles(y.as_py())):
+                    last, own = text, shingler.shingles(shingler.words(text))
+                if jaccard_linked(own, shingler.shingles(shingler.words(y.as_py()))):
                     keep.append(i)
             yield pa.RecordBatch.from_arrays([pa.array([a[i] for i in keep], pa.int64()), pa.array([b[i] for i in keep], pa.int64())], names=["a", "b"])
 
     return laid.sortWithinPartitions("a").mapInArrow(compare, "a long, b long").distinct()
 
 
+def _enough(prefix: str):
+    """Whether two prefixes of one order share as many shingles as similar sets must.
+
+    Common shingles up to where the first of the two prefixes ends are in both prefixes; beyond it there are no more than
+    that set has left. Similar sets have ``SHARE / (100 + SHARE)`` of their summed sizes in common.
+    """
+    needed = F.ceil(SHARE * (F.col("na") + F.col("nb")) / (100 + SHARE))
+    beyond = F.greatest(F.col("na") - F.size(f"{prefix}a"), F.col("nb") - F.size(f"{prefix}b"))
+    return F.size(F.array_intersect(f"{prefix}a", f"{prefix}b")) >= F.greatest(needed - beyond, F.lit(1))
+
+
 def _pair(x: str, y: str) -> list:
     return [F.least(x, y).alias("a"), F.greatest(x, y).alias("b")]
 
@@ -227,10 +280,13 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
     spread = reps.select(F.col("doc_id").alias("d"), "n", F.explode("p1").alias("tok"))
     lists = spread.select("*", F.lag("d").over(by_size).alias("_p"), F.lead("d").over(by_size).alias("_s"))
     lists = cut(lists.where("_p IS NOT NULL OR _s IS NOT NULL").select("tok", "d", "n"), "lists")
-    taking = cut(lists.select(F.col("d").alias("doc_id")).distinct(), "in-lists")
-    reps = cut(reps.select("doc_id", "p2").join(_small(taking), "doc_id", "left_semi"), "second-prefixes")
+    taking = cut(lists.groupBy(F.col("d").alias("doc_id")).agg(F.count(F.lit(1)).alias("shared")), "in-lists")
+    short = F.transform("p1", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF).cast("long")).cast("int"))
+    reps = cut(reps.join(_small(taking.select("doc_id")), "doc_id", "left_semi").select("doc_id", "n", short.alias("p1"), "p2"), "prefixes")
     links = cut(tied.distinct(), "ties")
     tried: DataFrame | None = None
+    # Of a group of near copies the original shares most of its prefix: it makes the best leader.
+    lists = cut(lists.join(_small(taking.withColumnRenamed("doc_id", "d")), "d").select("tok", "d", "n", (F.col("shared") * 1000 / F.col("n")).cast("int").alias("central")), "lists")
     open_lists, room = lists.withColumn("c", F.col("d")), PAIRS_PER_ROW * max(1, lists.count())
     for turn in range(LEADER_ROUNDS + 1):
         left = _pairs_between(open_lists)
@@ -261,8 +317,9 @@ def _pairs_between(lists: DataFrame) -> int:
 
 
 def _to_leaders(lists: DataFrame, turn: int) -> DataFrame:
-    """Pairs of each member with one member of its list, another one each turn."""
-    lead = W.partitionBy("tok").orderBy(F.xxhash64("d", F.lit(turn)), "d").rowsBetween(W.unboundedPreceding, 0)
+    """Pairs of each member with one member of its list: the one that shares most of itself, later another each turn."""
+    pick = [F.desc("central"), "n", "d"] if turn == 0 else [F.xxhash64("d", F.lit(turn)), "d"]
+    lead = W.partitionBy("tok").orderBy(*pick).rowsBetween(W.unboundedPreceding, 0)
     led = lists.select("d", "n", "c", *[F.first(x).over(lead).alias(f"l{x}") for x in ("d", "n", "c")])
     return led.where((F.col("c") != F.col("lc")) & _fits("n", "ln")).select(*_pair("d", "ld")).distinct()
 
@@ -277,7 +334,7 @@ def _all_between(lists: DataFrame) -> DataFrame:
 def _between_components(lists: DataFrame, links: DataFrame) -> DataFrame:
     """The lists whose members are not all in one component by now, with each member's component ``c``."""
     now = components(links).withColumnsRenamed({"node": "d", "component": "c"})
-    placed = lists.join(_small(cut(now, "components")), "d", "left").select("tok", "d", "n", F.coalesce("c", "d").alias("c"))
+    placed = lists.join(_small(cut(now, "components")), "d", "left").select("tok", "d", "n", "central", F.coalesce("c", "d").alias("c"))
     placed = cut(placed, "placed")
     mixed_lists = placed.groupBy("tok").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("tok")
     return cut(placed.join(_small(cut(mixed_lists, "mixed-lists")), "tok", "left_semi"), "open-lists")
