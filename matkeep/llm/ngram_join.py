@@ -4,8 +4,8 @@ A document is the set of its 5-word shingles. Under any order of all shingles, t
 of their first ``size - ceil(t * size) + 1`` shingles. This holds under each of several orders at once, so candidates must
 share a prefix shingle under the first order and one under the second; only then are the texts compared, exactly.
 
-The first order goes from shingles of rare words to those of common ones and puts shingles found to be frequent last, so
-that lists stay short; the second is by a hash. How many shingles two prefixes must share follows from their sizes.
+The first order goes from shingles of rare words to those of common ones, so that lists stay short; the second is by a
+hash. How far in front the first common shingle must be, and how many two prefixes must share, follows from the sizes.
 
 Copies: documents of one set are a class, of which the smallest id takes part. In a group of near copies no pairs are
 listed: each member is first compared with leaders of its lists; pairs between what that left in different
@@ -16,11 +16,9 @@ from __future__ import annotations
 
 from collections import Counter
 from collections.abc import Iterator
-from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -31,14 +29,12 @@ from .shared import cut
 WIDTH = 5
 #: Similarity in hundredths: linked if 100 * intersection >= SHARE * union.
 SHARE = 80
-#: Frequent shingles that the first order knows, at most; it changes speed, not results.
-FREQUENT_KEPT = 100_000
-#: Common words whose commonness it knows, at most.
-COMMON_KEPT = 50_000
+#: Common words that the first order knows, at most; it changes speed, not results.
+COMMON_KEPT = 100_000
 #: A side is broadcast only up to so many counted rows.
 BROADCAST_ROWS = 300_000
 #: Rounds of comparisons with leaders, at most, before the remaining pairs are listed.
-LEADER_ROUNDS = 3
+LEADER_ROUNDS = 2
 #: The remaining pairs are listed as soon as they are no more than this many for each row of the lists.
 PAIRS_PER_ROW = 2
 
@@ -53,48 +49,60 @@ def mixed(x: np.ndarray, salt: int = 0) -> np.ndarray:
         return x ^ (x >> np.uint64(31))
 
 
-class Shingler:
-    """Distinct 64-bit shingles of texts; hashes of words are looked up, and how common the words are."""
+class _WordTable(dict):
+    """Numbers words on first sight; hash and commonness of each stand in arrays."""
 
-    def __init__(self, common: dict[bytes, int] | None = None, width: int = WIDTH, keep: int = 500_000):
+    def __init__(self, rates: dict[bytes, int]):
         import xxhash
 
-        self.hash, self.width, self.keep, self.common = xxhash.xxh3_64_intdigest, width, keep, common or {}
-        self.known: dict[bytes, int] = {}
+        super().__init__()
+        self.digest, self.rates = xxhash.xxh3_64_intdigest, rates
+        self.hashes, self.common = np.zeros(1 << 14, dtype=np.uint64), np.zeros(1 << 14, dtype=np.int64)
+
+    def __missing__(self, word: bytes) -> int:
+        n = self[word] = len(self)
+        if n == len(self.hashes):
+            self.hashes, self.common = np.resize(self.hashes, 2 * n), np.resize(self.common, 2 * n)
+        self.hashes[n], self.common[n] = self.digest(word), self.rates.get(word, 0)
+        return n
+
+
+class Shingler:
+    """Distinct 64-bit shingles of texts; hashes of words are looked up, and how common the words are."""
+
+    def __init__(self, rates: dict[bytes, int] | None = None, width: int = WIDTH, keep: int = 400_000):
+        self.rates, self.width, self.keep = rates or {}, width, keep
+        self.table = _WordTable(self.rates)
 
     def words(self, text: str | None) -> list[bytes]:
         return (text or "").encode("utf-8", "surrogatepass").lower().split()
 
     def shingles(self, words: list[bytes]) -> np.ndarray:
         """Sorted and distinct; with fewer words than the width the whole sequence is one."""
-        return np.unique(self._all(words))
+        return np.unique(self._all(words)[0])
 
     def rated(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """Shingles, and for each the summed commonness of its words."""
-        found, first = np.unique(self._all(words), return_index=True)
-        if not len(found):
-            return found, np.zeros(0, dtype=np.int64)
-        rate = np.fromiter(map(self.common.get, words, repeat(0)), dtype=np.int64, count=len(words))
-        upto = np.concatenate([[0], np.cumsum(rate)])
+        every, ids = self._all(words)
+        found, first = np.unique(every, return_index=True)
+        upto = np.concatenate([[0], np.cumsum(self.table.common[ids])])
         width = min(self.width, len(words))
-        return found, (upto[width:] - upto[:-width])[first]
+        return found, (upto[width:] - upto[: len(upto) - width])[first]
 
-    def _all(self, words: list[bytes]) -> np.ndarray:
+    def _all(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        if len(self.table) > self.keep:
+            self.table = _WordTable(self.rates)
+        ids = np.fromiter(map(self.table.__getitem__, words), dtype=np.int64, count=len(words))
         if not words:
-            return np.zeros(0, dtype=np.uint64)
-        if len(self.known) > self.keep:
-            self.known = {}
-        known = self.known
-        for w in set(words).difference(known):
-            known[w] = self.hash(w)
-        h = np.fromiter(map(known.__getitem__, words), dtype=np.uint64, count=len(words))
+            return np.zeros(0, dtype=np.uint64), ids
+        h = self.table.hashes[ids]
         width = min(self.width, len(words))
         n = len(h) - width + 1
         with np.errstate(over="ignore"):
             out = h[:n] + np.uint64(width)
             for i in range(1, width):
                 out = out * _M3 + h[i : n + i]
-        return mixed(out, 99)
+        return mixed(out, 99), ids
 
 
 def prefix_length(size: int) -> int:
@@ -102,19 +110,15 @@ def prefix_length(size: int) -> int:
 
 
 def first_of(shingles: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """The prefix, in order."""
     p = prefix_length(len(shingles))
-    return shingles[np.argpartition(keys, p - 1)[:p]] if p < len(shingles) else shingles
+    at = np.argpartition(keys, p - 1)[:p] if p < len(shingles) else np.arange(len(shingles))
+    return shingles[at[np.argsort(keys[at])]]
 
 
-def first_keys(shingles: np.ndarray, rates: np.ndarray, frequent: np.ndarray, ranks: np.ndarray) -> np.ndarray:
-    """The first order: those of rare words first, ties by hash; then the frequent ones by how frequent they are."""
-    keys = (np.minimum(rates, 1023).astype(np.uint64) << np.uint64(53)) | (mixed(shingles, 1) >> np.uint64(11))
-    if len(frequent) and len(shingles):
-        at = np.searchsorted(frequent, shingles)
-        at[at == len(frequent)] = 0
-        hot = frequent[at] == shingles
-        keys[hot] = np.uint64(1 << 63) + ranks[at[hot]]
-    return keys
+def first_keys(shingles: np.ndarray, rates: np.ndarray) -> np.ndarray:
+    """The first order: shingles of rare words first, ties by hash."""
+    return (np.minimum(rates, 2047).astype(np.uint64) << np.uint64(53)) | (mixed(shingles, 1) >> np.uint64(11))
 
 
 def jaccard_linked(a: np.ndarray, b: np.ndarray) -> bool:
@@ -128,68 +132,36 @@ def _small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
 
-def frequent_parts(docs: DataFrame) -> tuple[np.ndarray, np.ndarray, dict[bytes, int]]:
-    """Frequent shingles (sorted, and their ranks) and how common the common words are (in sixteenths of a doubling).
+def common_words(docs: DataFrame) -> dict[bytes, int]:
+    """How common the commonest words are, in sixths of a doubling of their count.
 
-    Counts are made in each partition and summed where they are above one (shingles) or sixteen (words); equal texts of a
-    partition count once. At most FREQUENT_KEPT shingles and COMMON_KEPT words come to the driver.
+    Words are counted in each partition and summed where a partition has one twice; equal texts of a partition count once.
+    At most COMMON_KEPT words come to the driver. The words of a passage are at least as common as the passage.
     """
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, seen, common = Shingler(), set(), Counter()
-        total_s, total_n = np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64)
-        parts, held = [], 0
-
-        def fold() -> None:
-            nonlocal total_s, total_n, parts, held
-            s, n = np.unique(np.concatenate([*parts, np.zeros(0, dtype=np.uint64)]), return_counts=True)
-            parts, held = [], 0
-            s, n = s[n > 1], n[n > 1]
-            both, where = np.unique(np.concatenate([total_s, s]), return_inverse=True)
-            total_s, total_n = both, np.bincount(where.reshape(-1), np.concatenate([total_n, n]), len(both)).astype(np.int64)
-
+        seen, common = set(), Counter()
         for batch in batches:
             for text in batch.column(0).to_pylist():
-                if (h := hash(text)) in seen:
-                    continue
-                seen.add(h)
-                words = shingler.words(text)
-                common.update(words)
-                parts.append(shingler.shingles(words))
-                held += len(parts[-1])
-                if held > 2_000_000:
-                    fold()
-                if len(common) > 1_000_000:
-                    common = Counter({w: c for w, c in common.items() if c > 1})
-        fold()
-        kept = [(w, c) for w, c in common.items() if c >= 16]
-        n = len(total_s)
-        columns = [
-            pa.array([None] * n + [w for w, _ in kept], pa.binary()),
-            pa.concat_arrays([pa.array(total_s.view(np.int64)), pa.array([0] * len(kept), pa.int64())]),
-            pa.array([*total_n.tolist(), *(c for _, c in kept)], pa.int64()),
-        ]
-        yield pa.RecordBatch.from_arrays(columns, names=["w", "s", "n"])
-
-    counted = docs.select("text").mapInArrow(count, "w binary, s long, n long").groupBy("w", "s").agg(F.sum("n").alias("n"))
-    top = lambda test, least, kept: counted.where(test).where(F.col("n") > least).orderBy(F.desc("n"), "w", "s").limit(kept)
-    both = top("w IS NULL", 2, FREQUENT_KEPT).unionByName(top("w IS NOT NULL", 0, COMMON_KEPT)).toArrow()
-    found = both.filter(pc.is_null(both["w"])).sort_by([("n", "descending"), ("s", "ascending")])
-    named = both.filter(pc.is_valid(both["w"]))
-    s = found["s"].to_numpy().view(np.uint64) if found.num_rows else np.zeros(0, dtype=np.uint64)
-    ranks = np.arange(len(s), 0, -1).astype(np.uint64)  # the most frequent last
-    order = np.argsort(s)
-    rates = {w: int(16 * np.log2(c)) // 2 for w, c in zip(named["w"].to_pylist(), named["n"].to_pylist(), strict=True)}
-    return s[order], ranks[order], rates
+                if text and (h := hash(text)) not in seen:
+                    seen.add(h)
+                    common.update(text.encode("utf-8", "surrogatepass").lower().split())
+                    if len(common) > 1_000_000:
+                        common = Counter({w: c for w, c in common.items() if c > 1})
+        kept = [(w, c) for w, c in common.items() if c > 1]
+        yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in kept], pa.binary()), pa.array([c for _, c in kept], pa.int64())], names=["w", "n"])
+
+    counted = docs.select("text").mapInArrow(count, "w binary, n long").groupBy("w").agg(F.sum("n").alias("n"))
+    top = counted.orderBy(F.desc("n"), "w").limit(COMMON_KEPT).toArrow()
+    return {w: int(6 * np.log2(c)) for w, c in zip(top["w"].to_pylist(), top["n"].to_pylist(), strict=True)}
 
 
 def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, ha and hb (128 bits of the set), p1 and p2 (prefixes; p2 cut to 32 bits, which only lets more pass)."""
-    sent = spark.sparkContext.broadcast(frequent_parts(docs))
+    sent = spark.sparkContext.broadcast(common_words(docs))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        frequent, ranks, rates = sent.value
-        shingler = Shingler(rates)
+        shingler = Shingler(sent.value)
         for batch in batches:
             n, ha, hb, p1, p2 = [], [], [], [], []
             for text in batch.column(1).to_pylist():
@@ -198,7 +170,7 @@ def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
                 ha.append(int(mixed(s, 5).sum(dtype=np.uint64).view(np.int64)))
                 hb.append(int(mixed(s, 6).sum(dtype=np.uint64).view(np.int64)))
                 if len(s):
-                    p1.append(first_of(s, first_keys(s, rate, frequent, ranks)).view(np.int64))
+                    p1.append(first_of(s, first_keys(s, rate)).view(np.int64))
                     p2.append((first_of(s, mixed(s, 2)) & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32))
                 else:
                     p1.append(np.zeros(0, dtype=np.int64))
@@ -277,16 +249,16 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
     away = cut(members.where("doc_id <> rep").select("doc_id").distinct(), "non-representatives")
     reps = known.select("doc_id", F.col("n_shingles").cast("int").alias("n"), "p1", "p2").join(_small(away), "doc_id", "left_anti")
     by_size = W.partitionBy("tok").orderBy("n", "d")
-    spread = reps.select(F.col("doc_id").alias("d"), "n", F.explode("p1").alias("tok"))
+    spread = reps.select(F.col("doc_id").alias("d"), "n", F.posexplode("p1").alias("i", "tok"))
     lists = spread.select("*", F.lag("d").over(by_size).alias("_p"), F.lead("d").over(by_size).alias("_s"))
-    lists = cut(lists.where("_p IS NOT NULL OR _s IS NOT NULL").select("tok", "d", "n"), "lists")
+    lists = cut(lists.where("_p IS NOT NULL OR _s IS NOT NULL").select("tok", "d", "n", "i"), "lists")
     taking = cut(lists.groupBy(F.col("d").alias("doc_id")).agg(F.count(F.lit(1)).alias("shared")), "in-lists")
     short = F.transform("p1", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF).cast("long")).cast("int"))
     reps = cut(reps.join(_small(taking.select("doc_id")), "doc_id", "left_semi").select("doc_id", "n", short.alias("p1"), "p2"), "prefixes")
     links = cut(tied.distinct(), "ties")
     tried: DataFrame | None = None
     # Of a group of near copies the original shares most of its prefix: it makes the best leader.
-    lists = cut(lists.join(_small(taking.withColumnRenamed("doc_id", "d")), "d").select("tok", "d", "n", (F.col("shared") * 1000 / F.col("n")).cast("int").alias("central")), "lists")
+    lists = cut(lists.join(_small(taking.withColumnRenamed("doc_id", "d")), "d").select("tok", "d", "n", "i", (F.col("shared") * 1000 / F.col("n")).cast("int").alias("central")), "lists")
     open_lists, room = lists.withColumn("c", F.col("d")), PAIRS_PER_ROW * max(1, lists.count())
     for turn in range(LEADER_ROUNDS + 1):
         left = _pairs_between(open_lists)
@@ -309,32 +281,44 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
     return joined.select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
 
 
+def _near_front(n: str, i: str, m: str, j: str):
+    """Whether places i and j can be those of the first common shingle of similar sets of n and m shingles.
+
+    What is in common then comes at or after these places in both.
+    """
+    needed = F.ceil(SHARE * (F.col(n) + F.col(m)) / (100 + SHARE))
+    return (F.col(i) <= F.col(n) - needed) & (F.col(j) <= F.col(m) - needed)
+
+
 def _pairs_between(lists: DataFrame) -> int:
-    """How many pairs of different components the lists hold, summed over lists."""
-    by_component = lists.groupBy("tok", "c").agg(F.count(F.lit(1)).cast("double").alias("n"))
+    """About how many pairs of different components the lists bring up, summed over lists; zero only if there are none."""
+    # Sets of about one size must meet within the first ninth or so.
+    early = lists.where((100 + SHARE) * F.col("i") <= (100 - SHARE) * F.col("n"))
+    by_component = early.groupBy("tok", "c").agg(F.count(F.lit(1)).cast("double").alias("n"))
     by_list = by_component.groupBy("tok").agg(((F.sum("n") * F.sum("n") - F.sum(F.col("n") * F.col("n"))) / 2).alias("pairs"))
-    return int(by_list.agg(F.coalesce(F.sum("pairs"), F.lit(0.0))).first()[0])
+    found = int(by_list.agg(F.coalesce(F.sum("pairs"), F.lit(0.0))).first()[0])
+    return found or int(not lists.isEmpty())
 
 
 def _to_leaders(lists: DataFrame, turn: int) -> DataFrame:
     """Pairs of each member with one member of its list: the one that shares most of itself, later another each turn."""
     pick = [F.desc("central"), "n", "d"] if turn == 0 else [F.xxhash64("d", F.lit(turn)), "d"]
     lead = W.partitionBy("tok").orderBy(*pick).rowsBetween(W.unboundedPreceding, 0)
-    led = lists.select("d", "n", "c", *[F.first(x).over(lead).alias(f"l{x}") for x in ("d", "n", "c")])
-    return led.where((F.col("c") != F.col("lc")) & _fits("n", "ln")).select(*_pair("d", "ld")).distinct()
+    led = lists.select("d", "n", "c", "i", *[F.first(x).over(lead).alias(f"l{x}") for x in ("d", "n", "c", "i")])
+    return led.where((F.col("c") != F.col("lc")) & _fits("n", "ln") & _near_front("n", "i", "ln", "li")).select(*_pair("d", "ld")).distinct()
 
 
 def _all_between(lists: DataFrame) -> DataFrame:
     """All pairs of members of one list and of different components whose sizes allow a link."""
-    x, y = (lists.select("tok", *[F.col(c).alias(f"{c}{s}") for c in ("d", "n", "c")]) for s in "xy")
-    met = x.join(y, "tok").where((F.col("dx") < F.col("dy")) & (F.col("cx") != F.col("cy")) & _fits("nx", "ny"))
+    x, y = (lists.select("tok", *[F.col(c).alias(f"{c}{s}") for c in ("d", "n", "c", "i")]) for s in "xy")
+    met = x.join(y, "tok").where((F.col("dx") < F.col("dy")) & (F.col("cx") != F.col("cy")) & _fits("nx", "ny") & _near_front("nx", "ix", "ny", "iy"))
     return met.select(*_pair("dx", "dy")).distinct()
 
 
 def _between_components(lists: DataFrame, links: DataFrame) -> DataFrame:
     """The lists whose members are not all in one component by now, with each member's component ``c``."""
     now = components(links).withColumnsRenamed({"node": "d", "component": "c"})
-    placed = lists.join(_small(cut(now, "components")), "d", "left").select("tok", "d", "n", "central", F.coalesce("c", "d").alias("c"))
+    placed = lists.join(_small(cut(now, "components")), "d", "left").select("tok", "d", "n", "i", "central", F.coalesce("c", "d").alias("c"))
     placed = cut(placed, "placed")
     mixed_lists = placed.groupBy("tok").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("tok")
     return cut(placed.join(_small(cut(mixed_lists, "mixed-lists")), "tok", "left_semi"), "open-lists")
