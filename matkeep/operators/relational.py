@@ -78,7 +78,7 @@ def rule_projection(spark, d):
     return _rule(spark, {"part": read_table(spark, d, "part", ["p_partkey", "p_size"])}, "h(q, 'part') <- part(p, s), s < 10, q := p + 1.", ["p", "tag"])
 
 
-@operator("SELECT DISTINCT n_nationkey FROM nation WHERE n_regionkey = 2")
+@operator("SELECT DISTINCT CAST(n_nationkey AS BIGINT) AS n_nationkey FROM nation WHERE n_regionkey = 2")
 def rule_constant(spark, d):
     return _rule(spark, {"nation": read_table(spark, d, "nation", ["n_nationkey", "n_regionkey"])}, "h(n) <- nation(n, 2).", ["n_nationkey"])
 

@@ -95,7 +95,8 @@ def columns(pred: str) -> str:
 
 
 def facts_sql(name: str, pred: str, state: str) -> str:
-    return f"{with_clause(WORKLOADS[name], state)} SELECT {columns(pred)} FROM d_{pred}"
+    cols = ", ".join(f"CAST(a{i} AS BIGINT) AS a{i}" for i in range(ARITY[pred])) if pred in ("trades", "regionTrade", "noRush") else columns(pred)
+    return f"{with_clause(WORKLOADS[name], state)} SELECT {cols} FROM d_{pred}"
 
 
 def counters_sql(name: str, pred: str, state: str, both: bool = True) -> str:
