@@ -4,8 +4,8 @@ A document is the set of its 5-word shingles. Under any order of all shingles, t
 of their first ``size - ceil(t * size) + 1`` shingles. This holds under each of several orders at once, so candidates must
 share a prefix shingle under the first order and one under the second; only then are the texts compared, exactly.
 
-The first order goes from shingles of rare words to those of common ones, so that lists stay short; the second is by a
-hash. How far in front the first common shingle must be, and how many two prefixes must share, follows from the sizes.
+The first order goes from shingles of rare words to those of common ones and puts shingles found to be frequent last, so
+that lists stay short and begin with what is a text's own; the second is by a hash. How far in front the first common shingle must be, and how many two prefixes must share, follows from the sizes.
 
 Copies: documents of one set are a class, of which the smallest id takes part. In a group of near copies no pairs are
 listed: each member is first compared with leaders of its lists; pairs between what that left in different
@@ -29,14 +29,15 @@ from .shared import cut
 WIDTH = 5
 #: Similarity in hundredths: linked if 100 * intersection >= SHARE * union.
 SHARE = 80
-#: Common words that the first order knows, at most; it changes speed, not results.
-COMMON_KEPT = 100_000
+#: Frequent shingles and common words that the first order knows, at most; this changes speed, not results.
+FREQUENT_KEPT = 300_000
+COMMON_KEPT = 50_000
 #: A side is broadcast only up to so many counted rows.
 BROADCAST_ROWS = 300_000
 #: Rounds of comparisons with leaders, at most, before the remaining pairs are listed.
 LEADER_ROUNDS = 2
 #: The remaining pairs are listed as soon as they are no more than this many for each row of the lists.
-PAIRS_PER_ROW = 2
+PAIRS_PER_ROW = 0.25
 
 _M1, _M2, _M3 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 
@@ -70,7 +71,7 @@ class _WordTable(dict):
 class Shingler:
     """Distinct 64-bit shingles of texts; hashes of words are looked up, and how common the words are."""
 
-    def __init__(self, rates: dict[bytes, int] | None = None, width: int = WIDTH, keep: int = 400_000):
+    def __init__(self, rates: dict[bytes, int] | None = None, width: int = WIDTH, keep: int = 250_000):
         self.rates, self.width, self.keep = rates or {}, width, keep
         self.table = _WordTable(self.rates)
 
@@ -116,9 +117,15 @@ def first_of(shingles: np.ndarray, keys: np.ndarray) -> np.ndarray:
     return shingles[at[np.argsort(keys[at])]]
 
 
-def first_keys(shingles: np.ndarray, rates: np.ndarray) -> np.ndarray:
-    """The first order: shingles of rare words first, ties by hash."""
-    return (np.minimum(rates, 2047).astype(np.uint64) << np.uint64(53)) | (mixed(shingles, 1) >> np.uint64(11))
+def first_keys(shingles: np.ndarray, rates: np.ndarray, frequent: np.ndarray, ranks: np.ndarray) -> np.ndarray:
+    """The first order: those of rare words first, ties by hash; then the frequent ones by how frequent they are."""
+    keys = (np.minimum(rates, 1023).astype(np.uint64) << np.uint64(53)) | (mixed(shingles, 1) >> np.uint64(11))
+    if len(frequent) and len(shingles):
+        at = np.searchsorted(frequent, shingles)
+        at[at == len(frequent)] = 0
+        hot = frequent[at] == shingles
+        keys[hot] = np.uint64(1 << 63) + ranks[at[hot]]
+    return keys
 
 
 def jaccard_linked(a: np.ndarray, b: np.ndarray) -> bool:
@@ -132,36 +139,67 @@ def _small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
 
-def common_words(docs: DataFrame) -> dict[bytes, int]:
-    """How common the commonest words are, in sixths of a doubling of their count.
+def frequent_parts(docs: DataFrame) -> tuple[np.ndarray, np.ndarray, dict[bytes, int]]:
+    """Frequent shingles (sorted, and their ranks), and how common the common words are, in eighths of a doubling.
 
-    Words are counted in each partition and summed where a partition has one twice; equal texts of a partition count once.
-    At most COMMON_KEPT words come to the driver. The words of a passage are at least as common as the passage.
+    Counted in each partition and summed where a partition has a shingle twice or a word sixteen times; equal texts of a
+    partition count once. At most FREQUENT_KEPT shingles and COMMON_KEPT words come to the driver.
     """
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen, common = set(), Counter()
+        shingler, seen, common = Shingler(), set(), Counter()
+        total_s, total_n = np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64)
+        parts, held = [], 0
+
+        def fold() -> None:
+            nonlocal total_s, total_n, parts, held
+            s, n = np.unique(np.concatenate([*parts, np.zeros(0, dtype=np.uint64)]), return_counts=True)
+            parts, held = [], 0
+            s, n = s[n > 1], n[n > 1]
+            both, where = np.unique(np.concatenate([total_s, s]), return_inverse=True)
+            total_s, total_n = both, np.bincount(where.reshape(-1), np.concatenate([total_n, n]), len(both)).astype(np.int64)
+
         for batch in batches:
             for text in batch.column(0).to_pylist():
-                if text and (h := hash(text)) not in seen:
-                    seen.add(h)
-                    common.update(text.encode("utf-8", "surrogatepass").lower().split())
-                    if len(common) > 1_000_000:
-                        common = Counter({w: c for w, c in common.items() if c > 1})
-        kept = [(w, c) for w, c in common.items() if c > 1]
-        yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in kept], pa.binary()), pa.array([c for _, c in kept], pa.int64())], names=["w", "n"])
-
-    counted = docs.select("text").mapInArrow(count, "w binary, n long").groupBy("w").agg(F.sum("n").alias("n"))
-    top = counted.orderBy(F.desc("n"), "w").limit(COMMON_KEPT).toArrow()
-    return {w: int(6 * np.log2(c)) for w, c in zip(top["w"].to_pylist(), top["n"].to_pylist(), strict=True)}
+                if not text or (h := hash(text)) in seen:
+                    continue
+                seen.add(h)
+                words = shingler.words(text)
+                common.update(words)
+                parts.append(shingler.shingles(words))
+                held += len(parts[-1])
+                if held > 2_000_000:
+                    fold()
+                if len(common) > 400_000:
+                    common = Counter({w: c for w, c in common.items() if c > 1})
+        fold()
+        kept = [(w, c) for w, c in common.items() if c >= 16]
+        columns = [
+            pa.array([None] * len(total_s) + [w for w, _ in kept], pa.binary()),
+            pa.concat_arrays([pa.array(total_s.view(np.int64)), pa.array([0] * len(kept), pa.int64())]),
+            pa.array([*total_n.tolist(), *(c for _, c in kept)], pa.int64()),
+        ]
+        yield pa.RecordBatch.from_arrays(columns, names=["w", "s", "n"])
+
+    counted = docs.select("text").mapInArrow(count, "w binary, s long, n long").groupBy("w", "s").agg(F.sum("n").alias("n"))
+    counted = cut(counted, "frequencies")
+    shingles = counted.where("w IS NULL AND n > 2").orderBy(F.desc("n"), "s").limit(FREQUENT_KEPT).select("s", "n").toArrow()
+    words = counted.where("w IS NOT NULL").orderBy(F.desc("n"), "w").limit(COMMON_KEPT).select("w", "n").toArrow()
+    s, n = (shingles[c].to_numpy() if shingles.num_rows else np.zeros(0, dtype=np.int64) for c in ("s", "n"))
+    s, order = s.view(np.uint64), np.lexsort((s, -n))
+    ranks = np.empty(len(s), dtype=np.uint64)
+    ranks[order] = np.arange(len(s), 0, -1)  # the most frequent last
+    by_value = np.argsort(s)
+    return s[by_value], ranks[by_value], {w: int(8 * np.log2(c)) for w, c in zip(words["w"].to_pylist(), words["n"].to_pylist(), strict=True)}
 
 
 def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, ha and hb (128 bits of the set), p1 and p2 (prefixes; p2 cut to 32 bits, which only lets more pass)."""
-    sent = spark.sparkContext.broadcast(common_words(docs))
+    sent = spark.sparkContext.broadcast(frequent_parts(docs))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler = Shingler(sent.value)
+        frequent, ranks, rates = sent.value
+        shingler = Shingler(rates)
         for batch in batches:
             n, ha, hb, p1, p2 = [], [], [], [], []
             for text in batch.column(1).to_pylist():
@@ -170,7 +208,7 @@ def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
                 ha.append(int(mixed(s, 5).sum(dtype=np.uint64).view(np.int64)))
                 hb.append(int(mixed(s, 6).sum(dtype=np.uint64).view(np.int64)))
                 if len(s):
-                    p1.append(first_of(s, first_keys(s, rate)).view(np.int64))
+                    p1.append(first_of(s, first_keys(s, rate, frequent, ranks)).view(np.int64))
                     p2.append((first_of(s, mixed(s, 2)) & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32))
                 else:
                     p1.append(np.zeros(0, dtype=np.int64))
