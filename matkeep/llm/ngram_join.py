@@ -288,8 +288,12 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
     reps = known.select("doc_id", F.col("n_shingles").cast("int").alias("n"), "p1", "p2").join(_small(away), "doc_id", "left_anti")
     by_size = W.partitionBy("tok").orderBy("n", "d")
     spread = reps.select(F.col("doc_id").alias("d"), "n", F.posexplode("p1").alias("i", "tok"))
-    lists = spread.select("*", F.lag("d").over(by_size).alias("_p"), F.lead("d").over(by_size).alias("_s"))
-    lists = cut(lists.where("_p IS NOT NULL OR _s IS NOT NULL").select("tok", "d", "n", "i"), "lists")
+    # In order of size the likeliest partners stand beside one another; who fits neither fits nobody in the list.
+    sized = spread.select("*", F.lag("n").over(by_size).alias("_p"), F.lead("n").over(by_size).alias("_s"), F.first("n").over(by_size).alias("_least"))
+    fits = F.coalesce(_fits("n", "_p"), F.lit(False)) | F.coalesce(_fits("n", "_s"), F.lit(False))
+    smallest = F.greatest(F.col("_least"), F.ceil(SHARE * F.col("n") / 100))
+    front = F.col("i") <= F.col("n") - F.ceil(SHARE * (F.col("n") + smallest) / (100 + SHARE))
+    lists = cut(sized.where(fits & front).select("tok", "d", "n", "i"), "lists")
     taking = cut(lists.groupBy(F.col("d").alias("doc_id")).agg(F.count(F.lit(1)).alias("shared")), "in-lists")
     short = F.transform("p1", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF).cast("long")).cast("int"))
     reps = cut(reps.join(_small(taking.select("doc_id")), "doc_id", "left_semi").select("doc_id", "n", short.alias("p1"), "p2"), "prefixes")
