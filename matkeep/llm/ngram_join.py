@@ -290,7 +290,7 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
     spread = reps.select(F.col("doc_id").alias("d"), "n", F.posexplode("p1").alias("i", "tok"))
     # In order of size the likeliest partners stand beside one another; who fits neither fits nobody in the list.
     sized = spread.select("*", F.lag("n").over(by_size).alias("_p"), F.lead("n").over(by_size).alias("_s"), F.first("n").over(by_size).alias("_least"))
-    fits = F.coalesce(_fits("n", "_p"), F.lit(False)) | F.coalesce(_fits("n", "_s"), F.lit(False))
+    fits = (F.col("_p").isNotNull() & _fits("n", "_p")) | (F.col("_s").isNotNull() & _fits("n", "_s"))
     smallest = F.greatest(F.col("_least"), F.ceil(SHARE * F.col("n") / 100))
     front = F.col("i") <= F.col("n") - F.ceil(SHARE * (F.col("n") + smallest) / (100 + SHARE))
     lists = cut(sized.where(fits & front).select("tok", "d", "n", "i"), "lists")
