@@ -284,8 +284,10 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
     # An id whose rows have several sets joins their classes.
     ties = members.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     tied = ties.join(_small(cut(members.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id"), "doubled")).withColumnRenamed("doc_id", "a"), "a", "left_semi")
-    away = cut(members.where("doc_id <> rep").select("doc_id").distinct(), "non-representatives")
-    reps = known.select("doc_id", F.col("n_shingles").cast("int").alias("n"), "p1", "p2").join(_small(away), "doc_id", "left_anti")
+    # Rows, not ids, go: another text of the id may represent its own class.
+    row = ["doc_id", "n_shingles", "ha", "hb"]
+    away = cut(members.where("doc_id <> rep").select(*row).distinct(), "non-representatives")
+    reps = known.join(_small(away), row, "left_anti").select("doc_id", F.col("n_shingles").cast("int").alias("n"), "p1", "p2")
     by_size = W.partitionBy("tok").orderBy("n", "d")
     spread = reps.select(F.col("doc_id").alias("d"), "n", F.posexplode("p1").alias("i", "tok"))
     # In order of size the likeliest partners stand beside one another; who fits neither fits nobody in the list.

@@ -115,6 +115,17 @@ def test_jaccard_components(spark, nasty, nothing):
     assert {r["doc_id"] for r in kept.collect()} == set(want.values())
 
 
+def test_both_texts_of_an_id_find_their_near_copies(spark):
+    rng = random.Random(15)
+    x, y = prose(rng, 80), prose(rng, 90)
+    close = " ".join([*y.split()[:-1], "end"])
+    rows = [(3, x, "en"), (20, x, "en"), (20, y, "en"), (30, close, "en"), (40, y, "en"), (50, prose(rng, 70), "en")]
+    want = brute.similar_components([(d, t) for d, t, _ in rows])
+    assert want == {3: 3, 20: 3, 30: 3, 40: 3, 50: 50}
+    got = ngram_join.similar_components(spark, docs_frame(spark, rows)).collect()
+    assert sorted((r["doc_id"], r["component_id"]) for r in got) == sorted((d, want[d]) for d, _, _ in rows)
+
+
 def test_leaders_and_listed_pairs_agree(spark, monkeypatch):
     rng = random.Random(6)
     base = prose(rng, 100)
