@@ -164,12 +164,11 @@ def _profile_sql() -> str:
 
 
 def why(spark: SparkSession, d: str) -> DataFrame:
-    """Supports of the tainted events of user 1: instances behind each fact."""
+    """Supports of all tainted events: instances behind each fact."""
     w = WORKLOADS["taint"]
     mat, _, _ = _built(spark, d, w, "tainted", 0)
     rule = next(r for r in mat.strat.program.rules if r.head.pred == "tainted" and len(r.atoms) > 1)
-    own = mat.facts["tainted"].where("a0 % 10 = 3")
-    return match_backward(spark, rule, own, View(mat.facts.get, mat.facts.get)).select("e", "f")
+    return match_backward(spark, rule, mat.facts["tainted"], View(mat.facts.get, mat.facts.get)).select("e", "f")
 
 
 WHY_SQL = oracles.with_clause(WORKLOADS["taint"], "all") + (
