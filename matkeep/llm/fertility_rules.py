@@ -13,6 +13,7 @@ from __future__ import annotations
 import base64
 import math
 import unicodedata
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -107,16 +108,16 @@ def duplicate_lines(text: str) -> int:
 
 
 def script_of(text: str) -> str:
-    """The script of most letters of an evenly spaced sample of characters."""
+    """The script of most letters of the text; each distinct character is named once."""
     found: dict[str, int] = {}
-    for c in text[:: max(1, len(text) // 200)]:
+    for c, n in Counter(text).items():
         if c.isascii():
             name = "latin" if c.isalpha() else ""
         else:
             named = unicodedata.name(c, "").partition(" ")[0].lower() if c.isalpha() else ""
             name = {"cjk": "han", "hiragana": "han", "katakana": "han"}.get(named, named if named in BANDS or not named else "other")
         if name:
-            found[name] = found.get(name, 0) + 1
+            found[name] = found.get(name, 0) + n
     return max(sorted(found), key=found.__getitem__) if found else "other"
 
 

@@ -270,6 +270,12 @@ def test_fertility_counts(spark, nasty, nothing):
     assert fertility_rules.judge_documents(spark, nothing).count() == 0
 
 
+def test_script_is_that_of_all_characters(spark):
+    rows = [(1, " abc" * 1000, None), (2, ("д" + "a" * 19) * 200, None)]  # evenly spaced samples see spaces or д alone
+    got = fertility_rules.judge_documents(spark, docs_frame(spark, rows)).collect()
+    assert [r["script"] for r in got] == ["latin", "latin"]
+
+
 def glob_regex(glob):
     parts = re.findall(r"\*\*|\*|\?|\\.|.", glob, flags=re.S)
     own = {"**": "(?s:.*)", "*": "[^/]*", "?": "[^/]"}
