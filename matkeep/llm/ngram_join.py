@@ -194,7 +194,7 @@ def frequent_parts(docs: DataFrame) -> tuple[np.ndarray, np.ndarray, dict[bytes,
 
 
 def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, ha and hb (128 bits of the set), p1 and p2 (prefixes; p2 cut to 32 bits, which only lets more pass)."""
+    """doc_id, n_shingles, ha and hb (128 bits of the set), p1 and p2 (prefixes; p2 cut to 32 bits: values that became equal are allowed for in the counts)."""
     sent = spark.sparkContext.broadcast(frequent_parts(docs))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -225,7 +225,8 @@ def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
 
 def verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame) -> DataFrame:
     """Of the pairs a, b those whose prefixes agree enough under each order, and whose texts then are similar enough."""
-    side = lambda c: reps.select(F.col("doc_id").alias(c), *[F.col(x).alias(f"{x}{c}") for x in ("n", "p1", "p2")])
+    merged = lambda p: F.size(p) - F.size(F.array_distinct(p))
+    side = lambda c: reps.select(F.col("doc_id").alias(c), *[F.col(x).alias(f"{x}{c}") for x in ("n", "p1", "p2")], *[merged(p).alias(f"m{p}{c}") for p in ("p1", "p2")])
     both = pairs.join(side("a"), "a").join(side("b"), "b").where(_enough("p1") & _enough("p2")).select("a", "b").distinct()
     both = cut(both, "pairs")
     ids = cut(both.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "pair-ids")
@@ -253,11 +254,12 @@ def _enough(prefix: str):
     """Whether two prefixes of one order share as many shingles as similar sets must.
 
     Common shingles up to where the first of the two prefixes ends are in both prefixes; beyond it there are no more than
-    that set has left. Similar sets have ``SHARE / (100 + SHARE)`` of their summed sizes in common.
+    that set has left. Similar sets have ``SHARE / (100 + SHARE)`` of their summed sizes in common. Shortened values may
+    coincide: what is in common loses no more distinct values by that than either prefix does (``m``).
     """
     needed = F.ceil(SHARE * (F.col("na") + F.col("nb")) / (100 + SHARE))
     beyond = F.greatest(F.col("na") - F.size(f"{prefix}a"), F.col("nb") - F.size(f"{prefix}b"))
-    return F.size(F.array_intersect(f"{prefix}a", f"{prefix}b")) >= F.greatest(needed - beyond, F.lit(1))
+    return F.size(F.array_intersect(f"{prefix}a", f"{prefix}b")) >= F.greatest(needed - beyond - F.least(f"m{prefix}a", f"m{prefix}b"), F.lit(1))
 
 
 def _pair(x: str, y: str) -> list:

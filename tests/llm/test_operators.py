@@ -126,6 +126,16 @@ def test_both_texts_of_an_id_find_their_near_copies(spark):
     assert sorted((r["doc_id"], r["component_id"]) for r in got) == sorted((d, want[d]) for d, _, _ in rows)
 
 
+def test_shortened_shingles_that_coincide_lose_no_pair(spark):
+    n, text = 100, " ".join(f"w{i}" for i in range(104))
+    p = ngram_join.prefix_length(n)
+    same = [7] * (p - 4) + [1, 2, 3, 4]  # as if all but five had one shortened value
+    reps = spark.createDataFrame([(1, n, same, same), (2, n, same, same)], "doc_id long, n int, p1 array<int>, p2 array<int>")
+    docs = spark.createDataFrame([(1, text), (2, text + " x")], "doc_id long, text string")
+    got = ngram_join.verified(spark.createDataFrame([(1, 2)], "a long, b long"), reps, docs).collect()
+    assert [tuple(r) for r in got] == [(1, 2)]
+
+
 def test_leaders_and_listed_pairs_agree(spark, monkeypatch):
     rng = random.Random(6)
     base = prose(rng, 100)
