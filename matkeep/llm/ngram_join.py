@@ -377,4 +377,9 @@ def one_of_each_group(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """
     grouped = similar_components(spark, docs)
     gone = cut(grouped.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct(), "near-copies")
-    return docs.join(_small(gone), docs["doc_id"] == F.col("_gone"), "left_anti")
+    kept = docs.join(_small(gone), docs["doc_id"] == F.col("_gone"), "left_anti")
+    twice = grouped.where("doc_id = component_id").groupBy(F.col("doc_id").alias("_twice")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("_twice")
+    twice = _small(cut(twice, "repeated-ids"))
+    # Only rows of repeated ids are shuffled.
+    once, again = (kept.join(twice, kept["doc_id"] == F.col("_twice"), how) for how in ("left_anti", "left_semi"))
+    return once.unionByName(again.dropDuplicates(["doc_id", "text"]))

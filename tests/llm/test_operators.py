@@ -115,6 +115,14 @@ def test_jaccard_components(spark, nasty, nothing):
     assert {r["doc_id"] for r in kept.collect()} == set(want.values())
 
 
+def test_one_of_each_group_keeps_no_repeated_row(spark, nasty):
+    kept = ngram_join.one_of_each_group(spark, nasty)
+    assert kept.columns == nasty.columns
+    group = brute.similar_components([(d, t) for d, t, _ in NASTY])
+    want = [(None, NASTY[0][1]), *{(d, t) for d, t, _ in NASTY if d is not None and group[d] == d}]
+    assert sorted((str(r["doc_id"]), str(r["text"])) for r in kept.collect()) == sorted((str(d), str(t)) for d, t in want)
+
+
 def test_both_texts_of_an_id_find_their_near_copies(spark):
     rng = random.Random(15)
     x, y = prose(rng, 80), prose(rng, 90)
