@@ -114,24 +114,37 @@ def phrase_matches(index: DataFrame, windows: PhraseWindows, slop: int = 0) -> D
     return candidates.where(F.col("length") <= first).unionByName(whole)
 
 
-def decontaminate(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, width: int = WINDOW) -> DataFrame:
+def decontaminate(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, slop: int = 0) -> DataFrame:
     """One row for each document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated.
 
     A null or wordless text has no words and no hits; an item without words is in no document; an item of fewer words
     than ``width`` is one window. Items of equal text both count; a null item_id is left out of the digest and count.
     Rows of one doc_id with different texts are judged apart, repeated rows alike; a null doc_id is carried. Clashing
     or further columns are not read. An empty benchmark hits nothing.
+
+    With ``slop`` there are also n_near and near_sha256: items none of whose windows stands there exactly, but one with
+    its words within ``slop`` words of their places. The other columns stay those of exact matches.
     """
     windows = phrase_windows(benchmark, width)
-    matches = cut(phrase_matches(build_index(docs, windows.terms), windows), "matches")
+    index = build_index(docs, windows.terms)
+    matches = cut(phrase_matches(index, windows), "matches")
     covered = matches.select(*_KEY, F.explode(F.sequence(F.col("start"), F.col("start") + F.col("length") - 1)).alias("pos"))
     hits = covered.distinct().groupBy(*_KEY).agg(F.count(F.lit(1)).alias("n_hit"))
-    inside = matches.select(*_KEY, "win").distinct().join(small(windows.items), "win").select(*_KEY, F.col("item_id").cast("string").alias("item"))
-    named = inside.groupBy(*_KEY).agg(F.array_sort(F.collect_set("item")).alias("items"))
+
+    def named_in(found: DataFrame, name: str) -> DataFrame:
+        inside = found.select(*_KEY, "win").distinct().join(small(windows.items), "win").select(*_KEY, F.col("item_id").cast("string").alias("item"))
+        return inside.groupBy(*_KEY).agg(F.array_sort(F.collect_set("item")).alias(name))
+
+    named = named_in(matches, "items")
     rows = keyed(docs, "doc_id", F.size(words(text_or_empty())).cast("long").alias("n_words"))
     joined = rows.join(hits, _KEY, "left").join(named, _KEY, "left")
     items = F.coalesce("items", F.array().cast("array<string>"))
     n_hit = F.coalesce("n_hit", F.lit(0)).cast("long")
+    more = []
+    if slop:
+        joined = joined.join(named_in(cut(phrase_matches(index, windows, slop), "near-matches"), "near"), _KEY, "left")
+        near = F.array_except(F.coalesce("near", F.array().cast("array<string>")), items)
+        more = [F.size(near).cast("long").alias("n_near"), F.sha2(F.array_join(near, ","), 256).alias("near_sha256")]
     return joined.select(
         "doc_id",
         "n_words",
@@ -139,6 +152,7 @@ def decontaminate(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, wi
         F.size(items).cast("long").alias("n_items"),
         F.sha2(F.array_join(items, ","), 256).alias("items_sha256"),
         (n_hit > 0).alias("contaminated"),
+        *more,
     )
 
 

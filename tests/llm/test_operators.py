@@ -227,6 +227,17 @@ def test_proximity(spark):
     assert (ids(0), ids(2)) == ({1}, {1, 2})
 
 
+def test_decontamination_returns_near_items(spark):
+    texts = ["alpha beta gamma", "alpha x beta y gamma", "gamma q r s t u v alpha beta", None, "alpha x beta gamma delta one two"]
+    docs = docs_frame(spark, [(i, t, "en") for i, t in enumerate(texts)])
+    bench = spark.createDataFrame([(1, "alpha beta gamma"), (2, "delta one")], "item_id long, text string")
+    got = {r["doc_id"]: r for r in phrase_index.decontaminate(spark, docs, bench, slop=2).collect()}
+    assert {d: (r["n_hit"], r["n_items"], r["n_near"]) for d, r in got.items()} == {0: (3, 1, 0), 1: (0, 0, 1), 2: (0, 0, 0), 3: (0, 0, 0), 4: (2, 1, 1)}
+    digest = lambda x: hashlib.sha256(x.encode()).hexdigest()
+    assert got[1]["near_sha256"] == got[4]["near_sha256"] == digest("1") and got[0]["near_sha256"] == digest("")
+    assert not got[1]["contaminated"] and got[4]["contaminated"]
+
+
 def labelled(rng, n):
     rows = []
     for i in range(n):
