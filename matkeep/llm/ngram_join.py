@@ -9,13 +9,16 @@ that lists stay short and begin with what is a text's own; the second is by a ha
 
 Copies: documents of one set are a class, of which the smallest id takes part. In a group of near copies no pairs are
 listed: each member is first compared with leaders of its lists; pairs between what that left in different
-components, and only these, follow, so no link that could join two components is lost.
+components, and only these, follow, so no link that could join two components is lost. Lists that are long even then are
+split by the shingles of the second order: a pair is listed where both orders name a shingle that the two share.
 """
 
 from __future__ import annotations
 
+import math
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +27,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import cut
+from .shared import cut, list_column, sliced
 
 WIDTH = 5
 #: Similarity in hundredths: linked if 100 * intersection >= SHARE * union.
@@ -38,6 +41,12 @@ BROADCAST_ROWS = 300_000
 LEADER_ROUNDS = 2
 #: The remaining pairs are listed as soon as they are no more than this many for each row of the lists.
 PAIRS_PER_ROW = 0.25
+#: Lists of shingles counted so often are not gathered in one task.
+HOT_LIST = 2_000
+#: Pairs of one set that meet it under one salt.
+SPREAD = 2_000
+#: A list with more rows is split by the shingles of the second order before its pairs are listed.
+LONG_LIST = 64
 
 _M1, _M2, _M3 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 
@@ -128,21 +137,28 @@ def first_keys(shingles: np.ndarray, rates: np.ndarray, frequent: np.ndarray, ra
     return keys
 
 
-def jaccard_linked(a: np.ndarray, b: np.ndarray) -> bool:
-    if not len(a) or not len(b):
-        return False
-    both = len(np.intersect1d(a, b, assume_unique=True))
-    return 100 * both >= SHARE * (len(a) + len(b) - both)
+def set_hash(shingles: np.ndarray) -> tuple[int, int]:
+    """128 bits of a set."""
+    return tuple(int(mixed(shingles, salt).sum(dtype=np.uint64).view(np.int64)) for salt in (5, 6))
 
 
 def _small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
 
-def frequent_parts(docs: DataFrame) -> tuple[np.ndarray, np.ndarray, dict[bytes, int]]:
-    """Frequent shingles (sorted, and their ranks), and how common the common words are, in eighths of a doubling.
+@dataclass(frozen=True)
+class FrequentParts:
+    """Frequent shingles, sorted, and their ranks; how common the common words are, in eighths of a doubling; and ``hot``,
+    a frame of one column, ``tok``, with the shingles whose lists may be too long for one task."""
 
-    Counted in each partition and summed where a partition has a shingle twice or a word sixteen times; equal texts of a
+    shingles: np.ndarray
+    ranks: np.ndarray
+    rates: dict[bytes, int]
+    hot: DataFrame
+
+
+def frequent_parts(docs: DataFrame) -> FrequentParts:
+    """Counted in each partition and summed where a partition has a shingle twice or a word sixteen times; equal texts of a
     partition count once. At most FREQUENT_KEPT shingles and COMMON_KEPT words come to the driver.
     """
 
@@ -160,7 +176,8 @@ def frequent_parts(docs: DataFrame) -> tuple[np.ndarray, np.ndarray, dict[bytes,
             total_s, total_n = both, np.bincount(where.reshape(-1), np.concatenate([total_n, n]), len(both)).astype(np.int64)
 
         for batch in batches:
-            for text in batch.column(0).to_pylist():
+            for value in batch.column(0):
+                text = value.as_py()
                 if not text or (h := hash(text)) in seen:
                     continue
                 seen.add(h)
@@ -190,64 +207,85 @@ def frequent_parts(docs: DataFrame) -> tuple[np.ndarray, np.ndarray, dict[bytes,
     ranks = np.empty(len(s), dtype=np.uint64)
     ranks[order] = np.arange(len(s), 0, -1)  # the most frequent last
     by_value = np.argsort(s)
-    return s[by_value], ranks[by_value], {w: int(8 * np.log2(c)) for w, c in zip(words["w"].to_pylist(), words["n"].to_pylist(), strict=True)}
+    rates = {w: int(8 * np.log2(c)) for w, c in zip(words["w"].to_pylist(), words["n"].to_pylist(), strict=True)}
+    return FrequentParts(s[by_value], ranks[by_value], rates, counted.where(f"w IS NULL AND n >= {HOT_LIST}").select(F.col("s").alias("tok")))
 
 
-def signatures(spark: SparkSession, docs: DataFrame) -> DataFrame:
+def signatures(spark: SparkSession, docs: DataFrame, parts: FrequentParts) -> DataFrame:
     """doc_id, n_shingles, ha and hb (128 bits of the set), p1 and p2 (prefixes; p2 cut to 32 bits: values that became equal are allowed for in the counts)."""
-    sent = spark.sparkContext.broadcast(frequent_parts(docs))
+    sent = spark.sparkContext.broadcast((parts.shingles, parts.ranks, parts.rates))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         frequent, ranks, rates = sent.value
         shingler = Shingler(rates)
-        for batch in batches:
-            n, ha, hb, p1, p2 = [], [], [], [], []
-            for text in batch.column(1).to_pylist():
-                s, rate = shingler.rated(shingler.words(text))
+        for ids, texts in sliced(batches):
+            n, hashes, p1, p2 = [], [], [], []
+            for text in texts:
+                s, rate = shingler.rated(shingler.words(text.as_py()))
                 n.append(len(s))
-                ha.append(int(mixed(s, 5).sum(dtype=np.uint64).view(np.int64)))
-                hb.append(int(mixed(s, 6).sum(dtype=np.uint64).view(np.int64)))
-                if len(s):
-                    p1.append(first_of(s, first_keys(s, rate, frequent, ranks)).view(np.int64))
-                    p2.append((first_of(s, mixed(s, 2)) & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32))
-                else:
-                    p1.append(np.zeros(0, dtype=np.int64))
-                    p2.append(np.zeros(0, dtype=np.int32))
-            lists = [
-                pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(x) for x in p])]), pa.int32()), pa.array(np.concatenate(p) if p else [], kind))
-                for p, kind in ((p1, pa.int64()), (p2, pa.int32()))
-            ]
-            columns = [batch.column(0).cast(pa.int64()), *(pa.array(x, pa.int64()) for x in (n, ha, hb)), *lists]
+                hashes.append(set_hash(s))
+                p1.append(first_of(s, first_keys(s, rate, frequent, ranks)).view(np.int64) if len(s) else s.view(np.int64))
+                p2.append((first_of(s, mixed(s, 2)) & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32) if len(s) else np.zeros(0, dtype=np.int32))
+            ha, hb = zip(*hashes, strict=True) if hashes else ((), ())
+            columns = [ids.cast(pa.int64()), *(pa.array(x, pa.int64()) for x in (n, ha, hb)), list_column(p1, pa.int64()), list_column(p2, pa.int32())]
             yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_shingles", "ha", "hb", "p1", "p2"])
 
     return docs.select("doc_id", "text").mapInArrow(sign, "doc_id long, n_shingles long, ha long, hb long, p1 array<long>, p2 array<int>")
 
 
+def shingle_sets(docs: DataFrame) -> DataFrame:
+    """doc_id, ha, hb and the set itself of each row, one row at a time; a partition names a repeated row once."""
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingler, seen = Shingler(), set()
+        for ids, texts in sliced(batches):
+            rows = []
+            for d, text in zip(ids.to_pylist(), texts, strict=True):
+                s = shingler.shingles(shingler.words(text.as_py()))
+                key = d, *set_hash(s)
+                if key not in seen and len(s):
+                    if len(seen) > 100_000:
+                        seen.clear()
+                    seen.add(key)
+                    rows.append((key, s))
+            lists = list_column([s.view(np.int64) for _, s in rows], pa.int64())
+            yield pa.RecordBatch.from_arrays([*(pa.array([k[i] for k, _ in rows], pa.int64()) for i in range(3)), lists], names=["doc_id", "ha", "hb", "s"])
+
+    return docs.select("doc_id", "text").mapInArrow(sets, "doc_id long, ha long, hb long, s array<long>")
+
+
+def heavy_keys(pairs: DataFrame, key: str) -> DataFrame:
+    """key, ways: keys of more than SPREAD pairs, and over how many salts they are spread."""
+    ways = F.ceil(F.count(F.lit(1)) / SPREAD).cast("int")
+    return cut(pairs.groupBy(key).agg(ways.alias("ways")).where("ways > 1"), "heavy")
+
+
+def joined_on(pairs: DataFrame, key: str, other: str, side: DataFrame, heavy: DataFrame) -> DataFrame:
+    """``pairs`` with the columns of ``side``; pairs of a heavy key meet copies of its row under several salts."""
+    heavy = _small(heavy)
+    salted = pairs.join(heavy, key, "left").withColumn("_salt", F.pmod(F.xxhash64(other), F.coalesce("ways", F.lit(1))).cast("int")).drop("ways")
+    copies = F.explode(F.sequence(F.lit(0), F.coalesce("ways", F.lit(1)) - 1)).alias("_salt")
+    spread = side.join(heavy, key, "left").select(*side.columns, copies)
+    return salted.join(spread, [key, "_salt"]).drop("_salt")
+
+
 def verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame) -> DataFrame:
-    """Of the pairs a, b those whose prefixes agree enough under each order, and whose texts then are similar enough."""
+    """Of the pairs a, b those whose prefixes agree enough under each order, and whose sets then are similar enough.
+
+    Sets meet in the JVM one pair at a time, so what a task holds is two sets, however many pairs a set is in.
+    """
     merged = lambda p: F.size(p) - F.size(F.array_distinct(p))
     side = lambda c: reps.select(F.col("doc_id").alias(c), *[F.col(x).alias(f"{x}{c}") for x in ("n", "p1", "p2")], *[merged(p).alias(f"m{p}{c}") for p in ("p1", "p2")])
-    both = pairs.join(side("a"), "a").join(side("b"), "b").where(_enough("p1") & _enough("p2")).select("a", "b").distinct()
-    both = cut(both, "pairs")
+    heavy = {c: heavy_keys(pairs, c) for c in "ab"}
+    both = joined_on(joined_on(pairs, "b", "a", side("b"), heavy["b"]), "a", "b", side("a"), heavy["a"])
+    both = cut(both.where(_enough("p1") & _enough("p2")).select("a", "b").distinct(), "pairs")
     ids = cut(both.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "pair-ids")
-    texts = docs.select("doc_id", "text").join(_small(ids), "doc_id", "left_semi")
-    texts = cut(texts, "pair-texts")
-    side = lambda c, t: texts.select(F.col("doc_id").alias(c), F.col("text").alias(t))
-    laid = both.join(side("b", "tb"), "b").join(side("a", "ta"), "a").select("a", "b", "ta", "tb")
-
-    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, last, own = Shingler(), None, None
-        for batch in batches:
-            a, b, keep = batch.column(0).to_pylist(), batch.column(1).to_pylist(), []
-            for i, (x, y) in enumerate(zip(batch.column(2), batch.column(3), strict=True)):
-                text = x.as_py()
-                if text != last:
-                    last, own = text, shingler.shingles(shingler.words(text))
-                if jaccard_linked(own, shingler.shingles(shingler.words(y.as_py()))):
-                    keep.append(i)
-            yield pa.RecordBatch.from_arrays([pa.array([a[i] for i in keep], pa.int64()), pa.array([b[i] for i in keep], pa.int64())], names=["a", "b"])
-
-    return laid.sortWithinPartitions("a").mapInArrow(compare, "a long, b long").distinct()
+    sets = cut(shingle_sets(docs.select("doc_id", "text").join(_small(ids), "doc_id", "left_semi")), "pair-sets")
+    of = lambda c: sets.select(F.col("doc_id").alias(c), F.col("s").alias(f"s{c}"))
+    heavy = {c: heavy_keys(both, c) for c in "ab"}
+    met = joined_on(joined_on(both, "b", "a", of("b"), heavy["b"]), "a", "b", of("a"), heavy["a"])
+    common = F.size(F.array_intersect("sa", "sb"))
+    return met.where(100 * common >= SHARE * (F.size("sa") + F.size("sb") - common)).select("a", "b").distinct()
 
 
 def _enough(prefix: str):
@@ -277,27 +315,24 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
     what any of their texts is similar to. A row with a null doc_id takes no part and has a null component. Extra columns
     are not read; an empty table gives an empty result. All links that decide components are found; none is capped.
     """
-    signed = cut(signatures(spark, docs), "signatures")
+    known_parts = frequent_parts(docs)
+    signed = cut(signatures(spark, docs, known_parts), "signatures")
     known = signed.where("doc_id IS NOT NULL AND n_shingles > 0")
-    classes = known.groupBy("n_shingles", "ha", "hb").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n"))
-    classes = cut(classes, "classes")
-    members = signed.select("doc_id", "n_shingles", "ha", "hb").join(_small(classes.where("n > 1").drop("n")), ["n_shingles", "ha", "hb"], "left")
+    of_set = ["n_shingles", "ha", "hb"]
+    classes = known.groupBy(*of_set).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n"))
+    classes = cut(classes.where("n > 1").drop("n"), "classes")
+    members = signed.select("doc_id", *of_set).join(_small(classes), of_set, "left")
     members = cut(members.withColumn("rep", F.when(F.col("doc_id").isNotNull(), F.coalesce("rep", "doc_id"))), "members")
     # An id whose rows have several sets joins their classes.
     ties = members.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
-    tied = ties.join(_small(cut(members.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id"), "doubled")).withColumnRenamed("doc_id", "a"), "a", "left_semi")
-    # Rows, not ids, go: another text of the id may represent its own class.
-    row = ["doc_id", "n_shingles", "ha", "hb"]
-    away = cut(members.where("doc_id <> rep").select(*row).distinct(), "non-representatives")
-    reps = known.join(_small(away), row, "left_anti").select("doc_id", F.col("n_shingles").cast("int").alias("n"), "p1", "p2")
-    by_size = W.partitionBy("tok").orderBy("n", "d")
-    spread = reps.select(F.col("doc_id").alias("d"), "n", F.posexplode("p1").alias("i", "tok"))
-    # In order of size the likeliest partners stand beside one another; who fits neither fits nobody in the list.
-    sized = spread.select("*", F.lag("n").over(by_size).alias("_p"), F.lead("n").over(by_size).alias("_s"), F.first("n").over(by_size).alias("_least"))
-    fits = (F.col("_p").isNotNull() & _fits("n", "_p")) | (F.col("_s").isNotNull() & _fits("n", "_s"))
-    smallest = F.greatest(F.col("_least"), F.ceil(SHARE * F.col("n") / 100))
-    front = F.col("i") <= F.col("n") - F.ceil(SHARE * (F.col("n") + smallest) / (100 + SHARE))
-    lists = cut(sized.where(fits & front).select("tok", "d", "n", "i"), "lists")
+    twice = members.where("doc_id IS NOT NULL").groupBy(F.col("doc_id").alias("a")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("a")
+    tied = ties.join(_small(cut(twice, "doubled")), "a", "left_semi")
+    # Of a class its representative's row; rows, not ids, are left out, as another text of the id may represent its own class.
+    placed = known.join(_small(classes), of_set, "left")
+    row = ["doc_id", F.col("n_shingles").cast("int").alias("n"), "p1", "p2"]
+    alone, first = placed.where("rep IS NULL").select(*row), placed.where("rep = doc_id").dropDuplicates(["doc_id", *of_set]).select(*row)
+    reps = alone.unionByName(first)
+    lists = cut(_lists(reps.select(F.col("doc_id").alias("d"), "n", F.posexplode("p1").alias("i", "tok")), known_parts.hot), "lists")
     taking = cut(lists.groupBy(F.col("d").alias("doc_id")).agg(F.count(F.lit(1)).alias("shared")), "in-lists")
     short = F.transform("p1", lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF).cast("long")).cast("int"))
     reps = cut(reps.join(_small(taking.select("doc_id")), "doc_id", "left_semi").select("doc_id", "n", short.alias("p1"), "p2"), "prefixes")
@@ -311,7 +346,7 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
         if not left:
             break
         if last := turn == LEADER_ROUNDS or left <= room:
-            pairs = _all_between(open_lists)
+            pairs = _all_between(cut(_split_by_second(open_lists, reps), "split-lists"))
         else:
             pairs = _to_leaders(open_lists, turn)
         if tried is not None:
@@ -327,6 +362,27 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
     return joined.select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
 
 
+def _lists(spread: DataFrame, hot: DataFrame) -> DataFrame:
+    """Rows d, n, i, tok of those that may be similar to another of their list, and near enough to the front for it.
+
+    The list of a common shingle may be most of the table: it is judged by counts for each step of a scale of sizes,
+    which are summed before the shuffle; sizes that fit one another lie in one step or in steps side by side.
+    """
+    hot = _small(cut(hot, "hot-shingles"))
+    by_size = W.partitionBy("tok").orderBy("n", "d")
+    short = spread.join(hot, "tok", "left_anti")
+    short = short.select("*", F.lag("n").over(by_size).alias("_p"), F.lead("n").over(by_size).alias("_s"), F.first("n").over(by_size).alias("least"))
+    short = short.where((F.col("_p").isNotNull() & _fits("n", "_p")) | (F.col("_s").isNotNull() & _fits("n", "_s"))).drop("_p", "_s")
+    long = spread.join(hot, "tok", "left_semi").withColumn("step", F.floor(F.log(F.col("n").cast("double")) / math.log(100 / SHARE) + F.lit(1e-9)).cast("int"))
+    steps = long.groupBy("tok", "step").agg(F.count(F.lit(1)).alias("rows"), F.min("n").alias("least"))
+    near = steps.select("tok", F.explode(F.array(F.col("step") - 1, F.col("step"), F.col("step") + 1)).alias("step"), "rows", "least")
+    near = near.groupBy("tok", "step").agg(F.sum("rows").alias("rows"), F.min("least").alias("least")).where("rows > 1").drop("rows")
+    long = long.join(_small(cut(near, "hot-sizes")), ["tok", "step"]).select(*short.columns)
+    smallest = F.greatest(F.col("least"), F.ceil(SHARE * F.col("n") / 100))
+    front = F.col("i") <= F.col("n") - F.ceil(SHARE * (F.col("n") + smallest) / (100 + SHARE))
+    return short.unionByName(long).where(front).select("tok", "d", "n", "i")
+
+
 def _near_front(n: str, i: str, m: str, j: str):
     """Whether places i and j can be those of the first common shingle of similar sets of n and m shingles.
 
@@ -348,12 +404,29 @@ def _pairs_between(lists: DataFrame) -> int:
 
 def _to_leaders(lists: DataFrame, turn: int) -> DataFrame:
     """Pairs of each member with one member of its list: the one that shares most of itself, later another each turn."""
-    pick = [F.desc("central"), "n", "d"] if turn == 0 else [F.xxhash64("d", F.lit(turn)), "d"]
-    lead = W.partitionBy("tok").orderBy(*pick).rowsBetween(W.unboundedPreceding, 0)
-    led = lists.select("d", "n", "c", "i", *[F.first(x).over(lead).alias(f"l{x}") for x in ("d", "n", "c", "i")])
+    pick = [-F.col("central"), F.col("n"), F.col("d")] if turn == 0 else [F.xxhash64("d", F.lit(turn)), F.col("d")]
+    best = F.min_by(F.struct("d", "n", "c", "i"), F.struct(*[x.alias(f"k{i}") for i, x in enumerate(pick)])).alias("lead")
+    leaders = lists.groupBy("tok").agg(best).select("tok", *[F.col(f"lead.{x}").alias(f"l{x}") for x in ("d", "n", "c", "i")])
+    led = lists.join(leaders, "tok")
     return led.where((F.col("c") != F.col("lc")) & _fits("n", "ln") & _near_front("n", "i", "ln", "li")).select(*_pair("d", "ld")).distinct()
 
 
+def _split_by_second(lists: DataFrame, reps: DataFrame) -> DataFrame:
+    """Lists of more than LONG_LIST rows are split: rows stay together only if they share a shingle of the second order too.
+
+    What is similar shares a prefix shingle under either order, so every pair still meets, in a list of such a couple.
+    Couples of rows of one component only are left out.
+    """
+    long = cut(lists.groupBy("tok").agg(F.count(F.lit(1)).alias("rows")).where(F.col("rows") > LONG_LIST).select("tok"), "long-lists")
+    second = reps.select(F.col("doc_id").alias("d"), F.posexplode(F.array_distinct("p2")).alias("j", "second"))
+    inside = lists.join(_small(long), "tok", "left_semi").join(second, "d")
+    # The first common shingle of the second order stands no further behind than that of the first may.
+    inside = inside.where(F.col("j") <= F.col("n") - F.ceil(SHARE * (F.col("n") + F.ceil(SHARE * F.col("n") / 100)) / (100 + SHARE)))
+    couples = cut(inside.withColumn("tok", F.xxhash64("tok", "second")).select(*lists.columns), "couples")
+    mixed_ones = couples.groupBy("tok").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("tok")
+    return lists.join(_small(long), "tok", "left_anti").unionByName(couples.join(mixed_ones, "tok", "left_semi"))
+
+
 def _all_between(lists: DataFrame) -> DataFrame:
     """All pairs of members of one list and of different components whose sizes allow a link."""
     x, y = (lists.select("tok", *[F.col(c).alias(f"{c}{s}") for c in ("d", "n", "c", "i")]) for s in "xy")

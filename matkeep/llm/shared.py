@@ -4,7 +4,10 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -21,6 +24,8 @@ def shared_dir(spark: SparkSession) -> str:
     """
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
+        if not spark.sparkContext.master.startswith("local") or "cluster" in spark.sparkContext.master:
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         named = tempfile.mkdtemp(prefix="matkeep-")
         spark.sparkContext.setCheckpointDir(named)
     return named.rstrip("/")
@@ -34,6 +39,34 @@ def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Text that is taken from a batch at a time; what a worker builds from it is handed on before more is read.
+SLICE_BYTES = 1 << 20
+
+
+def sliced(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
+    """Batches (a column, the texts, more) in slices of about a megabyte of text, one row at least."""
+    for batch in batches:
+        sizes = np.cumsum(np.diff(_offsets(batch.column(1))))
+        start = 0
+        while start < batch.num_rows:
+            before = int(sizes[start - 1]) if start else 0
+            end = max(start + 1, int(np.searchsorted(sizes, before + SLICE_BYTES, side="right")))
+            part = batch.slice(start, end - start)
+            yield tuple(part.columns)
+            start = end
+
+
+def _offsets(texts: pa.Array) -> np.ndarray:
+    """Where each text begins and ends among the bytes."""
+    kind = np.int64 if pa.types.is_large_string(texts.type) else np.int32
+    return np.frombuffer(texts.buffers()[1], dtype=kind, count=texts.offset + len(texts) + 1)[texts.offset :]
+
+
+def list_column(parts: list[np.ndarray], kind: pa.DataType) -> pa.ListArray:
+    ends = np.concatenate([[0], np.cumsum([len(x) for x in parts])]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(parts) if parts else [], kind))
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -151,6 +151,8 @@ def test_leaders_and_listed_pairs_agree(spark, monkeypatch):
     want = brute.similar_components([(d, t) for d, t, _ in rows])
     monkeypatch.setattr(ngram_join, "PAIRS_PER_ROW", 0)
     monkeypatch.setattr(ngram_join, "LEADER_ROUNDS", 1)
+    for name, low in (("HOT_LIST", 3), ("LONG_LIST", 4), ("SPREAD", 2)):
+        monkeypatch.setattr(ngram_join, name, low)
     assert {r["doc_id"]: r["component_id"] for r in ngram_join.similar_components(spark, docs_frame(spark, rows)).collect()} == want
 
 
