@@ -6,8 +6,9 @@ from collections.abc import Callable, Hashable, Sequence
 
 import numpy as np
 
-#: A lookup is begun anew beyond this many words; only speed depends on it.
-WORDS_KEPT = 300_000
+#: A lookup is begun anew beyond this many words, or so many characters and numbers; only speed depends on it.
+WORDS_KEPT = 200_000
+ROOM = 8_000_000
 
 
 class Lookup:
@@ -20,11 +21,11 @@ class Lookup:
         self.counts = np.zeros(1024, dtype=np.int64)
         self.starts = np.zeros(1024, dtype=np.int64)
         self.flat = np.zeros(4096, dtype=np.int32)
-        self.used = 0
+        self.used = self.room = 0
 
     def ids(self, words: Sequence) -> np.ndarray:
         """A number for each word, valid until the next call."""
-        if len(self.known) > self.keep:
+        if len(self.known) > self.keep or self.room > ROOM:
             self.clear()
         known = self.known
         for w in set(words).difference(known):
@@ -41,6 +42,7 @@ class Lookup:
         self.counts[n], self.starts[n] = len(out), self.used
         self.flat[self.used : self.used + len(out)] = out
         self.used += len(out)
+        self.room += len(out) + len(word)
         self.known[word] = n
 
     def gather(self, ids: np.ndarray) -> np.ndarray:

@@ -6,11 +6,16 @@ that no piece holds are spelled out in byte pieces, at a penalty that makes them
 
 A piece of such vocabularies has its space mark in front only, and none spans a line end, so the best segmentation
 falls apart at these places without loss. Stretches between them are segmented once and looked up after that.
+
+Scores are log probabilities. A vocabulary of merges has ranks in their place, which are none: the sum of ranks says
+nothing of a text. Its pieces get log probabilities by their rank (Zipf), a fixed rule; nothing is trained.
 """
 
 from __future__ import annotations
 
+import math
 import re
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -19,6 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from .lookup import Lookup
+from .shared import list_column, sliced
 
 #: The vocabulary on the driver; its pieces and scores are sent to the executors.
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
@@ -28,9 +34,14 @@ SPACE = "▁"
 HIDDEN = "\x00"
 #: Vocabularies give pieces they never want chosen a score below this.
 UNUSED_SCORE = -1e8
+#: Added to a rank before its logarithm is taken (the constant usual in the Zipf-Mandelbrot law).
+RANK_SHIFT = 2.7
 #: Each byte spelled out scores this much less than the lowest piece.
 BYTE_PENALTY = 10.0
 
+#: Score of what no segmentation reaches.
+NEVER = -math.inf
+
 ENCODED = "doc_id long, ids array<int>, n_ids long, n_byte_ids long, score double, round_trip boolean"
 
 
@@ -53,6 +64,14 @@ class Pieces:
         return not any("\n" in t for t in self.texts)
 
 
+def log_scores(scores: list[float]) -> list[float]:
+    """Scores as they are, or by rank where they are the ranks of merges: whole numbers from zero down, each once or unused."""
+    ranks = [-s for s in scores if s > UNUSED_SCORE]
+    if not ranks or any(r < 0 or r != int(r) for r in ranks) or len(set(ranks)) < len(ranks):
+        return scores
+    return [s if s <= UNUSED_SCORE else -math.log(RANK_SHIFT - s) for s in scores]
+
+
 def load_pieces(path: str = MODEL) -> Pieces:
     import sentencepiece
 
@@ -62,7 +81,7 @@ def load_pieces(path: str = MODEL) -> Pieces:
     spelled = sorted((int(model.id_to_piece(i)[3:5], 16), i) for i in range(size) if model.is_byte(i))
     if len(spelled) != 256:
         raise ValueError("the vocabulary needs its 256 byte pieces")
-    pieces = Pieces([model.id_to_piece(i) for i in plain], plain, [model.get_score(i) for i in plain], [i for _, i in spelled], size)
+    pieces = Pieces([model.id_to_piece(i) for i in plain], plain, log_scores([model.get_score(i) for i in plain]), [i for _, i in spelled], size)
     if any(HIDDEN in t for t in pieces.texts):
         raise ValueError("a piece holds the reserved sign")
     return pieces
@@ -100,36 +119,34 @@ class Segmenter:
         """One stretch as it stands in the text, its spaces included."""
         marked = stretch.replace(SPACE, HIDDEN).replace(" ", SPACE)
         n = len(marked)
-        best: list[float | None] = [0.0] + [None] * n
-        back: list[tuple[int, int]] = [(0, -1)] * (n + 1)
+        # Flat arrays: a stretch may be a whole long text.
+        best, back, chosen = array("d", [0.0]) + array("d", [NEVER]) * n, array("i", [0]) * (n + 1), array("i", [-1]) * (n + 1)
         lone = [i for i, c in enumerate(marked) if c not in self.single]
         at = 0
         for end, (length, piece, score) in self.automaton.iter(marked):
             while at < len(lone) and lone[at] < end:
-                self._spell(best, back, lone[at], stretch)
+                self._spell(best, back, chosen, lone[at], stretch)
                 at += 1
-            before = best[end + 1 - length]
-            if before is None:
-                continue
-            total, here = before + score, best[end + 1]
-            if here is None or total > here or (total == here and length > back[end + 1][0]):
-                best[end + 1], back[end + 1] = total, (length, piece)
+            total = best[end + 1 - length] + score
+            if total > best[end + 1] or (total == best[end + 1] and length > back[end + 1]):
+                best[end + 1], back[end + 1], chosen[end + 1] = total, length, piece
         while at < len(lone):
-            self._spell(best, back, lone[at], stretch)
+            self._spell(best, back, chosen, lone[at], stretch)
             at += 1
         out: list[int] = []
         while n:
-            length, piece = back[n]
-            out.extend([piece] if piece >= 0 else [self.byte_ids[b] for b in reversed(stretch[n - 1].encode("utf-8", "surrogatepass"))])
-            n -= length
+            piece = chosen[n]
+            if piece >= 0:
+                out.append(piece)
+            else:
+                out.extend(self.byte_ids[b] for b in reversed(stretch[n - 1].encode("utf-8", "surrogatepass")))
+            n -= back[n]
         return out[::-1]
 
-    def _spell(self, best: list, back: list, at: int, stretch: str) -> None:
-        if best[at] is None:
-            return
+    def _spell(self, best: array, back: array, chosen: array, at: int, stretch: str) -> None:
         total = best[at] + self.byte_score * len(stretch[at].encode("utf-8", "surrogatepass"))
-        if best[at + 1] is None or total > best[at + 1]:
-            best[at + 1], back[at + 1] = total, (1, -1)
+        if total > best[at + 1]:
+            best[at + 1], back[at + 1], chosen[at + 1] = total, 1, -1
 
     def encode(self, text: str) -> np.ndarray:
         return self.words.gather(self.words.ids(self.stretches(" " + text))) if text else np.zeros(0, dtype=np.int32)
@@ -150,28 +167,18 @@ def encode_documents(spark: SparkSession, docs: DataFrame, model: str = MODEL) -
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         segmenter = Segmenter(sent.value)
-        for batch in batches:
-            all_ids, same = [], []
-            for text in batch.column(1).to_pylist():
-                ids = segmenter.encode(text or "")
-                all_ids.append(ids)
-                same.append(segmenter.decode(ids) == (text or ""))
-            sizes = np.array([len(x) for x in all_ids], dtype=np.int64)
-            flat = np.concatenate(all_ids).astype(np.int32) if all_ids else np.zeros(0, dtype=np.int32)
-            ends = np.concatenate([[0], np.cumsum(sizes)])
-            total = lambda values: np.concatenate([[0.0], np.cumsum(values)])  # noqa: E731, B023
-            scores, spelled = (np.diff(total(v[flat])[ends]) for v in (segmenter.score_of, segmenter.is_byte.astype(float)))
-            yield pa.RecordBatch.from_arrays(
-                [
-                    batch.column(0).cast(pa.int64()),
-                    pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat, pa.int32())),
-                    pa.array(sizes, pa.int64()),
-                    pa.array(spelled.astype(np.int64)),
-                    pa.array(scores),
-                    pa.array(same, pa.bool_()),
-                ],
-                names=["doc_id", "ids", "n_ids", "n_byte_ids", "score", "round_trip"],
-            )
+        for ids, texts in sliced(batches):
+            found = [segmenter.encode(text.as_py() or "") for text in texts]
+            same = [segmenter.decode(x) == (text.as_py() or "") for x, text in zip(found, texts, strict=True)]
+            columns = [
+                ids.cast(pa.int64()),
+                list_column([x.astype(np.int32) for x in found], pa.int32()),
+                pa.array([len(x) for x in found], pa.int64()),
+                pa.array([int(segmenter.is_byte[x].sum()) for x in found], pa.int64()),
+                pa.array([float(segmenter.score_of[x].sum()) for x in found], pa.float64()),
+                pa.array(same, pa.bool_()),
+            ]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "ids", "n_ids", "n_byte_ids", "score", "round_trip"])
 
     return docs.select("doc_id", "text").mapInArrow(encode, ENCODED)
 
@@ -183,7 +190,9 @@ def decode_ids(spark: SparkSession, encoded: DataFrame, model: str = MODEL) -> D
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         segmenter = Segmenter(sent.value)
         for batch in batches:
-            texts = [segmenter.decode(np.array(ids or [], dtype=np.int64)) for ids in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(texts, pa.string())], names=["doc_id", "text"])
+            for start in range(0, batch.num_rows, 256):  # the texts of some rows at a time
+                part = batch.slice(start, 256)
+                texts = [segmenter.decode(np.array(ids.as_py() or [], dtype=np.int64)) for ids in part.column(1)]
+                yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), pa.array(texts, pa.string())], names=["doc_id", "text"])
 
     return encoded.select("doc_id", "ids").mapInArrow(decode, "doc_id long, text string")
