@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from .shared import text_or_empty
 
 
+#: Tasks that a sample is dealt to.
+SAMPLE_TASKS = 8
+
+
 def fold(doc_id: Column, folds: int) -> Column:
     """crc32 of the id as text, modulo ``folds``; a null id counts as empty text."""
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit(""))) % folds

@@ -11,14 +11,16 @@ from __future__ import annotations
 
 import re
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from .labelled import fold, labelled_sample
+from .labelled import SAMPLE_TASKS, fold, labelled_sample
+from .shared import cut
 
 FOLDS, HELD_OUT = 4, 2
 #: Probability from which a document is kept.
@@ -39,7 +41,7 @@ SCORES = "doc_id long, held_out boolean, score double, predicted int"
 
 def shape(word: str) -> str:
     """Upper, lower, digit and other characters, runs shortened to two."""
-    kinds = "".join("X" if c.isupper() else "x" if c.isalpha() else "9" if c.isdigit() else c for c in word[:64])
+    kinds = "".join("X" if c.isupper() else "x" if c.isalpha() else "9" if c.isdigit() else c for c in word)
     return re.sub(r"(.)\1\1+", r"\1\1", kinds)
 
 
@@ -59,22 +61,38 @@ def index_vectors(hashes: np.ndarray) -> np.ndarray:
     return out
 
 
-def learn_vectors(docs: list[list[str]]) -> np.ndarray:
-    """Random indexing: each unit's row adds the index vectors of the words around it; rows have length 1 after that."""
+#: Words of a text whose contexts are summed at a time.
+STEP = 1 << 16
+
+
+def context_sums(texts: Iterable[str]) -> np.ndarray:
+    """Random indexing: to each unit's row the index vectors of the words around it are added. The sums are whole numbers."""
     known: dict[str, int] = {}
+    hashes, index = np.zeros((0, 2), dtype=np.int64), np.zeros((0, DIMS), dtype=np.float32)
     table = np.zeros((ROWS, DIMS), dtype=np.float64)
-    rows = [np.fromiter((known.setdefault(w, len(known)) for w in words), dtype=np.int64, count=len(words)) for words in docs]
-    hashes = np.array([unit_hashes(w) for w in known], dtype=np.int64).reshape(-1, 2)
-    index = index_vectors(hashes[:, 0]) + index_vectors(hashes[:, 1])
-    for ids in rows:
-        around = np.zeros((len(ids), DIMS), dtype=np.float64)
-        for d in range(1, min(CONTEXT, len(ids) - 1) + 1):
-            around[d:] += index[ids[:-d]]
-            around[:-d] += index[ids[d:]]
-        for unit in (0, 1):
-            np.add.at(table, hashes[ids, unit] % ROWS, around)
-    length = np.linalg.norm(table, axis=1, keepdims=True)
-    return (table / np.maximum(length, 1e-9)).astype(np.float32)
+    for text in texts:
+        words = text.split()
+        new = list(dict.fromkeys(w for w in words if w not in known))
+        if new:
+            known.update(zip(new, range(len(known), len(known) + len(new)), strict=True))
+            more = np.array([unit_hashes(w) for w in new], dtype=np.int64)
+            hashes, index = np.concatenate([hashes, more]), np.concatenate([index, index_vectors(more[:, 0]) + index_vectors(more[:, 1])])
+        ids = np.fromiter(map(known.__getitem__, words), dtype=np.int64, count=len(words))
+        for start in range(0, len(ids), STEP):
+            end = min(len(ids), start + STEP)
+            around = np.zeros((end - start, DIMS), dtype=np.float64)
+            for d in range(1, CONTEXT + 1):
+                before, after = ids[max(0, start - d) : end - d] if end > d else ids[:0], ids[start + d : end + d]
+                around[end - start - len(before) :] += index[before]
+                around[: len(after)] += index[after]
+            for unit in (0, 1):
+                np.add.at(table, hashes[ids[start:end], unit] % ROWS, around)
+    return table
+
+
+def unit_rows(table: np.ndarray) -> np.ndarray:
+    """Rows of length 1."""
+    return (table / np.maximum(np.linalg.norm(table, axis=1, keepdims=True), 1e-9)).astype(np.float32)
 
 
 class Pooler:
@@ -146,16 +164,14 @@ def temperature_of(odds: np.ndarray, labels: np.ndarray, weights: np.ndarray) ->
     return float(grid[int(np.argmin(loss))])
 
 
-def fit(texts: list[str], labels: np.ndarray, sizes: dict[int, int], hidden: int = 24, epochs: int = 60, rate: float = 0.01, decay: float = 1e-4, seed: int = 11) -> QualityNet:
-    """Fit vectors and network; every fifth row is kept apart for the temperature.
+def fit(table: np.ndarray, x: np.ndarray, labels: np.ndarray, sizes: dict[int, int], hidden: int = 24, epochs: int = 60, rate: float = 0.01, decay: float = 1e-4, seed: int = 11) -> QualityNet:
+    """Fit the network on pooled texts; every fifth row is kept apart for the temperature.
 
     Rows weigh so that the classes have their true shares. With one class only, that class gets every document.
     """
     labels = np.asarray(labels, dtype=float)
-    table = learn_vectors([t.split() for t in texts])
-    pooler = Pooler(table)
     width = 4 * DIMS + 3
-    x = np.array([pooler.pooled(t) for t in texts], dtype=np.float64).reshape(-1, width)
+    x = np.asarray(x, dtype=np.float64).reshape(-1, width)
     rng = np.random.default_rng(seed)
     w1, b1 = rng.normal(0, 1 / np.sqrt(width), (width, hidden)), np.zeros(hidden)
     w2, b2 = np.zeros(hidden), 0.0
@@ -192,11 +208,41 @@ def fit(texts: list[str], labels: np.ndarray, sizes: dict[int, int], hidden: int
 
 
 def fit_on(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> QualityNet:
-    """Fit on the bounded sample, whose texts come to the driver."""
+    """Fit on the bounded sample.
+
+    Texts stay with the executors: the driver gets the summed contexts (ROWS vectors at most) and a pooled vector for each
+    sampled row, and trains the network on these.
+    """
+    spark = docs.sparkSession
     sample, sizes = labelled_sample(docs, labels, "quality", FOLDS, HELD_OUT, per_class)
-    found = sample.select("doc_id", "text", "label").toArrow()
-    got = sorted(zip(found["doc_id"].to_pylist(), found["text"].to_pylist(), found["label"].to_pylist(), strict=True))
-    return fit([t for _, t, _ in got], np.array([y for _, _, y in got]), sizes)
+    sample = cut(sample.select("doc_id", "text", "label").repartition(SAMPLE_TASKS, "doc_id"), "quality-sample")
+
+    def contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums = context_sums(text.as_py() for batch in batches for text in batch.column(0))
+        used = np.flatnonzero(sums.any(axis=1))
+        columns = [pa.array(used.astype(np.int32)), *(pa.array(sums[used, i].astype(np.int64)) for i in range(DIMS))]
+        yield pa.RecordBatch.from_arrays(columns, names=["row", *names])
+
+    names = [f"v{i}" for i in range(DIMS)]
+    schema = ", ".join(["row int", *(f"{n} long" for n in names)])
+    summed = sample.select("text").mapInArrow(contexts, schema).groupBy("row").agg(*[F.sum(n).alias(n) for n in names]).toArrow()
+    table = np.zeros((ROWS, DIMS))
+    if summed.num_rows:
+        table[summed["row"].to_numpy()] = np.stack([summed[n].to_numpy() for n in names], axis=1)
+    table = unit_rows(table)
+    sent = spark.sparkContext.broadcast(table)
+
+    def pooled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pooler = Pooler(sent.value)
+        for batch in batches:
+            rows = [pooler.pooled(text.as_py()).tobytes() for text in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(rows, pa.binary())], names=["doc_id", "label", "x"])
+
+    found = sample.mapInArrow(pooled, "doc_id long, label int, x binary").toArrow()
+    got = sorted(zip(found["doc_id"].to_pylist(), found["x"].to_pylist(), found["label"].to_pylist(), strict=True))
+    net = fit(table, np.array([np.frombuffer(x, dtype=np.float32) for _, x, _ in got]), np.array([y for _, _, y in got]), sizes)
+    sent.unpersist()
+    return net
 
 
 def score_documents(spark: SparkSession, docs: DataFrame, net: QualityNet) -> DataFrame:
@@ -210,7 +256,7 @@ def score_documents(spark: SparkSession, docs: DataFrame, net: QualityNet) -> Da
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pooler = Pooler(sent.value.table)
         for batch in batches:
-            x = np.array([pooler.pooled(t or "") for t in batch.column(1).to_pylist()]).reshape(-1, 4 * DIMS + 3)
+            x = np.array([pooler.pooled(t.as_py() or "") for t in batch.column(1)]).reshape(-1, 4 * DIMS + 3)
             scores = sent.value.probability(x)
             predicted = pa.array((scores >= THRESHOLD).astype(np.int32), pa.int32())
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), batch.column(2), pa.array(scores, pa.float64()), predicted], names=["doc_id", "held_out", "score", "predicted"])
@@ -227,7 +273,7 @@ def good_documents(spark: SparkSession, docs: DataFrame, net: QualityNet) -> Dat
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pooler = Pooler(sent.value.table)
         for batch in batches:
-            x = np.array([pooler.pooled(t or "") for t in batch.column(at).to_pylist()]).reshape(-1, 4 * DIMS + 3)
+            x = np.array([pooler.pooled(t.as_py() or "") for t in batch.column(at)]).reshape(-1, 4 * DIMS + 3)
             yield batch.filter(pa.array(sent.value.probability(x) >= THRESHOLD))
 
     return docs.mapInArrow(keep, docs.schema)

@@ -16,9 +16,11 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from .labelled import fold, labelled_sample
+from .labelled import SAMPLE_TASKS, fold, labelled_sample
 from .lookup import Lookup
+from .shared import cut, list_column
 
 FOLDS, HELD_OUT = 5, 0
 #: Hash space of terms.
@@ -27,6 +29,8 @@ BUCKETS = 1 << 20
 KEPT = 4096
 #: Labelled rows of each class that are used for fitting, at most.
 PER_CLASS = 6000
+#: A bucket is kept if so many rows of the sample have it, and its presence depends on the label so much (chi-square).
+LEAST_ROWS, LEAST_CHI = 4, 12.0
 #: Lengths of the word beginnings that count as terms besides the word.
 PREFIXES = (4, 5, 6)
 
@@ -60,7 +64,7 @@ class FactorizationMachine:
         return float(1 / (1 + np.exp(-np.clip(self.log_odds(features), -40, 40))))
 
 
-def associated_buckets(rows: list[np.ndarray], labels: np.ndarray, kept: int, least_rows: int = 4, least_chi: float = 12.0) -> np.ndarray:
+def associated_buckets(rows: list[np.ndarray], labels: np.ndarray, kept: int, least_rows: int = LEAST_ROWS, least_chi: float = LEAST_CHI) -> np.ndarray:
     """Buckets whose presence depends most on the label, by chi-square."""
     n, positive = len(rows), int(labels.sum())
     df = lambda chosen: np.bincount(np.concatenate(chosen), minlength=BUCKETS) if chosen else np.zeros(BUCKETS, dtype=np.int64)
@@ -73,23 +77,28 @@ def associated_buckets(rows: list[np.ndarray], labels: np.ndarray, kept: int, le
     return np.sort(best[chi[best] >= least_chi])
 
 
-def fit(rows: list[np.ndarray], labels: np.ndarray, sizes: dict[int, int], rank: int = 4, epochs: int = 30, rate: float = 0.05, decay: float = 1e-4, seed: int = 7) -> FactorizationMachine:
+def fit(rows: list[np.ndarray], labels: np.ndarray, sizes: dict[int, int], **settings) -> FactorizationMachine:
+    """Choose buckets and train on rows of hashed terms."""
+    labels = np.asarray(labels, dtype=float)
+    buckets = associated_buckets(rows, labels, KEPT)
+    return train(buckets, [present(buckets, r) for r in rows], labels, sizes, **settings)
+
+
+def train(buckets: np.ndarray, features: list[np.ndarray], labels: np.ndarray, sizes: dict[int, int], rank: int = 4, epochs: int = 30, rate: float = 0.05, decay: float = 1e-4, seed: int = 7) -> FactorizationMachine:
     """Adam on the log loss in small batches. The bias is moved to the classes' true shares afterwards."""
     labels = np.asarray(labels, dtype=float)
     positive, negative = labels.sum(), len(labels) - labels.sum()
     if not positive or not negative:
         return FactorizationMachine(np.zeros(0, dtype=np.int64), 20.0 if positive else -20.0, np.zeros(0), np.zeros((0, rank)))
-    buckets = associated_buckets(rows, labels, KEPT)
     n, rng = len(buckets), np.random.default_rng(seed)
     if n == 0:
         return FactorizationMachine(buckets, float(np.log(positive / negative)), np.zeros(0), np.zeros((0, rank)))
-    features = [present(buckets, r) for r in rows]
     theta = np.concatenate([np.zeros((n, 1)), rng.normal(0, 0.01, (n, rank))], axis=1)
     bias, m, s = float(np.log(positive / negative)), np.zeros_like(theta), np.zeros_like(theta)
     m0 = s0 = 0.0
     step = 0
     for _ in range(epochs):
-        for at in np.array_split(rng.permutation(len(rows)), max(1, len(rows) // 256)):
+        for at in np.array_split(rng.permutation(len(features)), max(1, len(features) // 256)):
             step += 1
             flat = np.concatenate([features[i] for i in at])
             row = np.repeat(np.arange(len(at)), [len(features[i]) for i in at])
@@ -123,18 +132,38 @@ def present(buckets: np.ndarray, terms: np.ndarray) -> np.ndarray:
 
 
 def fit_on(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> FactorizationMachine:
-    """Fit on the bounded sample; only its hashed terms come to the driver."""
+    """Fit on the bounded sample. Terms are counted where they are; the driver gets the buckets kept and, for each sampled row, which it has."""
+    spark = docs.sparkSession
     sample, sizes = labelled_sample(docs, labels, "toxic", FOLDS, HELD_OUT, per_class)
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = Lookup(word_terms)
         for batch in batches:
-            rows = [np.unique(known.gather(known.ids(words_of(t.lower())))).astype(np.int32).tobytes() for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(rows, pa.binary())], names=["doc_id", "label", "terms"])
+            for one in range(batch.num_rows):  # row by row: the terms of a text take more room than the text
+                row = batch.slice(one, 1)
+                terms = np.unique(known.gather(known.ids(words_of(row.column(1)[0].as_py().lower())))).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([row.column(0), row.column(2), list_column([terms], pa.int32())], names=["doc_id", "label", "terms"])
+
+    dealt = sample.select("doc_id", "text", "label").repartition(SAMPLE_TASKS, "doc_id")
+    rows = cut(dealt.mapInArrow(hashed, "doc_id long, label int, terms array<int>"), "toxicity-sample")
+    n, positive = rows.agg(F.count(F.lit(1)), F.coalesce(F.sum("label"), F.lit(0))).first()
+    have = rows.select("label", F.explode("terms").alias("term")).groupBy("term").agg(F.count(F.lit(1)).cast("double").alias("seen"), F.sum("label").cast("double").alias("a"))
+    b, seen, negative = F.col("seen") - F.col("a"), F.col("seen"), n - positive
+    below = seen * (n - seen) * float(positive) * float(negative)
+    apart = F.col("a") * (negative - b) - b * (positive - F.col("a"))
+    chi = F.when((seen >= LEAST_ROWS) & (below > 0), float(n) * apart * apart / below).otherwise(0.0)
+    best = have.select("term", chi.alias("chi")).where(F.col("chi") >= LEAST_CHI).orderBy(F.desc("chi"), "term").limit(KEPT)
+    buckets = np.sort(np.array(best.select("term").toArrow()["term"].to_pylist(), dtype=np.int64))
+    sent = spark.sparkContext.broadcast(buckets)
+
+    def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [present(sent.value, terms.values.to_numpy(zero_copy_only=False).astype(np.int64)).astype(np.int32).tobytes() for terms in batch.column(2)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(found, pa.binary())], names=["doc_id", "label", "places"])
 
-    found = sample.select("doc_id", "text", "label").mapInArrow(hashed, "doc_id long, label int, terms binary").toArrow()
-    got = sorted(zip(found["doc_id"].to_pylist(), found["terms"].to_pylist(), found["label"].to_pylist(), strict=True))
-    return fit([np.frombuffer(t, dtype=np.int32).astype(np.int64) for _, t, _ in got], np.array([y for _, _, y in got]), sizes)
+    found = rows.mapInArrow(places, "doc_id long, label int, places binary").toArrow()
+    got = sorted(zip(found["doc_id"].to_pylist(), found["places"].to_pylist(), found["label"].to_pylist(), strict=True))
+    return train(buckets, [np.frombuffer(p, dtype=np.int32).astype(np.int64) for _, p, _ in got], np.array([y for _, _, y in got]), sizes)
 
 
 def score_documents(spark: SparkSession, docs: DataFrame, model: FactorizationMachine) -> DataFrame:
@@ -152,8 +181,8 @@ def score_documents(spark: SparkSession, docs: DataFrame, model: FactorizationMa
         known = Lookup(lambda w: [place[t] for t in word_terms(w) if t in place])
         for batch in batches:
             scores = []
-            for text in batch.column(1).to_pylist():
-                found = known.gather(known.ids(words_of((text or "").lower())))
+            for text in batch.column(1):
+                found = known.gather(known.ids(words_of((text.as_py() or "").lower())))
                 scores.append(machine.score(np.unique(found).astype(np.int64)))
             predicted = pa.array([int(x >= 0.5) for x in scores], pa.int32())
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), batch.column(2), pa.array(scores, pa.float64()), predicted], names=["doc_id", "held_out", "score", "predicted"])

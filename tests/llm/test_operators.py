@@ -78,6 +78,27 @@ def test_segmentation_is_the_best_one():
         assert seg.decode(ids) == text
 
 
+def test_real_vocabulary_against_a_plain_viterbi():
+    pieces = sentence_pieces.load_pieces()
+    seg = sentence_pieces.Segmenter(pieces)
+    score = dict(zip(pieces.texts, pieces.scores, strict=True))
+    assert max(pieces.scores) < 0 and len({round(x, 9) for x in pieces.scores}) > 30_000
+    longest = max(map(len, score))
+    for text in ("The quick brown fox jumps over the lazy dog.", "  zwei  Wörter\n\nund 日本語 \U0001f600!", "x" * 50, "aaaa bbbb\tcc"):
+        m = (" " + text).replace(" ", "▁")
+        top = [0.0] + [float("-inf")] * len(m)
+        for e in range(1, len(m) + 1):
+            top[e] = max([top[e - n] + score[m[e - n : e]] for n in range(1, min(e, longest) + 1) if m[e - n : e] in score] + ([] if m[e - 1] in seg.single else [top[e - 1] + seg.byte_score * len(m[e - 1].encode())]))
+        ids = seg.encode(text)
+        assert abs(seg.score_of[ids].sum() - top[-1]) < 1e-6 and seg.decode(ids) == text
+
+
+def test_very_long_words_and_texts(spark):
+    texts = ["q" * 300_000, "ab " * 200_000, "é" * 100_000, " " * 50_000]
+    rows = sentence_pieces.encode_documents(spark, docs_frame(spark, [(i, t, "en") for i, t in enumerate(texts)])).select("doc_id", "round_trip").collect()
+    assert sorted(r["doc_id"] for r in rows) == [0, 1, 2, 3] and all(r["round_trip"] for r in rows)
+
+
 def test_encoding_round_trip(spark, nasty, nothing):
     rows = sentence_pieces.encode_documents(spark, nasty).collect()
     assert len(rows) == len(NASTY) and all(r["round_trip"] and r["n_ids"] == len(r["ids"]) for r in rows)
@@ -272,6 +293,37 @@ def test_classifiers(spark, nasty, nothing):
     assert kept.schema == docs.schema
 
 
+def test_contexts_are_those_of_a_plain_sum(monkeypatch):
+    texts = ["a b c a", "b", "", "c c b a d e f g h"]
+    monkeypatch.setattr(quality_net, "STEP", 3)
+    want = np.zeros((quality_net.ROWS, quality_net.DIMS))
+    index = lambda w: sum(quality_net.index_vectors(np.array([h]))[0] for h in quality_net.unit_hashes(w))
+    for t in texts:
+        w = t.split()
+        for i in range(len(w)):
+            around = sum((index(w[j]) for j in range(max(0, i - 2), min(len(w), i + 3)) if j != i), np.zeros(quality_net.DIMS))
+            for h in quality_net.unit_hashes(w[i]):
+                want[h % quality_net.ROWS] += around
+    assert np.array_equal(quality_net.context_sums(texts), want)
+
+
+def test_temperature_calibrates():
+    rng = np.random.default_rng(3)
+    odds = rng.normal(0, 2, 20_000)
+    labels = (rng.random(20_000) < 1 / (1 + np.exp(-odds))).astype(float)
+    assert abs(quality_net.temperature_of(3 * odds, labels, np.ones(20_000)) - 3) < 0.3
+
+
+def test_buckets_are_those_of_a_plain_count(spark):
+    rows = labelled(random.Random(9), 200)
+    docs = docs_frame(spark, [(d, t, "en") for d, t, _, _ in rows])
+    labels = spark.createDataFrame([(d, x) for d, _, x, _ in rows], "doc_id long, toxic int")
+    own = [r for r in rows if zlib.crc32(str(r[0]).encode()) % 5]
+    terms = [np.unique([t for w in toxicity_fm.words_of(r[1].lower()) for t in toxicity_fm.word_terms(w)]) for r in own]
+    want = toxicity_fm.associated_buckets(terms, np.array([r[2] for r in own]), toxicity_fm.KEPT)
+    assert np.array_equal(toxicity_fm.fit_on(docs, labels).buckets, want)
+
+
 def test_pairs_matter_to_the_factorization_machine():
     rng = random.Random(0)
     words = [toxicity_fm.word_terms(w) for w in ("alpha", "omega", "plain", "other")]
