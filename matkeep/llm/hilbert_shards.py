@@ -13,9 +13,10 @@ from __future__ import annotations
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .shared import cut, global_index, text_or_empty
+from .shared import cut, global_index, text_or_empty, unused
 
 #: Bits of each dimension after quantisation.
 BITS = 5
@@ -130,16 +131,35 @@ def hilbert_shards(docs: DataFrame, shards: int = 16, bits: int = BITS) -> DataF
 
 
 def write_shards(docs: DataFrame, placed: DataFrame, path: str) -> None:
-    """Write the documents as one folder for each shard, in slot order within each file."""
-    keyed = docs.withColumn("_crc", F.crc32(text_or_empty()))
-    where = placed.select(F.col("doc_id").alias("_id"), F.col("text_crc32").alias("_c"), "shard", "slot").dropDuplicates(["_id", "_c"])
-    out = keyed.join(where, keyed["doc_id"].eqNullSafe(where["_id"]) & (F.col("_crc") == F.col("_c"))).drop("_id", "_c", "_crc")
+    """Write the documents, all columns, as one folder ``shard=`` for each shard, in slot order within each file.
+
+    A document and its place meet by doc_id, null included, and text checksum; repeated rows by their number among
+    themselves. A column of ``docs`` named shard or slot keeps its values under the name ``own_shard`` or ``own_slot``.
+    """
+    own = docs.withColumnsRenamed({c: unused(f"own_{c.lower()}", docs) for c in docs.columns if c.lower() in ("shard", "slot")})
+    names = {c: unused(f"_{c}", own) for c in ("id", "crc", "nth")}
+    keyed = _numbered(own.withColumn(names["crc"], F.crc32(text_or_empty())), "doc_id", names["crc"], names["nth"])
+    where = placed.select(F.col("doc_id").alias(names["id"]), F.col("text_crc32").alias("_crc_there"), "shard", "slot")
+    where = _numbered(where, names["id"], "_crc_there", "_nth_there")
+    met = keyed["doc_id"].eqNullSafe(where[names["id"]]) & (keyed[names["crc"]] == where["_crc_there"]) & (keyed[names["nth"]] == where["_nth_there"])
+    out = keyed.join(where, met).select(*own.columns, "shard", "slot")
     out.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
 
 
+def _numbered(df: DataFrame, key: str, crc: str, name: str) -> DataFrame:
+    """Numbers the rows of one id and checksum; which of equal rows is which does not matter."""
+    return df.withColumn(name, F.row_number().over(W.partitionBy(key, crc).orderBy(F.lit(0))))
+
+
 def shard_statistics(docs: DataFrame, placed: DataFrame) -> DataFrame:
-    """Per shard the bounds a reader prunes with."""
-    joined = docs.select("doc_id", "lang", "source").join(placed.select("doc_id", "shard", "size"), "doc_id")
+    """Per shard the number of rows and the bounds a reader prunes with.
+
+    Rows of ``docs`` and ``placed`` meet as in ``write_shards``, so repeated and null ids count once for each row.
+    """
+    own = docs.select(F.col("doc_id").alias("_id"), F.crc32(text_or_empty()).alias("_crc"), "lang", "source")
+    own = _numbered(own, "_id", "_crc", "_nth")
+    there = _numbered(placed.select("doc_id", "text_crc32", "shard", "size"), "doc_id", "text_crc32", "_n")
+    joined = there.join(own, there["doc_id"].eqNullSafe(own["_id"]) & (there["text_crc32"] == own["_crc"]) & (there["_n"] == own["_nth"]))
     return joined.groupBy("shard").agg(
         F.count(F.lit(1)).alias("n_rows"),
         *[f(c).alias(f"{n}_{c}") for c in ("lang", "source", "size") for n, f in (("min", F.min), ("max", F.max))],

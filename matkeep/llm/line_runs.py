@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .shared import cut, global_index, text_or_empty
+from .shared import cut, global_index, text_or_empty, unused
 
 #: A repeated run is deleted if its lines have so many words or more together.
 MIN_WORDS = 10
@@ -118,21 +118,44 @@ def later_copies(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     return covered.join(places.select(*_KEY, "seq", "pos"), [*_KEY, "seq"]).select(*_KEY, "pos")
 
 
-def dedup_lines(spark: SparkSession, docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """The documents with their columns, ``text`` without the deleted lines, and n_lines and n_removed besides.
-
-    n_lines counts lines with a word before, n_removed those deleted. Blank lines are no part of runs and stay. A null
-    text stays null. Rows with equal doc_id and text are one document and get the same text. An empty table stays
-    empty. Other columns of ``docs`` are carried, whatever their names; n_lines and n_removed are replaced.
-    """
+def _with_counts(docs: DataFrame, min_words: int) -> tuple[DataFrame, str, str]:
+    """The documents with the text that is left, and two more columns, whose names come with them: lines before, lines deleted."""
     gone = later_copies(docs, min_words).groupBy(*_KEY).agg(F.collect_list("pos").alias("_gone"))
-    gone = _small(cut(gone.withColumnsRenamed({"did": "_did", "th": "_th"}), "deleted-lines"))
+    gone = cut(gone.withColumnsRenamed({"did": "_did", "th": "_th"}), "deleted-lines")
+    # What is broadcast is arrays, so their entries count.
+    entries = gone.agg(F.coalesce(F.sum(F.size("_gone") + 3), F.lit(0))).first()[0]
+    gone = F.broadcast(gone) if entries <= BROADCAST_ROWS else gone.hint("shuffle_hash")
     text, dead = docs["text"], gone["_gone"]
-    met = docs.join(gone.hint("shuffle_hash"), (_did(docs["doc_id"]) == gone["_did"]) & (F.xxhash64(text_or_empty(text)) == gone["_th"]), "left")
+    met = docs.join(gone, (_did(docs["doc_id"]) == gone["_did"]) & (F.xxhash64(text_or_empty(text)) == gone["_th"]), "left")
     lines = F.split(text, "\n")
     left = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), dead)
     kept = F.when(dead.isNull(), text).otherwise(F.array_join(F.transform(left, lambda i: F.get(lines, i)), "\n"))
     n_lines = F.size(F.filter(F.split(text_or_empty(text), "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))).cast("long")
     n_removed = F.when(dead.isNull(), 0).otherwise(F.size(dead)).cast("long")
-    own = [kept.alias(c) if c == "text" else docs[c] for c in docs.columns if c not in ("n_lines", "n_removed")]
-    return met.select(*own, n_lines.alias("n_lines"), n_removed.alias("n_removed"))
+    before, deleted = unused("n_lines", docs), unused("n_removed", docs)
+    own = [kept.alias(c) if c == "text" else docs[c] for c in docs.columns]
+    return met.select(*own, n_lines.alias(before), n_removed.alias(deleted)), before, deleted
+
+
+def dedup_lines(spark: SparkSession, docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """The documents with their columns, ``text`` without the deleted lines, and n_lines and n_removed besides.
+
+    n_lines counts lines with a word before, n_removed those deleted. Blank lines are no part of runs and stay. A null
+    text stays null. Rows with equal doc_id and text are one document and get the same text. An empty table stays
+    empty. Other columns of ``docs`` are carried, whatever their names; where ``docs`` has a column n_lines or n_removed,
+    the new one gets an underscore in front.
+    """
+    return _with_counts(docs, min_words)[0]
+
+
+def documents_left(spark: SparkSession, docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
+    """The documents, their columns and no more, without the deleted lines; those of which nothing but blank lines is left go.
+
+    A column n_chars is counted anew where lines went.
+    """
+    done, before, deleted = _with_counts(docs, min_words)
+    left = done.where((F.col(deleted) == 0) | (F.col(deleted) < F.col(before)))
+    if "n_chars" in docs.columns:
+        length = F.char_length("text").cast(docs.schema["n_chars"].dataType)
+        left = left.withColumn("n_chars", F.when(F.col(deleted) > 0, length).otherwise(F.col("n_chars")))
+    return left.select(*docs.columns)

@@ -27,7 +27,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import cut, list_column, sliced
+from .shared import cut, list_column, sliced, unused
 
 WIDTH = 5
 #: Similarity in hundredths: linked if 100 * intersection >= SHARE * union.
@@ -448,11 +448,12 @@ def one_of_each_group(spark: SparkSession, docs: DataFrame) -> DataFrame:
 
     Rows of a null doc_id stay. Of rows that share the smallest doc_id one of each text stays.
     """
-    grouped = similar_components(spark, docs)
-    gone = cut(grouped.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct(), "near-copies")
-    kept = docs.join(_small(gone), docs["doc_id"] == F.col("_gone"), "left_anti")
-    twice = grouped.where("doc_id = component_id").groupBy(F.col("doc_id").alias("_twice")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("_twice")
-    twice = _small(cut(twice, "repeated-ids"))
+    grouped = cut(similar_components(spark, docs), "grouped")
+    away, twice = unused("gone", docs), unused("twice", docs)
+    gone = cut(grouped.where("doc_id <> component_id").select(F.col("doc_id").alias(away)).distinct(), "near-copies")
+    kept = docs.join(_small(gone), docs["doc_id"] == F.col(away), "left_anti")
+    again = grouped.where("doc_id = component_id").groupBy(F.col("doc_id").alias(twice)).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(twice)
+    again = _small(cut(again, "repeated-ids"))
     # Only rows of repeated ids are shuffled.
-    once, again = (kept.join(twice, kept["doc_id"] == F.col("_twice"), how) for how in ("left_anti", "left_semi"))
-    return once.unionByName(again.dropDuplicates(["doc_id", "text"]))
+    once, more = (kept.join(again, kept["doc_id"] == F.col(twice), how) for how in ("left_anti", "left_semi"))
+    return once.unionByName(more.dropDuplicates(["doc_id", "text"]))

@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .shared import cut, text_or_empty
+from .shared import cut, text_or_empty, unused
 
 #: Words of a window; at most 63.
 WINDOW = 10
@@ -67,6 +67,9 @@ class PhraseWindows:
 
 
 def phrase_windows(benchmark: DataFrame, width: int = WINDOW) -> PhraseWindows:
+    """Raises ValueError for a width that is no number from 1 to 63: places in a window are bits of a long."""
+    if not 1 <= width <= 63:
+        raise ValueError(f"windows are of 1 to 63 words, not {width}")
     items = benchmark.select("item_id", F.transform(words(text_or_empty()), folded).alias("ws")).where(F.size("ws") > 0)
     starts = F.sequence(F.lit(0), F.greatest(F.size("ws") - width, F.lit(0)))
     each = items.select("item_id", F.explode(F.transform(starts, lambda s: F.slice(F.col("ws"), s + 1, width))).alias("ws"))
@@ -161,5 +164,6 @@ def clean_documents(spark: SparkSession, docs: DataFrame, benchmark: DataFrame,
     windows = phrase_windows(benchmark, width)
     dirty = cut(phrase_matches(build_index(docs, windows.terms), windows).select(*_KEY).distinct(), "contaminated")
     did, th = F.coalesce(docs["doc_id"].cast("long"), F.lit(-(2**63))), F.xxhash64(text_or_empty(docs["text"]))
-    dirty = small(dirty.withColumnsRenamed({"did": "_did", "th": "_th"}))
-    return docs.join(dirty, (did == dirty["_did"]) & (th == dirty["_th"]), "left_anti")
+    names = {c: unused(f"_{c}", docs) for c in _KEY}
+    dirty = small(dirty.withColumnsRenamed(names))
+    return docs.join(dirty, (did == dirty[names["did"]]) & (th == dirty[names["th"]]), "left_anti")

@@ -406,6 +406,64 @@ def test_shards(spark, nasty, nothing, tmp_path):
     assert all(sorted(s) == list(range(len(s))) for s in slots.values()) and set(slots) == set(range(16))
     assert max(map(len, slots.values())) - min(map(len, slots.values())) <= 1
     assert hilbert_shards.hilbert_shards(nothing).count() == 0
-    hilbert_shards.write_shards(docs.select("doc_id", "text", "lang", "source"), placed, f"{tmp_path}/out")
-    assert spark.read.parquet(f"{tmp_path}/out").count() == len(rows)
-    assert hilbert_shards.shard_statistics(docs, placed).count() == 16
+    hilbert_shards.write_shards(docs, placed, f"{tmp_path}/out")
+    back = spark.read.parquet(f"{tmp_path}/out")
+    assert back.count() == len(rows) and {r["own_shard"] for r in back.collect()} == {3}
+    assert sorted((r["shard"], r["slot"]) for r in back.collect()) == sorted((r["shard"], r["slot"]) for r in got)
+    stats = {r["shard"]: r["n_rows"] for r in hilbert_shards.shard_statistics(docs, placed).collect()}
+    assert stats == {k: len(v) for k, v in slots.items()}
+
+
+def plain_hilbert(axes, bits):
+    """The curve by its recursion: at each bit the quadrant's number in Gray order, then the frame is turned."""
+    n, x = len(axes), list(axes)
+    q = 1 << (bits - 1)
+    while q > 1:
+        for i in range(n):
+            if x[i] & q:
+                x[0] ^= q - 1
+            else:
+                t = (x[0] ^ x[i]) & (q - 1)
+                x[0] ^= t
+                x[i] ^= t
+        q >>= 1
+    for i in range(1, n):
+        x[i] ^= x[i - 1]
+    t, q = 0, 1 << (bits - 1)
+    while q > 1:
+        if x[n - 1] & q:
+            t ^= q - 1
+        q >>= 1
+    x = [v ^ t for v in x]
+    out = 0
+    for b in range(bits - 1, -1, -1):
+        for v in x:
+            out = out << 1 | v >> b & 1
+    return out
+
+
+def test_cells_and_pruning(spark):
+    rng = random.Random(21)
+    rows = [(i, "w " * rng.randrange(1, 60), rng.choice(["de", "en", "fr", "zz"])) for i in range(600)]
+    docs = docs_frame(spark, rows).withColumn("source", F.concat(F.lit("s"), F.pmod("doc_id", F.lit(5)).cast("string")))
+    grid = spark.range(512).select(*[F.shiftright("id", 3 * i).bitwiseAND(F.lit(7).cast("long")).alias(f"x{i}") for i in range(3)])
+    got = grid.select("*", hilbert_shards.hilbert_index([F.col(f"x{i}") for i in range(3)], 3).alias("h")).collect()
+    assert all(r["h"] == plain_hilbert([r["x0"], r["x1"], r["x2"]], 3) for r in got)
+    stats = hilbert_shards.shard_statistics(docs, hilbert_shards.hilbert_shards(docs)).collect()
+    for column in ("lang", "source", "size"):  # a reader that looks for one value skips files, whichever dimension it asks of
+        values = ["de", "zz"] if column == "lang" else ["s0", "s4"] if column == "source" else [3, 110]
+        read = [sum(r[f"min_{column}"] <= v <= r[f"max_{column}"] for r in stats) for v in values]
+        assert min(read) < 16
+
+
+def test_clashing_columns_and_empty_tables(spark, nasty, nothing):
+    clash = nasty.selectExpr("doc_id", "text", "lang", "1 AS n_lines", "2 AS N_REMOVED", "3 AS _gone", "4 AS gone", "5 AS _did", "6 AS twice")
+    out = line_runs.dedup_lines(spark, clash)
+    assert out.columns == [*clash.columns, "_n_lines", "_n_removed"] and {r["n_lines"] for r in out.collect()} == {1}
+    for call in (line_runs.documents_left, ngram_join.one_of_each_group):
+        assert call(spark, clash).columns == clash.columns and call(spark, clash.limit(0)).count() == 0
+    bench = spark.createDataFrame([(1, "another text")], "item_id long, text string")
+    left = phrase_index.clean_documents(spark, clash, bench)
+    assert left.columns == clash.columns and left.count() == len(NASTY) - 1
+    with pytest.raises(ValueError):
+        phrase_index.phrase_windows(bench, 64)
