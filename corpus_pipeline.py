@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from matkeep.llm import line_runs, ngram_join, phrase_index, quality_net, sentence_pieces
 from matkeep.llm.shared import cut, table
@@ -16,12 +15,7 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Later copies of repeated line runs go, and with them documents of which nothing but blank lines is left."""
-    done = line_runs.dedup_lines(spark, docs)
-    left = done.where((F.col("n_removed") == 0) | (F.col("n_removed") < F.col("n_lines")))
-    if "n_chars" in docs.columns:
-        length = F.char_length("text").cast(docs.schema["n_chars"].dataType)
-        left = left.withColumn("n_chars", F.when(F.col("n_removed") > 0, length).otherwise(F.col("n_chars")))
-    return left.select(*docs.columns)
+    return line_runs.documents_left(spark, docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
