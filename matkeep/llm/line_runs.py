@@ -121,10 +121,8 @@ def later_copies(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 def _with_counts(docs: DataFrame, min_words: int) -> tuple[DataFrame, str, str]:
     """The documents with the text that is left, and two more columns, whose names come with them: lines before, lines deleted."""
     gone = later_copies(docs, min_words).groupBy(*_KEY).agg(F.collect_list("pos").alias("_gone"))
-    gone = cut(gone.withColumnsRenamed({"did": "_did", "th": "_th"}), "deleted-lines")
-    # What is broadcast is arrays, so their entries count.
-    entries = gone.agg(F.coalesce(F.sum(F.size("_gone") + 3), F.lit(0))).first()[0]
-    gone = F.broadcast(gone) if entries <= BROADCAST_ROWS else gone.hint("shuffle_hash")
+    # Deleted lines grow with the table, so they are never broadcast: the same plan at every size.
+    gone = cut(gone.withColumnsRenamed({"did": "_did", "th": "_th"}), "deleted-lines").hint("shuffle_hash")
     text, dead = docs["text"], gone["_gone"]
     met = docs.join(gone, (_did(docs["doc_id"]) == gone["_did"]) & (F.xxhash64(text_or_empty(text)) == gone["_th"]), "left")
     lines = F.split(text, "\n")
