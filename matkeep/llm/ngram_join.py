@@ -346,7 +346,7 @@ def similar_components(spark: SparkSession, docs: DataFrame) -> DataFrame:
         if not left:
             break
         if last := turn == LEADER_ROUNDS or left <= room:
-            pairs = _all_between(cut(_split_by_second(open_lists, reps), "split-lists"))
+            pairs = _all_between(_split_by_second(open_lists, reps))
         else:
             pairs = _to_leaders(open_lists, turn)
         if tried is not None:
@@ -415,23 +415,34 @@ def _split_by_second(lists: DataFrame, reps: DataFrame) -> DataFrame:
     """Lists of more than LONG_LIST rows are split: rows stay together only if they share a shingle of the second order too.
 
     What is similar shares a prefix shingle under either order, so every pair still meets, in a list of such a couple.
-    Couples of rows of one component only are left out.
+    Couples of rows of one component only are left out. ``before`` is the row's list before this one, ``beside`` its
+    couple before this one; see ``_all_between``.
     """
-    long = cut(lists.groupBy("tok").agg(F.count(F.lit(1)).alias("rows")).where(F.col("rows") > LONG_LIST).select("tok"), "long-lists")
-    second = reps.select(F.col("doc_id").alias("d"), F.posexplode(F.array_distinct("p2")).alias("j", "second"))
-    inside = lists.join(_small(long), "tok", "left_semi").join(second, "d")
+    size = lists.groupBy("tok").agg(F.count(F.lit(1)).alias("rows"))
+    long = _small(cut(size.where(F.col("rows") > LONG_LIST).select("tok"), "long-lists"))
+    lists = lists.withColumn("before", F.lag("tok").over(W.partitionBy("d").orderBy("i", "tok")))
     # The first common shingle of the second order stands no further behind than that of the first may.
-    inside = inside.where(F.col("j") <= F.col("n") - F.ceil(SHARE * (F.col("n") + F.ceil(SHARE * F.col("n") / 100)) / (100 + SHARE)))
-    couples = cut(inside.withColumn("tok", F.xxhash64("tok", "second")).select(*lists.columns), "couples")
+    reach = F.col("n") - F.ceil(SHARE * (F.col("n") + F.ceil(SHARE * F.col("n") / 100)) / (100 + SHARE))
+    second = reps.select(F.col("doc_id").alias("d"), F.slice("p2", F.lit(1), F.greatest(reach, F.lit(0)).cast("int") + 1).alias("p2"))
+    couple = F.transform("p2", lambda x, j: F.struct(F.xxhash64("tok", x).alias("tok"), F.when(j > 0, F.get("p2", j - 1)).alias("beside")))
+    inside = lists.join(long, "tok", "left_semi").join(second, "d").select("d", "n", "i", "c", "before", F.explode(couple).alias("couple"))
+    couples = cut(inside.select(F.col("couple.tok").alias("tok"), "d", "n", "i", "c", "before", F.col("couple.beside").alias("beside")), "couples")
     mixed_ones = couples.groupBy("tok").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("tok")
-    return lists.join(_small(long), "tok", "left_anti").unionByName(couples.join(mixed_ones, "tok", "left_semi"))
+    rest = lists.join(long, "tok", "left_anti").select("tok", "d", "n", "i", "c", "before", F.lit(None).cast("int").alias("beside"))
+    return rest.unionByName(couples.join(mixed_ones, "tok", "left_semi"))
 
 
 def _all_between(lists: DataFrame) -> DataFrame:
-    """All pairs of members of one list and of different components whose sizes allow a link."""
-    x, y = (lists.select("tok", *[F.col(c).alias(f"{c}{s}") for c in ("d", "n", "c", "i")]) for s in "xy")
-    met = x.join(y, "tok").where((F.col("dx") < F.col("dy")) & (F.col("cx") != F.col("cy")) & _fits("nx", "ny") & _near_front("nx", "ix", "ny", "iy"))
-    return met.select(*_pair("dx", "dy")).distinct()
+    """All pairs of members of one list and of different components whose sizes allow a link.
+
+    A pair that has met in the list before this one, the same for both rows, is not brought up again: near copies share
+    long stretches of their prefixes, and would meet in each list of these.
+    """
+    columns = ("d", "n", "c", "i", "before", "beside")
+    x, y = (lists.select("tok", *[F.col(c).alias(f"{c}{s}") for c in columns]) for s in "xy")
+    again = F.coalesce(F.col("beforex") == F.col("beforey"), F.lit(False)) | F.coalesce(F.col("besidex") == F.col("besidey"), F.lit(False))
+    fits = (F.col("dx") < F.col("dy")) & (F.col("cx") != F.col("cy")) & _fits("nx", "ny") & _near_front("nx", "ix", "ny", "iy")
+    return x.join(y, "tok").where(fits & ~again).select(*_pair("dx", "dy")).distinct()
 
 
 def _between_components(lists: DataFrame, links: DataFrame) -> DataFrame:
