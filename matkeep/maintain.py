@@ -23,9 +23,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .lang import Rule, RuleError
-from .materialise import RoundLimit, materialise
+from .materialise import RoundLimit, as_facts, materialise
 from .plans.firing import Bag, View, bag_affected, bag_union, columns_of, head_of, match_backward, meet, minus, together
-from .store import Growing, Materialisation, add_counts, settle, settle_all, settle_bag
+from .store import Growing, Layers, Materialisation, add_counts, fold_counts, settle, settle_all, settle_bag
 from .strata import Stratification
 
 STRATEGIES = ("odr", "odr_2c", "pbd", "pbd_1c", "counting", "remat", "remat_1c", "remat_2c")
@@ -39,6 +39,8 @@ class Options:
     early_stop: bool = True
     collect_work: bool = False
     max_rounds: int = 10_000
+    #: Parts of a sum that stand side by side before they are written as one.
+    checkpoint_every: int = 8
 
 
 @dataclass
@@ -60,7 +62,8 @@ class UpdateReport:
 
 
 def normalise(explicit: dict[str, DataFrame], removed: dict[str, DataFrame], added: dict[str, DataFrame]) -> tuple[dict, dict]:
-    """Deletions of facts that are there and are not asserted anew; insertions of facts that are not there."""
+    """Deletions of facts that are there and are not asserted anew; insertions of facts that are not there; each once."""
+    removed, added = ({p: as_facts(df) for p, df in side.items()} for side in (removed, added))
     gone = {p: minus(meet(df, explicit.get(p)), added.get(p)) for p, df in removed.items()}
     new = {p: minus(df, explicit.get(p)) for p, df in added.items()}
     return settle_all(gone)[0], settle_all(new)[0]
@@ -208,9 +211,13 @@ class _Update:
 
     def _raise(self, base: Bag, rec: Bag, nr: bool, r: bool) -> None:
         if nr and base:
-            self.signed.append((base, 1, 0))
+            self.sign(base, 1, 0)
         if r and rec:
-            self.signed.append((rec, 0, 1))
+            self.sign(rec, 0, 1)
+
+    def sign(self, bag: Bag, nr: int, r: int) -> None:
+        """Notes a change of counters."""
+        self.signed = fold_counts([*self.signed, (bag, nr, r)], self.options.checkpoint_every)
 
     def _limit(self, step: int) -> None:
         if step > self.options.max_rounds:
@@ -253,8 +260,10 @@ class _Update:
 
     def after_spread(self, bag: Bag) -> None:
         if self.strategy == "odr_2c" and bag:
-            self.signed.append((bag, 0, -1))
+            self.sign(bag, 0, -1)
             self._lost_r.append(bag)
+            if len(self._lost_r) > self.options.checkpoint_every:
+                self._lost_r = [settle_all(bag_union(*self._lost_r))[0]]
 
     def nonrecursive_left(self, p: str, facts: DataFrame, lost_nr: Bag) -> DataFrame:
         """The facts whose nonrecursive counter is zero after the losses."""
@@ -273,7 +282,7 @@ class _Update:
         lost = bag_union(self.explicit_bag(self.gone, s), self.lost_below(self.strat.nonrecursive(s), "delete_seed"))
         lost = settle_all(lost)[0]
         if lost:
-            self.signed.append((lost, -1, 0))
+            self.sign(lost, -1, 0)
         return lost
 
     def odr_2c(self, s: int) -> None:
@@ -282,7 +291,7 @@ class _Update:
         lost_r = self.lost_below(rec, "delete_seed")
         self._lost_r = [lost_r] if lost_r else []
         if lost_r:
-            self.signed.append((lost_r, 0, -1))
+            self.sign(lost_r, 0, -1)
         gate = lambda facts: {p: self.nonrecursive_left(p, df, lost_nr) for p, df in facts.items()}
         seed = bag_union(lost_nr, lost_r)
         self._overdelete(settle_all(gate(self.not_in(self.D, seed)))[0], rec, gate)
@@ -309,7 +318,7 @@ class _Update:
         lost = self._nonrecursive_losses(s)
         gained = settle_all(bag_union(self.explicit_bag(self.new_explicit, s), self.gained_below(self.strat.nonrecursive(s), "insert_seed")))[0]
         if gained:
-            self.signed.append((gained, 1, 0))
+            self.sign(gained, 1, 0)
         for p in dict.fromkeys((*lost, *gained)):
             touched = together(*[b[p].select(*columns_of(b[p]), (F.col("m") * w).alias("m")) for b, w in ((lost, -1), (gained, 1)) if p in b])
             cols = columns_of(touched)
@@ -374,33 +383,39 @@ class _Update:
 
     def _commit(self) -> Materialisation:
         mat = self.mat
-        out = Materialisation(self.spark, self.strat, dict(mat.explicit), dict(mat.facts), dict(mat.counters))
+        out = Materialisation(self.spark, self.strat, dict(mat.explicit), dict(mat.facts), dict(mat.counters), mat.types, dict(mat.layers))
         for p in set(self.gone) | set(self.new_explicit):
-            left = None if p not in mat.explicit else minus(mat.explicit[p], self.gone.get(p))
-            out.explicit[p] = together(left, self.new_explicit.get(p))
-        for p in set(self.D) | set(self.A):
-            lost, gained = self.lost(p), self.gained(p)
-            if lost is not None:
-                self.report.deleted[p] = lost
-            if gained is not None:
-                self.report.added[p] = gained
-            own = self.old(p)
-            out.facts[p] = together(None if own is None else minus(own, lost), gained)
-        for p, change in add_counts(self.signed).items():
-            change, n = settle(change)
-            if not n:
-                continue
+            out.explicit[p] = self._layered(out, "explicit", p, mat.explicit.get(p), self.gone.get(p), self.new_explicit.get(p))
+        lost, gained = ({p: df for p in set(self.D) | set(self.A) if (df := side(p)) is not None} for side in (self.lost, self.gained))
+        lost, gained = settle_all(lost)[0], settle_all(gained)[0]
+        self.report.deleted, self.report.added = lost, gained
+        for p in set(lost) | set(gained):
+            out.facts[p] = self._layered(out, "facts", p, mat.facts.get(p), lost.get(p), gained.get(p))
+        for p, change in settle_all(add_counts(self.signed))[0].items():
             cols, kept = columns_of(change), mat.counters.get(p)
             names = ["c_nr", "c_r"] if COUNTERS[self.strategy] == 2 else ["c_nr"]
             change = change.select(*cols, *names)
-            if kept is not None:  # only touched rows are summed anew
-                touched = meet(kept, change).unionByName(change).groupBy(*cols).agg(*[F.sum(c).alias(c) for c in names])
-                alive = (F.col("c_nr") > 0) if len(names) == 1 else ((F.col("c_nr") > 0) | (F.col("c_r") > 0))
-                out.counters[p] = minus(kept, change).unionByName(touched.where(alive))
-            else:
-                out.counters[p] = change.where("c_nr > 0" if len(names) == 1 else "c_nr > 0 OR c_r > 0")
+            alive = " OR ".join(f"{c} > 0" for c in names)
+            if kept is None:
+                out.counters[p] = self._layered(out, "counters", p, None, None, change.where(alive))
+            else:  # only touched rows are summed anew
+                before = settle(meet(kept, change))[0]
+                touched = before.unionByName(change).groupBy(*cols).agg(*[F.sum(c).alias(c) for c in names])
+                # A row that changes is taken out and put in again, in two steps.
+                without = self._layered(out, "counters", p, kept, before, None)
+                out.counters[p] = self._layered(out, "counters", p, without, None, touched.where(alive))
         return out
 
+    def _layered(self, out: Materialisation, what: str, p: str, own: DataFrame | None, lost: DataFrame | None, gained: DataFrame | None) -> DataFrame:
+        """The set after the change: its stored base and one settled net change beside it, however many updates there were."""
+        if own is None:
+            layers = Layers(*settle(gained))
+        else:
+            layers = out.layers.get((what, p)) or Layers(own, own.count())
+            layers = layers.changed(lost, gained, whole=what != "counters")
+        out.layers[what, p] = layers
+        return layers.now()
+
 
 def maintain(
     mat: Materialisation,
@@ -409,11 +424,17 @@ def maintain(
     strategy: str = "odr_2c",
     options: Options = Options(),
 ) -> UpdateReport:
-    """Brings ``mat`` up to date; the result is a new materialisation, ``mat`` stays as it is."""
-    if strategy not in STRATEGIES:
+    """Brings ``mat`` up to date; the result is a new materialisation, ``mat`` stays as it is.
+
+    Changes are bags: repeated rows and rows with a null do not matter. ``auto`` chooses a strategy that keeps the
+    counters ``mat`` has.
+    """
+    if strategy not in (*STRATEGIES, "auto"):
         raise ValueError(f"no strategy {strategy}")
     began = time.time()
     removed, added = normalise(mat.explicit, removed or {}, added or {})
+    if strategy == "auto":
+        strategy = suited_strategy(mat, removed, added)
     if strategy.startswith("remat"):
         explicit = dict(mat.explicit)
         for p in set(removed) | set(added):
@@ -429,6 +450,19 @@ def maintain(
     return update.report
 
 
+def suited_strategy(mat: Materialisation, removed: dict[str, DataFrame], added: dict[str, DataFrame]) -> str:
+    """The choice among the strategies that keep the counters there are, for this change."""
+    count = lambda facts: sum(df.count() for df in facts.values())
+    share = (count(removed) + count(added)) / max(1, count(mat.explicit))
+    kept = max((2 if "c_r" in df.columns else 1 for df in mat.counters.values()), default=0)
+    best = choose_strategy(mat.strat, share)
+    if best.startswith("remat"):
+        return ("remat", "remat_1c", "remat_2c")[kept]
+    if COUNTERS[best] == kept:
+        return best
+    return ("odr" if best == "odr_2c" else "pbd", "pbd_1c", "odr_2c")[kept]
+
+
 def choose_strategy(strat: Stratification, share: float, break_even: float = 0.3, builtins_in_recursion: bool | None = None) -> str:
     """A strategy for a change of this share of the explicit facts, from the program alone.
 

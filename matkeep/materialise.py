@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from .lang import Program
 from .plans.firing import View, bag_affected, bag_all, bag_union, columns_of, minus, together
-from .store import Growing, Materialisation, add_counts, settle, settle_all
+from .store import Growing, Materialisation, add_counts, fold_counts, settle_all
 from .strata import Stratification, stratify
 
 
@@ -24,9 +24,22 @@ def as_facts(df: DataFrame) -> DataFrame:
     return df.select(*cols).na.drop().distinct()
 
 
-def load(tables: dict[str, DataFrame]) -> dict[str, DataFrame]:
+class Facts(dict):
+    """Settled explicit facts; ``types`` has the column types of the predicates without facts too."""
+
+    def __init__(self, facts: dict[str, DataFrame], types: dict[str, list[str]]):
+        super().__init__(facts)
+        self.types = types
+
+
+def types_of(facts: dict[str, DataFrame]) -> dict[str, list[str]]:
+    return {p: [kind for _, kind in df.dtypes] for p, df in facts.items()} | getattr(facts, "types", {})
+
+
+def load(tables: dict[str, DataFrame]) -> Facts:
     """Explicit facts, made duplicate-free and settled."""
-    return settle_all({p: as_facts(df) for p, df in tables.items()})[0]
+    made = {p: as_facts(df) for p, df in tables.items()}
+    return Facts(settle_all(made)[0], types_of(made))
 
 
 def materialise(
@@ -38,7 +51,7 @@ def materialise(
     """
     strat = policy if isinstance(policy, Stratification) else stratify(program, policy)
     facts = Growing({p: df for p, df in explicit.items() if strat.level.get(p, 0) == 0})
-    out = Materialisation(spark, strat, dict(explicit), facts)
+    out = Materialisation(spark, strat, dict(explicit), facts, types=types_of(explicit))
     none = lambda p: None
     for s in range(1, strat.count + 1):
         view = View(out.facts.get, out.facts.get)
@@ -57,14 +70,13 @@ def materialise(
                 raise RoundLimit(f"stratum {s}")
             bag, sizes = settle_all(bag_affected(spark, rules, View(out.facts.get, out.facts.get), delta.get, none))
             if counters > 1:
-                parts.append((bag, 0, 1))
+                parts = fold_counts([*parts, (bag, 0, 1)])
             delta = settle_all({p: minus(df.drop("m"), out.facts.get(p)) for p, df in bag.items()})[0]
             facts.grow(delta)
             if work is not None:
                 work.append((s, "recursive", rounds, "heads", sum(sizes.values())))
         if counters:
-            for p, df in add_counts(parts).items():
-                out.counters[p] = settle(df if counters > 1 else df.drop("c_r"))[0]
+            out.counters |= settle_all({p: df if counters > 1 else df.drop("c_r") for p, df in add_counts(parts).items()})[0]
     out.facts = dict(facts)
     return out
 

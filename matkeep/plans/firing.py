@@ -243,12 +243,23 @@ def bag_affected(spark: SparkSession, rules: Iterable[Rule], view: View, gone: F
     return bag_of((r, fire_affected(spark, r, view, gone, blocked)) for r in rules)
 
 
+#: Ways of matching backward.
+PLANS = ("head_first", "body_first", "auto")
+
+
 def match_backward(spark: SparkSession, rule: Rule, facts: DataFrame, view: View, plan: str = "head_first") -> DataFrame | None:
     """Instances over the view whose head is among ``facts``.
 
     ``head_first`` binds the head's variables from the facts and then joins the body; ``body_first`` evaluates the body
-    and keeps instances with such a head.
+    and keeps instances with such a head. ``auto`` goes head first where the head binds some body atom wholly, so that
+    a fact has one match there at most, and body first elsewhere: the matches of a half-bound atom may be as many as
+    the wanted facts times the facts of a hub, the body's instances are no more than building took.
     """
+    if plan not in PLANS:
+        raise ValueError(f"no backward plan {plan}")
+    if plan == "auto":
+        bound = set(rule.head.vars) - {b.var for b in rule.builtins if isinstance(b, Assign)}
+        plan = "head_first" if any(set(a.vars) <= bound for a in rule.positive) else "body_first"
     wanted = matched(rule.head, facts)
     body_vars = {v for a in rule.positive for v in a.vars}
     assigned = {b.var for b in rule.builtins if isinstance(b, Assign)} - body_vars

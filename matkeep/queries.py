@@ -172,7 +172,7 @@ def why(spark: SparkSession, d: str) -> DataFrame:
 
 
 WHY_SQL = oracles.with_clause(WORKLOADS["taint"], "all") + (
-    " SELECT t.a0 AS e, n.a1 AS f FROM d_tainted t JOIN e_next n ON n.a0 = t.a0 WHERE n.a1 % 10 = 3 AND n.a1 NOT IN (SELECT a0 FROM d_blocked)"
+    " SELECT t.a0 AS e, n.a1 AS f FROM d_tainted t JOIN e_next n ON n.a0 = t.a0 WHERE n.a1 NOT IN (SELECT a0 FROM d_blocked)"
 )
 
 

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from ..lang import _split
+
 
 def read_table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None = None, where: str | None = None) -> DataFrame:
     """A table with only the columns named; the condition reaches the Parquet scan."""
@@ -47,5 +49,10 @@ class _FactLinesReader(DataSourceReader):
 
     def read(self, partition):
         for line in self.lines[partition.value :: self.parts]:
-            pred, _, rest = line.strip().rstrip(".").partition("(")
-            yield pred.strip(), [a.strip().strip("'\"") for a in rest.rstrip(")").split(",")]
+            pred, _, rest = line.strip().removesuffix(".").rstrip().partition("(")
+            yield pred.strip(), [_bare(a) for a in _split(rest.removesuffix(")"))]
+
+
+def _bare(arg: str) -> str:
+    """Without the quotes around it."""
+    return arg[1:-1] if len(arg) > 1 and arg[0] == arg[-1] and arg[0] in "'\"" else arg

@@ -5,12 +5,13 @@ from __future__ import annotations
 import json
 import tempfile
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from .plans.firing import Bag, columns_of, together
+from .plans.firing import Bag, columns_of, meet, minus, together
 from .strata import Stratification
 
 
@@ -18,6 +19,9 @@ def shared_dir(spark: SparkSession) -> str:
     """The folder the session names in ``spark.checkpoint.dir``; a temporary one is set only where it names none."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or "cluster" in master:
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         named = tempfile.mkdtemp(prefix="matkeep-")
         spark.sparkContext.setCheckpointDir(named)
     return named.rstrip("/")
@@ -34,48 +38,88 @@ def settle(df: DataFrame) -> tuple[DataFrame, int]:
     return df.sparkSession.read.schema(df.schema).parquet(path), seen.get["n"]
 
 
+#: Frames of one step that are written at the same time.
+AT_ONCE = 4
+
+
+def _each(make, frames: dict[str, DataFrame]) -> dict:
+    """``make`` of each frame; the jobs of several frames are submitted together."""
+    if len(frames) < 2:
+        return {p: make(df) for p, df in frames.items()}
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        return dict(zip(frames, pool.map(make, frames.values()), strict=True))
+
+
 def settle_bag(bag: Bag) -> tuple[Bag, int, int]:
     """Settles the frames of a bag; also how many heads there are and how many instances they stand for."""
-    spark_path = lambda df: f"{shared_dir(df.sparkSession)}/settled-{uuid.uuid4().hex}"
-    out, heads, instances = {}, 0, 0
-    for p, df in bag.items():
-        path, seen = spark_path(df), Observation()
+
+    def one(df: DataFrame) -> tuple[DataFrame, int, int]:
+        path, seen = f"{shared_dir(df.sparkSession)}/settled-{uuid.uuid4().hex}", Observation()
         df.observe(seen, F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("m"), F.lit(0)).alias("m")).write.parquet(path)
-        got = seen.get
-        if got["n"]:
-            out[p] = df.sparkSession.read.schema(df.schema).parquet(path)
-        heads, instances = heads + got["n"], instances + got["m"]
-    return out, heads, instances
+        return df.sparkSession.read.schema(df.schema).parquet(path), seen.get["n"], seen.get["m"]
+
+    done = _each(one, bag)
+    return {p: df for p, (df, n, _) in done.items() if n}, sum(n for _, n, _ in done.values()), sum(m for _, _, m in done.values())
 
 
 def settle_all(frames: dict[str, DataFrame]) -> tuple[dict[str, DataFrame], dict[str, int]]:
     """Settles several frames; empty ones are left out of the first result."""
-    out, sizes = {}, {}
-    for p, df in frames.items():
-        kept, n = settle(df)
-        sizes[p] = n
-        if n:
-            out[p] = kept
-    return out, sizes
+    done = _each(settle, frames)
+    return {p: df for p, (df, n) in done.items() if n}, {p: n for p, (_, n) in done.items()}
 
 
 class Growing(dict):
-    """Fact sets that grow by disjoint parts; the newer parts are merged now and then, so that plans stay short."""
-
-    #: Parts of one predicate that may stand side by side.
-    PARTS = 4
+    """Fact sets that grow by disjoint parts. Parts merged equally often are merged, so that there are few of them and
+    no fact is written more often than the logarithm of the number of parts. What a set starts with is never rewritten."""
 
     def __init__(self, start: dict[str, DataFrame] | None = None):
         super().__init__(start or {})
-        self._parts = {p: [df] for p, df in self.items()}
+        self._base = dict(self)
+        self._parts: dict[str, list[tuple[int, DataFrame]]] = {}
 
     def grow(self, more: dict[str, DataFrame]) -> None:
         for p, df in more.items():
             parts = self._parts.setdefault(p, [])
-            parts.append(df)
-            if len(parts) > self.PARTS:
-                parts[1:] = [settle(together(*parts[1:]))[0]]
-            self[p] = together(*parts)
+            parts.append((0, df))
+            while len(parts) > 2 and parts[-1][0] == parts[-2][0]:
+                (level, x), (_, y) = parts.pop(), parts.pop()
+                parts.append((level + 1, settle(together(y, x))[0]))
+            self[p] = together(self._base.get(p), *[d for _, d in parts])
+
+
+@dataclass
+class Layers:
+    """A stored set and its net change since: two small settled frames, whatever the number of updates.
+
+    ``base`` is written anew once the change has grown to a share of it.
+    """
+
+    #: Share of the base from which the change is folded into it.
+    FOLD = 0.25
+
+    base: DataFrame
+    size: int
+    less: DataFrame | None = None
+    more: DataFrame | None = None
+
+    def now(self) -> DataFrame:
+        return together(minus(self.base, self.less), self.more)
+
+    def changed(self, lost: DataFrame | None, gained: DataFrame | None, whole: bool = True) -> Layers:
+        """``lost`` is within the set, ``gained`` apart from it. ``whole``: a row is its key, so a row of the base that
+        comes back is the same row; rows with counters are not."""
+        less, more = self.less, self.more
+        if lost is not None:
+            deeper = lost if more is None else minus(lost, more)
+            less, more = together(less, deeper), None if more is None else minus(more, lost)
+        if gained is not None:
+            again = None if less is None or not whole else meet(gained, less)
+            less, more = less if again is None else minus(less, gained), together(more, gained if again is None else minus(gained, again))
+        kept, sizes = settle_all({k: df for k, df in (("less", less), ("more", more)) if df is not None})
+        out = Layers(self.base, self.size, kept.get("less"), kept.get("more"))
+        if sum(sizes.values()) > self.FOLD * self.size:
+            out = Layers(*settle(out.now()))
+        return out
 
 
 @dataclass
@@ -87,7 +131,9 @@ class Materialisation:
     explicit: dict[str, DataFrame]
     facts: dict[str, DataFrame]
     counters: dict[str, DataFrame] = field(default_factory=dict)
-    sizes: dict[str, int] = field(default_factory=dict)
+    #: Column types of every explicit predicate, those without facts included.
+    types: dict[str, list[str]] = field(default_factory=dict)
+    layers: dict[tuple[str, str], Layers] = field(default_factory=dict)
 
     def of(self, pred: str) -> DataFrame | None:
         return self.facts.get(pred)
@@ -100,11 +146,14 @@ class Materialisation:
 
 
 def add_counts(parts: list[tuple[Bag, int, int]]) -> dict[str, DataFrame]:
-    """Sums bags into counters: each part is (bag, weight for c_nr, weight for c_r)."""
+    """Sums bags into counters: each part is (bag, weight for c_nr, weight for c_r), or as ``fold_counts`` makes it."""
     by_pred: dict[str, list[DataFrame]] = {}
     for bag, nr, r in parts:
         for p, df in bag.items():
             cols = columns_of(df)
+            if nr is None:
+                by_pred.setdefault(p, []).append(df.select(*cols, "c_nr", "c_r"))
+                continue
             by_pred.setdefault(p, []).append(df.select(*cols, (F.col("m") * nr).cast("bigint").alias("c_nr"), (F.col("m") * r).cast("bigint").alias("c_r")))
     out = {}
     for p, dfs in by_pred.items():
@@ -115,6 +164,14 @@ def add_counts(parts: list[tuple[Bag, int, int]]) -> dict[str, DataFrame]:
     return out
 
 
+def fold_counts(parts: list, most: int = 8) -> list:
+    """The same sums in fewer parts once there are more than ``most``: a long loop keeps short plans.
+
+    A folded part is a bag whose frames have c_nr and c_r in place of m.
+    """
+    return parts if len(parts) <= most else [(settle_all(add_counts(parts))[0], None, None)]
+
+
 class FactStore:
     """Snapshots of one predicate's facts on disk, by bucket of a layout argument.
 
@@ -137,7 +194,15 @@ class FactStore:
         if not self._fs.exists(where):
             return []
         names = sorted(s.getPath().getName() for s in self._fs.listStatus(where))
-        return [json.loads(self.spark.read.text(f"{self.path}/_log/{n}").first()[0]) for n in names if n.endswith(".json")]
+        return [self._entry(n) for n in names if n.endswith(".json")]
+
+    def _entry(self, name: str) -> dict:
+        """Read by the file system: an entry is one line, no job."""
+        stream = self._fs.open(self._hpath(f"{self.path}/_log/{name}"))
+        try:
+            return json.loads(self.spark.sparkContext._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8"))
+        finally:
+            stream.close()
 
     def _commit(self, entry: dict) -> None:
         at = self._hpath(f"{self.path}/_log/{entry['version']:012d}.json")

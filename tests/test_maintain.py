@@ -113,6 +113,53 @@ def test_overlapping_changes_are_normalised(spark):
     check(spark, "p(x) <- q(x).", {"q": {(1,), (2,)}}, {"q": {(1,), (7,), (3,)}}, {"q": {(1,), (2,), (3,)}}, (*HYBRIDS, "counting", "remat"))
 
 
+def test_repeated_changes_count_once(spark):
+    program = parse("p(x) <- q(x).", {"p", "q"})
+    explicit = {"p": {(1,)}, "q": {(1,)}}
+    twice = {"p": spark.createDataFrame([(1,), (1,), (None,)], "x int")}
+    for strategy in ("counting", "odr_2c", "pbd_1c", "odr", "pbd"):
+        mat = materialise(spark, program, load(frames(spark, explicit)), COUNTERS[strategy])
+        once = maintain(mat, twice, {}, strategy).mat
+        assert facts_of(once, {"p"}) == {"p": {(1,)}}
+        gone = maintain(once, {"q": frame(spark, {(1,)})}, {}, strategy).mat
+        assert facts_of(gone, {"p"}) == {} and ("p" not in gone.counters or gone.counters["p"].isEmpty())
+        back = maintain(gone, {}, {"p": twice["p"].unionByName(twice["p"])}, strategy).mat
+        assert facts_of(back, {"p"}) == {"p": {(1,)}}
+
+
+def test_many_updates_keep_plans_flat(spark):
+    program = parse("t(y) <- t(x), e(x, y). t(x) <- s(x).", {"e", "s"})
+    edges = {(i, i + 1) for i in range(12)} | {(i, (i * 7) % 12) for i in range(12)}
+    mat = materialise(spark, program, load(frames(spark, {"e": edges, "s": {(0,), (5,)}})), 2)
+    size = lambda m: max(len(df._jdf.queryExecution().analyzed().toString()) for df in (m.facts["t"], m.facts["e"], m.counters["t"], m.explicit["e"]))
+    sizes = []
+    for step in range(12):
+        edge = {"e": frame(spark, {sorted(edges)[step // 2]})}
+        mat = maintain(mat, edge if step % 2 == 0 else {}, edge if step % 2 else {}, "odr_2c").mat
+        sizes.append(size(mat))
+    assert max(sizes[4:]) <= 1.5 * max(sizes[:4])
+    facts, nr, rec = closure(program, {"e": edges, "s": {(0,), (5,)}}, "finest")
+    assert facts_of(mat, {"t", "e"}) == {"t": facts["t"], "e": edges}
+    assert {r["a0"]: (r["c_nr"], r["c_r"]) for r in mat.counters["t"].collect()} == {f[0]: (nr[("t", f)], rec[("t", f)]) for f in facts["t"]}
+
+
+def test_backward_plans_and_choice_of_strategy(spark):
+    from matkeep.plans.firing import View, match_backward
+
+    rule = parse("s(x, y) <- r(z, x), r(z, y).", {"r"}).rules[0]
+    r = frame(spark, {(1, 2), (1, 3), (4, 2)})
+    for plan in ("head_first", "body_first", "auto"):
+        got = match_backward(spark, rule, frame(spark, {(2, 3), (9, 9)}), View({"r": r}.get, {}.get), plan)
+        assert [(x["x"], x["y"], x["z"]) for x in got.collect()] == [(2, 3, 1)]
+    with pytest.raises(ValueError):
+        match_backward(spark, rule, r, View({"r": r}.get, {}.get), "no_such")
+    for counters in (0, 1, 2):
+        mat = materialise(spark, parse("t(y) <- t(x), e(x, y).", {"e", "t"}), load(frames(spark, {"e": {(i, i + 1) for i in range(9)}, "t": {(0,)}})), counters)
+        done = maintain(mat, {"e": frame(spark, {(6, 7)})}, {}, "auto").mat
+        assert facts_of(done, {"t"})["t"] == {(i,) for i in range(7)}
+        assert max((len([c for c in df.columns if c[:2] == "c_"]) for df in done.counters.values()), default=0) == counters
+
+
 def test_counting_refuses_recursion(spark):
     mat = materialise(spark, parse("t(y) <- t(x), e(x, y).", {"e", "t"}), load(frames(spark, {"e": {(1, 2)}, "t": {(1,)}})), 1)
     with pytest.raises(RuleError):

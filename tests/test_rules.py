@@ -17,7 +17,7 @@ from matkeep.programs import WORKLOADS, hub_example, path_example, trace_example
 from matkeep.sources.tables import FactLines, read_facts, write_facts
 from matkeep.store import FactStore
 from matkeep.strata import stratify
-from matkeep.streaming.changes import CHANGES, Keeper, deduplicated, last_change_state, net, split_late
+from matkeep.streaming.changes import CHANGES, Journal, Keeper, deduplicated, last_change_state, net, split_late, taken_back, with_details
 
 
 def test_parser_and_safety():
@@ -39,6 +39,9 @@ def test_stratification():
     with pytest.raises(RuleError):
         stratify(parse("a(x) <- e(x), not b(x). b(x) <- a(x).", {"e"}))
     assert stratify(p, coarse.level).level == coarse.level
+    for bad in (coarse.level | {"a": 0, "b": 0}, {q: n for q, n in coarse.level.items() if q != "d"}):
+        with pytest.raises(RuleError):
+            stratify(p, bad)
 
 
 def test_every_affected_instance_once(spark):
@@ -106,7 +109,39 @@ def test_stream_of_changes(spark, tmp_path):
     assert (in_time.count(), late.count()) == (2, 2)
     q = last_change_state(stream).writeStream.format("memory").queryName("last").outputMode("update").trigger(availableNow=True).option("checkpointLocation", f"{tmp_path}/cp2").start()
     q.awaitTermination()
-    assert {(r["fact"], r["op"]) for r in spark.table("last").collect()} == {("1,2", "-"), ("1,5", "+")}
+    assert {(r["fact"], r["op"]) for r in spark.table("last").collect()} == {('["1","2"]', "-"), ('["1","5"]', "+")}
+
+
+def test_stream_into_an_empty_predicate_and_after_a_restart(spark, tmp_path):
+    program = parse("t(y) <- t(x), e(x, y). t(x) <- s(x).", {"e", "s"})
+    facts = load({"e": spark.createDataFrame([(1, 2)], "a bigint, b bigint"), "s": spark.createDataFrame([], "a int")})
+    at = datetime(2024, 1, 1)
+    rows = [("+", "s", ["1"], at, 1), ("+", "zzz", ["1"], at, 2), ("+", "e", ["1"], at, 3), ("+", "e", ["2", "x"], at, 4), ("?", "s", ["2"], at, 5), ("+", "e", ["2", "3"], at, 6)]
+    log = spark.createDataFrame(rows, CHANGES)
+    journal = Journal(spark, f"{tmp_path}/journal")
+    keeper = Keeper(materialise(spark, program, facts, 2), journal=journal, dead_letters=f"{tmp_path}/dead")
+    assert keeper.apply(log, 7)
+    assert {r[0] for r in keeper.mat.facts["t"].collect()} == {1, 2, 3}
+    assert {r["change_id"] for r in spark.read.parquet(f"{tmp_path}/dead").collect()} == {2, 3, 4, 5}
+    again = Keeper.reopen(spark, program, Journal(spark, f"{tmp_path}/journal"))
+    assert not again.apply(log, 7) and {r[0] for r in again.mat.facts["t"].collect()} == {1, 2, 3}
+    assert again.apply(spark.createDataFrame([("-", "s", ["1"], at, 8)], CHANGES), 8) and again.mat.facts["t"].isEmpty()
+    assert Keeper.reopen(spark, program, journal).mat.of("t") is None
+
+
+def test_joins_of_streams(spark, tmp_path):
+    at = datetime(2024, 1, 1)
+    rows = [("+", "e", ["a,b"], at, 1), ("-", "e", ["a,b"], at + timedelta(minutes=1), 2), ("-", "e", ["a", "b"], at + timedelta(minutes=1), 3), ("-", "e", ["a,b"], at + timedelta(minutes=9), 4)]
+    spark.createDataFrame(rows, CHANGES).write.parquet(f"{tmp_path}/log")
+    details = spark.createDataFrame([("e", '["a,b"]', "note")], "pred string, fact string, note string")
+
+    def run(make, name):
+        stream = spark.readStream.schema(CHANGES).parquet(f"{tmp_path}/log")
+        make(stream).writeStream.format("memory").queryName(name).outputMode("append").trigger(availableNow=True).option("checkpointLocation", f"{tmp_path}/{name}").start().awaitTermination()
+        return spark.table(name).collect()
+
+    assert sorted((r["change_id"], r["note"]) for r in run(lambda s: with_details(s, details), "detailed")) == [(1, "note"), (2, "note"), (3, None), (4, "note")]
+    assert [(r["fact"], r["deleted"]) for r in run(taken_back, "back")] == [('["a,b"]', at + timedelta(minutes=1))]
 
 
 def test_sources(spark, tmp_path):
@@ -115,8 +150,8 @@ def test_sources(spark, tmp_path):
         write_facts(df, f"{tmp_path}/{fmt}", fmt)
         assert sorted(read_facts(spark, f"{tmp_path}/{fmt}", fmt, "a0 bigint, a1 string").collect()) == sorted(df.collect())
     spark.dataSource.register(FactLines)
-    rows = spark.read.format("facts").option("lines", "e(1, 'a').\nf(2)").load().collect()
-    assert sorted((r["pred"], r["args"]) for r in rows) == [("e", ["1", "a"]), ("f", ["2"])]
+    rows = spark.read.format("facts").option("lines", "e(1, 'a').\nf(2)\ng('a,b', \"(c)\", 2).").load().collect()
+    assert sorted((r["pred"], r["args"]) for r in rows) == [("e", ["1", "a"]), ("f", ["2"]), ("g", ["a,b", "(c)", "2"])]
 
 
 def test_samples_are_nested(spark):
