@@ -52,6 +52,8 @@ class UpdateReport:
     rederived: dict[str, DataFrame] = field(default_factory=dict)
     deleted: dict[str, DataFrame] = field(default_factory=dict)
     added: dict[str, DataFrame] = field(default_factory=dict)
+    #: For each predicate the counters' losses of the deletion phase, as negative numbers.
+    losses: dict[str, DataFrame] = field(default_factory=dict)
 
     def measure(self, phase: str, name: str) -> int:
         return sum(v for _, p, _, m, v in self.work if p == phase and m == name)
@@ -297,6 +299,7 @@ class _Update:
         self._overdelete(settle_all(gate(self.not_in(self.D, seed)))[0], rec, gate)
         mine = {p: self.D[p] for p in self.strat.preds(s) if p in self.D}
         self.report.overdeleted |= mine
+        self.report.losses |= add_counts([(lost_nr, -1, 0), *((b, 0, -1) for b in self._lost_r)])
         losses = bag_union(*self._lost_r)
         again = {}
         for p, d in mine.items() if rec else ():

@@ -72,6 +72,11 @@ SUPPORT = {
     ("class", "buys"): ("SELECT o.a0, h.a1 FROM e_ordered o JOIN e_holds h ON h.a0 = o.a1", ""),
 }
 
+SUPPORT[("mutual", "seen")] = (
+    "SELECT CAST(a0 AS BIGINT) AS a0, a1 FROM d_begun",
+    "SELECT b.a1 AS a0, e.a1 FROM d_seen s JOIN e_edge e ON e.a0 = s.a1 JOIN e_brand b ON b.a0 = e.a1 WHERE (b.a1 - s.a0 + 25) % 25 IN (1, 2, 3)",
+)
+
 #: Columns of a derived relation.
 ARITY = {"pair": 2, "dist": 2, "related": 2, "heard": 2, "buys": 2, "trades": 2, "regionTrade": 2, "sub": 2, "typed": 2, "noRush": 2, "seen": 2}
 
@@ -134,6 +139,19 @@ def overdeleted_sql(name: str, gated: bool) -> str:
     return f"{with_clause(WORKLOADS['path'], 'all', more)} SELECT a0, a1 FROM d_over"
 
 
+def rederived_sql(name: str, gated: bool) -> str:
+    """Overdeleted facts that one instance over what was not overdeleted still gives, or an assertion."""
+    over = overdeleted_sql(name, gated)
+    if name == "seed":
+        left, gone_r = f"SELECT a0, a1 FROM e_edge WHERE NOT {_gone('seed', 'edge')}", _gone("seed", "reach")
+        again = f"SELECT e.a1 AS a0 FROM d_reach r JOIN ({left}) e ON e.a0 = r.a0 WHERE r.a0 NOT IN (SELECT a0 FROM d_over) UNION SELECT a0 FROM e_reach WHERE NOT ({gone_r})"
+        return over.replace(" SELECT a0 FROM d_over", f" SELECT a0 FROM d_over WHERE a0 IN ({again})")
+    left = f"SELECT * FROM e_hop WHERE NOT {_gone('path', 'hop')}"
+    kept = "SELECT d.* FROM d_dist d WHERE NOT EXISTS (SELECT 1 FROM d_over o WHERE o.a0 = d.a0 AND o.a1 = d.a1)"
+    again = f"SELECT h.a1 AS a0, d.a1 + h.a2 AS a1 FROM ({kept}) d JOIN ({left}) h ON h.a0 = d.a0 UNION SELECT a1, a2 FROM ({left}) WHERE a0 = -1"
+    return over.removesuffix(" SELECT a0, a1 FROM d_over") + f" SELECT a0, a1 FROM d_over INTERSECT SELECT a0, a1 FROM ({again}) AS g"
+
+
 def instances_sql(gained: bool) -> str:
     """Instances of the pair rule that a deletion takes (or an insertion brings), with all their variables."""
     w = WORKLOADS["cooc"]

@@ -10,7 +10,7 @@ from collections.abc import Callable, Iterable
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..lang import Assign, Atom, Const, Program, Rule, Var, names_in
@@ -102,10 +102,12 @@ def joined_body(
     negated: Callable[[int, DataFrame], DataFrame],
     first: int | None = None,
     start: DataFrame | None = None,
+    watched: Callable[[DataFrame], DataFrame] | None = None,
 ) -> DataFrame | None:
     """Instances of a rule: ``atom_facts`` gives the facts for each positive atom, ``negated`` applies a negated one.
 
-    ``start`` has rows with some variables bound already. None if an atom has no facts.
+    ``start`` has rows with some variables bound already; ``watched`` is put around the rows after each atom. None if an
+    atom has no facts.
     """
     rows = start
     bound = set(start.columns) if start is not None else set()
@@ -121,7 +123,7 @@ def joined_body(
             shared = [c for c in own.columns if c in bound]
             rows = rows.join(own, shared) if shared else rows.crossJoin(own)
         bound |= set(own.columns)
-        rows = _bind(rows, waiting, bound)
+        rows = _bind(watched(rows) if watched else rows, waiting, bound)
     if rows is None:
         rows = _bind(spark.range(1).select(), waiting, bound)
     for j in range(len(rule.negative)):
@@ -247,7 +249,7 @@ def bag_affected(spark: SparkSession, rules: Iterable[Rule], view: View, gone: F
 PLANS = ("head_first", "body_first", "auto")
 
 
-def match_backward(spark: SparkSession, rule: Rule, facts: DataFrame, view: View, plan: str = "head_first") -> DataFrame | None:
+def match_backward(spark: SparkSession, rule: Rule, facts: DataFrame, view: View, plan: str = "head_first", watched=None) -> DataFrame | None:
     """Instances over the view whose head is among ``facts``.
 
     ``head_first`` binds the head's variables from the facts and then joins the body; ``body_first`` evaluates the body
@@ -271,11 +273,28 @@ def match_backward(spark: SparkSession, rule: Rule, facts: DataFrame, view: View
         lambda i: view.positive(rule.positive[i].pred),
         lambda j, r: missing_from(rule.negative[j], r, view.negative(rule.negative[j].pred)),
         start=start if usable else None,
+        watched=watched,
     )
     if rows is None or (usable and not assigned):
         return rows
     return rows.join(wanted, wanted.columns, "left_semi") if wanted.columns else (rows if not facts.isEmpty() else None)
 
 
+def observed_matches(spark: SparkSession, rule: Rule, facts: DataFrame, view: View, plan: str) -> tuple[int, int]:
+    """Rows that the joins of backward matching make, atom by atom, and the instances confirmed; counted as the plan runs."""
+    seen: list[Observation] = []
+
+    def watched(rows: DataFrame) -> DataFrame:
+        seen.append(Observation())
+        return rows.observe(seen[-1], F.count(F.lit(1)).alias("n"))
+
+    rows = match_backward(spark, rule, facts, view, plan, watched)
+    if rows is None:
+        return 0, 0
+    last = Observation()
+    rows.observe(last, F.count(F.lit(1)).alias("n")).write.format("noop").mode("overwrite").save()
+    return sum(o.get.get("n", 0) for o in seen), last.get["n"]
+
+
 def dependencies(program: Program) -> dict[str, set[str]]:
     return {p: {a.pred for r in program.rules if r.head.pred == p for a in r.atoms} for p in program.preds}

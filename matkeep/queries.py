@@ -10,9 +10,9 @@ from pyspark.sql import functions as F
 from . import oracles
 from .operators.relational import OPERATORS, SQL
 from .maintain import COUNTERS, Options, UpdateReport, maintain
-from .materialise import Materialisation, materialise
-from .plans.firing import View, columns_of, fire_affected, match_backward
-from .programs import CLASS, COOC, MUTUAL, WORKLOADS, Workload
+from .materialise import Materialisation, load, materialise
+from .plans.firing import View, columns_of, fire_affected, match_backward, minus, observed_matches
+from .programs import CLASS, COOC, MUTUAL, WORKLOADS, Workload, hub_example, path_example, trace_example
 from .store import settle
 from .strata import stratify
 
@@ -143,6 +143,54 @@ def profile(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
+def hub_cost(n: int) -> Query:
+    """What backward matching tries after the hub's deletion, against what building took: rows n, plan, built, tried, confirmed."""
+    return _cost(hub_example, "s", n)
+
+
+def path_cost(n: int) -> Query:
+    """The same where a rule computes lengths: the recursive rule alone."""
+    return _cost(path_example, "dist", n)
+
+
+def _cost(example, pred: str, n: int) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        program, facts, gone = example(spark, n)
+        mat = materialise(spark, program, load(facts), 2)
+        built = mat.counters[pred].agg(F.sum(F.col("c_nr") + F.col("c_r"))).first()[0]
+        report = maintain(mat, gone, {}, "odr_2c")
+        over, rule = report.overdeleted[pred], mat.strat.program.rules[-1]
+        left = {p: minus(df, over if p == pred else report.deleted.get(p)) for p, df in mat.facts.items()}
+        rows = [(n, plan, built, *observed_matches(spark, rule, over, View(left.get, left.get), plan)) for plan in ("head_first", "body_first", "auto")]
+        return spark.createDataFrame(rows, "n bigint, plan string, built bigint, tried bigint, confirmed bigint")
+
+    return run
+
+
+def _cost_sql(n: int, built: int, head: int, body: int) -> str:
+    """Closed formulas in n, worked out by hand."""
+    rows = ", ".join(f"({n}, '{plan}', {built}, {tried}, 0)" for plan, tried in (("head_first", head), ("body_first", body), ("auto", body)))
+    return f"SELECT CAST(n AS BIGINT) AS n, plan, CAST(built AS BIGINT) AS built, CAST(tried AS BIGINT) AS tried, CAST(confirmed AS BIGINT) AS confirmed FROM (VALUES {rows}) AS t(n, plan, built, tried, confirmed)"
+
+
+def counter_trace(spark: SparkSession, d: str) -> DataFrame:
+    """Counters of the small graph before the update, after overdeletion, and after it; zeros are left out."""
+    program, facts, gone = trace_example(spark)
+    mat = materialise(spark, program, load(facts), 2)
+    report = maintain(mat, gone, {}, "odr_2c")
+    before, cols = mat.counters["t"], ["a0", "c_nr", "c_r"]
+    midway = before.select(*cols).unionByName(report.losses["t"].select(*cols)).groupBy("a0").agg(F.sum("c_nr").alias("c_nr"), F.sum("c_r").alias("c_r")).where("c_nr > 0 OR c_r > 0")
+    parts = [df.select(F.lit(at).alias("moment"), *cols) for at, df in (("1 before", before), ("2 overdeleted", midway), ("3 after", report.mat.counters["t"]))]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+#: Worked out by hand: fact, nonrecursive and recursive counter.
+TRACE = {"1 before": "a10 b10 c02 d11 e01", "2 overdeleted": "b10 c01 d10 e01", "3 after": "b10 c01 d11 e01"}
+TRACE_SQL = "SELECT moment, a0, CAST(x AS BIGINT) AS c_nr, CAST(y AS BIGINT) AS c_r FROM (VALUES " + ", ".join(
+    f"('{at}', '{f[0]}', {f[1]}, {f[2]})" for at, row in TRACE.items() for f in row.split()
+) + ") AS t(moment, a0, x, y)"
+
+
 def _tables(sql: str) -> list[str]:
     from .programs import TABLES
 
@@ -221,7 +269,7 @@ def catalogue() -> tuple[dict[str, Query], dict[str, str]]:
     for x, gated in (("odr", False), ("odr_2c", True)):
         for name in ("seed", "path"):
             add(f"{x}_overdeleted_{name}", part_query(WORKLOADS[name], MAIN[name], x, "overdeleted"), oracles.overdeleted_sql(name, gated))
-            add(f"{x}_rederived_{name}", part_query(WORKLOADS[name], MAIN[name], x, "rederived"))
+            add(f"{x}_rederived_{name}", part_query(WORKLOADS[name], MAIN[name], x, "rederived"), oracles.rederived_sql(name, gated))
     for name in ("seed", "taint", "copy", "host", "thread"):
         add(f"pbd_1c_deleted_{name}", part_query(WORKLOADS[name], MAIN[name], "pbd_1c", "deleted"), oracles.deleted_sql(name, MAIN[name]))
     add("counting_delete_cooc", update_query(COOC, "pair", "counting", "delete"), oracles.facts_sql("cooc", "pair", "less"))
@@ -234,6 +282,24 @@ def catalogue() -> tuple[dict[str, Query], dict[str, str]]:
         add(f"odr_2c_mixed_class_{pred}", update_query(CLASS, pred, "odr_2c", "mixed"), oracles.facts_sql("class", pred, "mixed"))
     for pred in ("loyal", "dormant", "noRush"):
         add(f"counting_mixed_class_{pred}", update_query(CLASS, pred, "counting", "mixed"), oracles.facts_sql("class", pred, "mixed"))
+    for pred in ("loyal", "regionTrade", "typed"):
+        for x in ("odr", "pbd", "pbd_1c"):
+            add(f"{x}_mixed_class_{pred}", update_query(CLASS, pred, x, "mixed"), oracles.facts_sql("class", pred, "mixed"))
+    for pred in ("loyal", "dormant"):
+        add(f"counting_delete_class_{pred}", update_query(CLASS, pred, "counting", "delete"), oracles.facts_sql("class", pred, "less"))
+    for name in ("cooc", "clique", "copy", "host"):
+        body = Options(rederive_plan="body_first") if name in ("cooc", "clique") else Options()
+        add(f"odr_mixed_{name}", update_query(WORKLOADS[name], MAIN[name], "odr", "mixed", options=body), oracles.facts_sql(name, MAIN[name], "mixed"))
+        add(f"pbd_1c_insert_{name}", update_query(WORKLOADS[name], MAIN[name], "pbd_1c", "insert", options=body), oracles.facts_sql(name, MAIN[name], "all"))
+    add("counters_mutual", counters_query(MUTUAL, "seen"), oracles.counters_sql("mutual", "seen", "all"))
+    for x in ("odr_2c", "pbd_1c"):
+        add(f"{x}_mixed_mutual", update_query(MUTUAL, "seen", x, "mixed"), oracles.facts_sql("mutual", "seen", "mixed"))
+    add("pbd_delete_mutual", update_query(MUTUAL, "seen", "pbd", "delete"), oracles.facts_sql("mutual", "seen", "less"))
+    add("auto_delete_cooc", update_query(COOC, "pair", "odr", "delete", options=Options(rederive_plan="auto")), oracles.facts_sql("cooc", "pair", "less"))
+    for n in (20, 60):
+        add(f"cost_hub_{n}", hub_cost(n), _cost_sql(n, 4 * n, n * n, 2 * n))
+        add(f"cost_path_{n}", path_cost(n), _cost_sql(n, 2 * n + 1, n * n, n))
+    add("counter_trace", counter_trace, TRACE_SQL)
     add("counters_class_buys", counters_query(CLASS, "buys"), oracles.counters_sql("class", "buys", "all"))
     add("mat_mutual", mat_query(MUTUAL, "seen"), oracles.facts_sql("mutual", "seen", "all"))
     add("mat_mutual_coarsest", mat_query(MUTUAL, "seen", "coarsest"), oracles.facts_sql("mutual", "seen", "all"))
