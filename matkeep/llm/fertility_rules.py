@@ -22,6 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from .lookup import Lookup
+from .shared import sliced
 
 #: Where the public vocabularies are, on the driver; the files' contents are sent to the executors.
 TOKENIZERS = "/opt/tokenizers"
@@ -29,8 +30,6 @@ TOKENIZERS = "/opt/tokenizers"
 SYMBOLS = "#*$%&|<>"
 #: Fixed value: splits text before byte pairs are merged (letters, digits, other signs, white space).
 SPLIT = r"""'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+"""
-#: A longer word is encoded in pieces of this many characters.
-LONGEST_WORD = 128
 
 
 @dataclass(frozen=True)
@@ -70,12 +69,7 @@ class Yardstick:
         import tiktoken
 
         encode = tiktoken.Encoding("words", pat_str=SPLIT, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
-
-        def of_word(word: bytes) -> list[int]:
-            text = " " + word.decode("utf-8", "replace")
-            return [t for at in range(0, len(text), LONGEST_WORD) for t in encode(text[at : at + LONGEST_WORD])]
-
-        self.words = Lookup(of_word)
+        self.words = Lookup(lambda word: encode(" " + word.decode("utf-8", "replace")))
         self.piece_chars = piece_chars
 
 
@@ -165,12 +159,10 @@ def judge_documents(spark: SparkSession, docs: DataFrame, bands: dict[str, Band]
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ruler = Yardstick(*sent.value)
-        for batch in batches:
-            rows = [measure(text or "", lang, ruler, bands) for text, lang in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True)]
+        for ids, texts, langs in sliced(batches):
+            rows = [measure(text.as_py() or "", lang.as_py(), ruler, bands) for text, lang in zip(texts, langs, strict=True)]
             columns = list(zip(*rows, strict=True)) or [[]] * (len(names) - 1)
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0).cast(pa.int64()), *(pa.array(c, f.type) for c, f in zip(columns, pa_fields()[1:], strict=True))], names=names
-            )
+            yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), *(pa.array(c, f.type) for c, f in zip(columns, pa_fields()[1:], strict=True))], names=names)
 
     return docs.select("doc_id", "text", "lang").mapInArrow(judge, SCHEMA)
 
@@ -188,10 +180,11 @@ def measure(text: str, lang: str | None, ruler: Yardstick, bands: dict[str, Band
     tokens = ruler.words.gather(ids)
     per_token = chars / len(tokens) if len(tokens) else 0.0
     strange = set(text) - ruler.piece_chars
-    fallback = sum(text.count(c) * len(c.encode("utf-8", "surrogatepass")) for c in strange) / max(1, chars) if strange else 0.0
+    # Of the bytes of the words, those of characters that the vocabulary spells byte by byte.
+    fallback = sum(text.count(c) * len(c.encode("utf-8", "surrogatepass")) for c in strange) / max(1, sum(map(len, words))) if strange else 0.0
     bits, script = entropy(tokens), script_of(text)
     failed = n < 10 or 100 * repeats > 20 * n
     band = bands.get(lang) or bands.get(script) or bands["other"]
-    kept = not failed and within_band(band, len(tokens), per_token, min(1.0, fallback), bits)
+    kept = not failed and within_band(band, len(tokens), per_token, fallback, bits)
     symbols = sum(map(text.count, SYMBOLS))
-    return n, chars, symbols, duplicate_lines(text), repeats, failed, kept, script, len(tokens), per_token, min(1.0, fallback), bits
+    return n, chars, symbols, duplicate_lines(text), repeats, failed, kept, script, len(tokens), per_token, fallback, bits
