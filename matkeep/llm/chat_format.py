@@ -38,19 +38,21 @@ def default_tokens(text: Column) -> Column:
 
 def placed_turns(turns: DataFrame, budget: int, history: int, tokens=default_tokens) -> DataFrame:
     """One row for each turn: conv_id, idx (from 0), role, text, tokens, before (tokens of earlier turns), span."""
-    own = budget - history
-    half = max(1, own // 2)
     text, role = F.coalesce("text", F.lit("")), F.coalesce("role", F.lit(""))
     order = W.partitionBy("conv_id").orderBy(F.col("turn").asc_nulls_first(), "role", "text")
     rows = turns.select("conv_id", "turn", role.alias("role"), text.alias("text")).withColumn("tokens", tokens(F.col("text")))
     upto = order.rowsBetween(W.unboundedPreceding, 0)
     rows = rows.select("*", (F.row_number().over(order) - 1).alias("idx"), (F.sum("tokens").over(upto) - F.col("tokens")).alias("before"))
     place = W.partitionBy("conv_id").orderBy("idx")
+    # What a window has for turns of its own: the system turn and the history are charged to the budget.
+    system = F.coalesce(F.max(F.when((F.col("idx") == 0) & (F.col("role") == "system"), F.col("tokens"))).over(W.partitionBy("conv_id")), F.lit(0))
+    rows = rows.withColumn("_half", F.greatest(F.floor((F.lit(budget - history) - system) / 2), F.lit(1)))
+    half = F.col("_half")
     # Turns that start in the same half-budget interval share a span; a turn of more than half stands alone.
     interval, long_turn = F.floor(F.col("before") / half), F.col("tokens") > half
     starts = (F.lag(interval).over(place) != interval) | F.lag(long_turn).over(place) | long_turn
     rows = rows.withColumn("_starts", F.when(F.col("idx") == 0, 0).otherwise(F.coalesce(starts, F.lit(True)).cast("int")))
-    return rows.withColumn("span", F.sum("_starts").over(place.rowsBetween(W.unboundedPreceding, 0)).cast("long")).drop("_starts")
+    return rows.withColumn("span", F.sum("_starts").over(place.rowsBetween(W.unboundedPreceding, 0)).cast("long")).drop("_starts", "_half")
 
 
 def chat_windows(turns: DataFrame, budget: int = 1024, history: int = 256, tokens=default_tokens) -> DataFrame:
@@ -59,8 +61,9 @@ def chat_windows(turns: DataFrame, budget: int = 1024, history: int = 256, token
     ``segments`` lists the window's turns in order: idx, kind (system, history, new), start and length of the escaped
     text in code points of ``formatted``, and loss (true for a new assistant turn). A null text or role counts as
     empty. Turns go by number, ties by role, then text; repeated rows are turns of their own. A leading system turn is
-    repeated in every window. The own turns of a window take at most ``budget - history`` tokens unless one turn alone
-    takes more; the history takes at most ``history``; the system turn comes on top. A null conv_id is a conversation.
+    repeated in every window. System turn, history and own turns of a window take at most ``budget`` tokens together; only
+    where a single turn, or the system turn, takes more than that leaves does a window of that one turn exceed it, as turns are never cut. The history takes at
+    most ``history``. A null conv_id is a conversation.
     Columns other than conv_id, turn, role and text are ignored. An empty table gives no windows.
 
     A conversation's turns pass through one task as a sorted stream with spill; only a window, whose size the

@@ -61,21 +61,40 @@ def _glob_regex(glob: str) -> str:
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
+def _decoded_sql(value: str) -> str:
+    """Codes of unreserved characters resolved; the percent sign is none of them, so their order does not matter."""
+    for c in url_filter.UNRESERVED:
+        value = f"regexp_replace({value}, '%{ord(c):02X}', '{c}', 'gi')"
+    return value
+
+
 def _url_sql() -> str:
     rules = sorted(url_filter.SITE_RULES, key=lambda r: -len(r[1] + r[2]))
     fits = [f"('.' || host) LIKE '%.{h}' AND starts_with(path, '{p}')" for _, h, p in rules]
     hits = " + ".join(f"CAST(regexp_full_match(whole, '{_glob_regex(g)}', 's') AS BIGINT)" for g in url_filter.BLOCK_GLOBS)
     rule = " ".join(f"WHEN {c} THEN '{h}{p}'" for c, (_, h, p) in zip(fits, rules, strict=True))
     verdict = " ".join(f"WHEN {c} THEN '{v}'" for c, (v, _, _) in zip(fits, rules, strict=True))
+    ports = " ".join(f"WHEN scheme = '{s}' AND ends_with(h, ':{p}') THEN substr(h, 1, length(h) - {len(p) + 1})" for s, p in url_filter.PORTS)
     return f"""
     WITH bare AS (
-      SELECT page_id, CASE WHEN contains(url, '://') THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages
+      SELECT page_id, translate(substr(url, 1, greatest(strpos(url, '://') - 1, 0)), '{_UPPER}', '{_LOWER}') AS scheme, CASE WHEN contains(url, '://') THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages
     ), parts AS (
-      SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), '{_UPPER}', '{_LOWER}') AS host,
+      SELECT page_id, scheme, translate(regexp_extract(rest, '^[^/?#]*'), '{_UPPER}', '{_LOWER}') AS host,
              regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path,
              regexp_extract(rest, '^[^?#]*((?s:.*))$', 1) AS query
       FROM bare
-    ), joined AS (SELECT *, CASE WHEN host || path || query = '' THEN '' ELSE '.' || host || path || query END AS whole FROM parts),
+    ), decoded AS (
+      SELECT *, regexp_extract(host, '([^@]*)$', 1) AS h, string_split({_decoded_sql("path")}, '/') AS segments,
+             {_decoded_sql("regexp_extract(query, '^[^#]*')")} AS asked FROM parts
+    ), dotless AS (
+      SELECT *, CASE {ports} ELSE h END AS bare_host,
+        list_reduce(list_transform(segments, lambda x: [x]), lambda a, b: CASE WHEN b[1] = '.' THEN a
+          WHEN b[1] = '..' THEN a[:greatest(len(a) - 1, 1)] ELSE list_concat(a, b) END) AS kept
+      FROM decoded
+    ), joined AS (
+      SELECT *, CASE WHEN host || path || query = '' THEN '' ELSE '.' || bare_host || array_to_string(kept, '/')
+        || CASE WHEN segments[-1] IN ('.', '..') THEN '/' ELSE '' END || asked END AS whole FROM dotless
+    ),
     counted AS (SELECT *, {hits} AS n_globs FROM joined)
     SELECT page_id, host, path, CASE {rule} END AS rule,
            CASE {verdict} WHEN n_globs > 0 THEN 'block' ELSE 'allow' END AS verdict, CAST(n_globs AS BIGINT) AS n_globs
@@ -92,9 +111,11 @@ WITH turns AS (
   WINDOW o AS (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text)
 ), summed AS (
   SELECT *, CAST(sum(tokens) OVER (PARTITION BY conv_id ORDER BY idx) - tokens AS BIGINT) AS before FROM sized
+), halved AS (
+  SELECT *, greatest((768 - coalesce(max(tokens) FILTER (idx = 0 AND role = 'system') OVER (PARTITION BY conv_id), 0)) // 2, 1) AS half FROM summed
 ), marked AS (
-  SELECT *, CASE WHEN idx > 0 AND (before // 384 <> lag(before // 384) OVER c OR lag(tokens) OVER c > 384 OR tokens > 384) THEN 1 ELSE 0 END AS starts
-  FROM summed WINDOW c AS (PARTITION BY conv_id ORDER BY idx)
+  SELECT *, CASE WHEN idx > 0 AND (before // half <> lag(before // half) OVER c OR lag(tokens) OVER c > half OR tokens > half) THEN 1 ELSE 0 END AS starts
+  FROM halved WINDOW c AS (PARTITION BY conv_id ORDER BY idx)
 ), spanned AS (
   SELECT *, sum(starts) OVER (PARTITION BY conv_id ORDER BY idx) AS span FROM marked
 ), placed AS (

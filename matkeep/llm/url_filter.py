@@ -5,12 +5,13 @@ wildcard, plus, for a run wildcard, the bit before it loops on itself. Reading a
 active bits by one and masks them by the character's table (Shift-And), so one pass over a URL simulates all rules.
 A block of URLs is advanced together, character position by character position, in NumPy.
 
-Glob language, matched against the whole of ``.host/path?query``: ``*`` a run without ``/``, ``**`` any run,
+Glob language, matched against the whole of ``.host/path?query`` of the canonical address: ``*`` a run without ``/``, ``**`` any run,
 ``?`` one character other than ``/``. Matching is on UTF-8 bytes.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -147,6 +148,36 @@ def split_url(url: str | None) -> tuple[str, str, str]:
 
 
 _LOWER = {c: c + 32 for c in range(65, 91)}
+#: Ports that go without saying, and characters whose percent codes mean themselves.
+PORTS = (("http", "80"), ("https", "443"))
+UNRESERVED = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789-._~"
+_CODED = re.compile("%(" + "|".join(f"{ord(c):02X}" for c in UNRESERVED) + ")", re.IGNORECASE)
+
+
+def canonical(url: str | None) -> str:
+    """What globs match: ``host/path?query``.
+
+    Without user name, default port and fragment; percent codes of unreserved characters resolved in path and query,
+    and dot segments in the path. Empty for an address without ``://``.
+    """
+    host, path, rest = split_url(url)
+    if not (host or path or rest):
+        return ""
+    scheme = url.partition("://")[0].translate(_LOWER)
+    host = host.rpartition("@")[2]
+    for name, port in PORTS:
+        if scheme == name:
+            host = host.removesuffix(f":{port}")
+    decode = lambda x: _CODED.sub(lambda m: chr(int(m[1], 16)), x)
+    parts: list[str] = []
+    for segment in (segments := decode(path).split("/")):
+        if segment == "..":
+            del parts[max(1, len(parts) - 1) :]
+        elif segment != ".":
+            parts.append(segment)
+    if segments[-1] in (".", ".."):
+        parts.append("")
+    return host + "/".join(parts) + decode(rest.partition("#")[0])
 
 
 def judge_urls(pages: DataFrame, site_rules=SITE_RULES, block_globs=BLOCK_GLOBS) -> DataFrame:
@@ -154,27 +185,28 @@ def judge_urls(pages: DataFrame, site_rules=SITE_RULES, block_globs=BLOCK_GLOBS)
 
     A site rule fits its host and all subdomains where the path starts with the rule's path; the longest fitting rule
     wins and names the verdict. Otherwise a matching default glob blocks, else the page is allowed. A null url or one
-    without ``://`` has an empty host and path, fits nothing and is allowed. Only page_id and url are read.
+    without ``://`` has an empty host and path, fits nothing and is allowed. Globs are asked of the canonical address, host
+and path are those of the address as it stands. Only page_id and url are read.
     """
     longest = sorted(site_rules, key=lambda r: len(r[1] + r[2]), reverse=True)
-    # The same automaton holds the site rules, anchored at a label of the host, and the default globs.
-    globs = [f"**.{host}{path}**" for _, host, path in longest] + list(block_globs)
+    # Site rules are of the address as it stands, anchored at a label of the host; default globs of the canonical one.
+    globs = [f"**.{host}{path}**" for _, host, path in longest]
     names = [f"{host}{path}" for _, host, path in longest]
     verdicts = [v for v, _, _ in longest]
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        automaton = WildcardAutomaton(globs)
+        automaton, defaults = WildcardAutomaton(globs), WildcardAutomaton(list(block_globs))
         hosts_only = WildcardAutomaton([f"**.{host}" for _, host, _ in longest])
         for batch in batches:
             parts = [split_url(u) for u in batch.column(1).to_pylist()]
             # A rule's dot may also stand in the path, so its host part is asked of the host alone.
             at_host = hosts_only.matches([f".{h}".encode() for h, _, _ in parts])
-            hits = automaton.matches([f".{h}{p}{q}".encode() if h or p or q else b"" for h, p, q in parts])
-            n = len(longest)
+            at_path = automaton.matches([f".{h}{p}".encode() if h or p else b"" for h, p, _ in parts])
+            globbed = defaults.matches([f".{u}".encode() if u else b"" for u in map(canonical, batch.column(1).to_pylist())])
             rule, verdict, matched = [], [], []
             for row, (_, path, _) in enumerate(parts):
-                fits = [i for i in np.flatnonzero(hits[row, :n] & at_host[row]) if path.startswith(longest[i][2])]
-                found = [block_globs[i] for i in np.flatnonzero(hits[row, n:])]
+                fits = [i for i in np.flatnonzero(at_path[row] & at_host[row]) if path.startswith(longest[i][2])]
+                found = [block_globs[i] for i in np.flatnonzero(globbed[row])]
                 rule.append(names[fits[0]] if fits else None)
                 verdict.append(verdicts[fits[0]] if fits else "block" if found else "allow")
                 matched.append(found)
