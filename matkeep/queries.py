@@ -289,8 +289,9 @@ def catalogue() -> tuple[dict[str, Query], dict[str, str]]:
         add(f"counting_delete_class_{pred}", update_query(CLASS, pred, "counting", "delete"), oracles.facts_sql("class", pred, "less"))
     for name in ("cooc", "clique", "copy", "host"):
         body = Options(rederive_plan="body_first") if name in ("cooc", "clique") else Options()
-        add(f"odr_mixed_{name}", update_query(WORKLOADS[name], MAIN[name], "odr", "mixed", options=body), oracles.facts_sql(name, MAIN[name], "mixed"))
-        add(f"pbd_1c_insert_{name}", update_query(WORKLOADS[name], MAIN[name], "pbd_1c", "insert", options=body), oracles.facts_sql(name, MAIN[name], "all"))
+        for x in ("odr", "pbd", "pbd_1c"):
+            add(f"{x}_mixed_{name}", update_query(WORKLOADS[name], MAIN[name], x, "mixed", options=body), oracles.facts_sql(name, MAIN[name], "mixed"))
+            add(f"{x}_insert_{name}", update_query(WORKLOADS[name], MAIN[name], x, "insert", options=body), oracles.facts_sql(name, MAIN[name], "all"))
     add("counters_mutual", counters_query(MUTUAL, "seen"), oracles.counters_sql("mutual", "seen", "all"))
     for x in ("odr_2c", "pbd_1c"):
         add(f"{x}_mixed_mutual", update_query(MUTUAL, "seen", x, "mixed"), oracles.facts_sql("mutual", "seen", "mixed"))
