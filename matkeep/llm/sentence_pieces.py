@@ -39,6 +39,8 @@ RANK_SHIFT = 2.7
 #: Each byte spelled out scores this much less than the lowest piece.
 BYTE_PENALTY = 10.0
 
+#: Longer stretches are held in flat arrays.
+SHORT = 1_000
 #: Score of what no segmentation reaches.
 NEVER = -math.inf
 
@@ -119,6 +121,8 @@ class Segmenter:
         """One stretch as it stands in the text, its spaces included."""
         marked = stretch.replace(SPACE, HIDDEN).replace(" ", SPACE)
         n = len(marked)
+        if n <= SHORT and self.single.issuperset(marked):
+            return self._segment_short(marked, n)
         # Flat arrays: a stretch may be a whole long text.
         best, back, chosen = array("d", [0.0]) + array("d", [NEVER]) * n, array("i", [0]) * (n + 1), array("i", [-1]) * (n + 1)
         lone = [i for i, c in enumerate(marked) if c not in self.single]
@@ -143,6 +147,23 @@ class Segmenter:
             n -= back[n]
         return out[::-1]
 
+    def _segment_short(self, marked: str, n: int) -> list[int]:
+        """The same where each character is a piece, so nothing is spelled. The score up to a character stands at its
+        index, that of nothing at -1. The automaton names the longest piece first, so of equals the first stays."""
+        best, chosen = [NEVER] * n, [None] * n
+        best.append(0.0)
+        for end, found in self.automaton.iter(marked):
+            total = best[end - found[0]] + found[2]
+            if total > best[end]:
+                best[end], chosen[end] = total, found
+        out, at = [], n - 1
+        while at >= 0:
+            length, piece, _ = chosen[at]
+            out.append(piece)
+            at -= length
+        out.reverse()
+        return out
+
     def _spell(self, best: array, back: array, chosen: array, at: int, stretch: str) -> None:
         total = best[at] + self.byte_score * len(stretch[at].encode("utf-8", "surrogatepass"))
         if total > best[at + 1]:

@@ -25,6 +25,8 @@ from matkeep.llm import (
     url_filter,
 )
 
+from matkeep.llm.lookup import Lookup
+
 from . import brute
 
 DOC = "doc_id long, text string, lang string, source string, n_chars long, shard int, did string, n_words int, tok string"
@@ -484,3 +486,22 @@ def test_clashing_columns_and_empty_tables(spark, nasty, nothing):
     assert left.columns == clash.columns and left.count() == len(NASTY) - 1
     with pytest.raises(ValueError):
         phrase_index.phrase_windows(bench, 64)
+
+
+def test_a_full_lookup_keeps_words_met_again():
+    asked = []
+    words = Lookup(lambda w: asked.append(w) or [len(w)] * len(w), keep=10)
+    words.ids(["ab", "c"])
+    words.ids(["ab", *(f"n{i}" for i in range(12))])
+    got = words.gather(words.ids(["ab", "c", "xyz"])).tolist()
+    assert got == [2, 2, 1, 3, 3, 3]
+    assert asked.count("ab") == 1 and asked.count("c") == 2
+
+
+def test_short_stretches_are_segmented_as_long_ones(monkeypatch):
+    rng = random.Random(5)
+    segmenter = sentence_pieces.Segmenter(sentence_pieces.load_pieces())
+    texts = ["".join(rng.choices("abcdeilnorst éß.#日", k=rng.randint(1, 25))) for _ in range(400)]
+    short = [segmenter.segment(t) for t in texts]
+    monkeypatch.setattr(sentence_pieces, "SHORT", 0)
+    assert short == [segmenter.segment(t) for t in texts]
