@@ -1,13 +1,42 @@
-"""Connected components of a distributed edge list, by alternating star contractions."""
+"""Connected components of a distributed edge list, by alternating star contractions; short lists are joined in one task."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import cut
 
 
+#: Up to so many edges are joined by one task: each round of contractions is some ten stages more for the driver to plan.
+ONE_TASK = 300_000
+
+
+def smallest_reachable(u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct nodes, and the smallest node each of them reaches: labels are hooked to smaller ones and jump."""
+    nodes, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    a, b = at[: len(u)], at[len(u) :]
+    label = np.arange(len(nodes))
+    while True:
+        least, new = np.minimum(label[a], label[b]), label.copy()
+        np.minimum.at(new, label[a], least)
+        np.minimum.at(new, label[b], least)
+        new = new[new]
+        if np.array_equal(new, label):
+            return nodes, nodes[label]
+        label = new
+
+
+def _in_one_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    parts = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches]
+    u, v = (np.concatenate([np.zeros(0, dtype=np.int64), *(p[i] for p in parts)]) for i in (0, 1))
+    yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in smallest_reachable(u, v)], names=["node", "component"])
+
+
 def _large_star(edges: DataFrame) -> DataFrame:
     """Every larger neighbour of a node is tied to the smallest of the node and its neighbours."""
     both = edges.union(edges.select("v", "u"))
@@ -26,11 +55,13 @@ def _small_star(edges: DataFrame) -> DataFrame:
 def components(edges: DataFrame) -> DataFrame:
     """node, component (its smallest node) of every node with an edge; ``edges`` has two columns of numbers.
 
-    Minima are combined before the shuffle, so a node of many links costs no more than its links. Each round is
+    Up to ONE_TASK edges are joined in one task. Beyond, minima are combined before the shuffle, so a node of many links costs no more than its links. Each round is
     written to the shared folder; rounds are few (about the logarithm of the longest chain). Only counts come to the driver.
     """
     u, v = edges.columns
     now = cut(edges.select(F.col(u).cast("long").alias("u"), F.col(v).cast("long").alias("v")).where("u <> v").distinct(), "edges")
+    if now.count() <= ONE_TASK:
+        return cut(now.coalesce(1).mapInArrow(_in_one_task, "node long, component long"), "joined")
     seen = None
     while True:
         now = cut(_small_star(_large_star(now)), "stars")

@@ -185,6 +185,17 @@ def test_components(spark):
     assert got == {i: 1 for i in range(1, 21)} | {30: 30, 31: 30, 32: 30}
 
 
+def test_short_edge_lists_are_joined_in_few_jobs(spark, monkeypatch):
+    rng = random.Random(8)
+    edges = spark.createDataFrame([(rng.randrange(400), rng.randrange(400)) for _ in range(300)] + [(i, i + 1) for i in range(500, 600)], "a long, b long")
+    spark.sparkContext.setJobGroup("short-edges", "")
+    joined = components.components(edges)
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("short-edges")) <= 8
+    monkeypatch.setattr(components, "ONE_TASK", 0)
+    assert sorted(map(tuple, joined.collect())) == sorted(map(tuple, components.components(edges).collect()))
+
+
 def test_line_dedup(spark, nasty, nothing):
     rng = random.Random(3)
     lines = [prose(rng, n) for n in (2, 3, 4, 6, 11, 14)] + ["", "  "]
