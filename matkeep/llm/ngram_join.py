@@ -16,9 +16,9 @@ split by the shingles of the second order: a pair is listed where both orders na
 from __future__ import annotations
 
 import math
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
@@ -28,6 +28,7 @@ from pyspark.sql import functions as F
 
 from .components import components
 from .shared import cut, list_column, sliced, unused
+from .shingling import Slots, counted, distinct, lowered, mixed, shingles_of, sums, word_hashes
 
 WIDTH = 5
 #: Similarity in hundredths: linked if 100 * intersection >= SHARE * union.
@@ -48,98 +49,39 @@ SPREAD = 2_000
 #: A list with more rows is split by the shingles of the second order before its pairs are listed.
 LONG_LIST = 64
 
-_M1, _M2, _M3 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 
+class Shingler:
+    """Distinct 64-bit shingles of the texts of a slice, and how common their words are together."""
 
-def mixed(x: np.ndarray, salt: int = 0) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        x = x + _M3 * np.uint64(2 * salt + 1)
-        x = (x ^ (x >> np.uint64(30))) * _M1
-        x = (x ^ (x >> np.uint64(27))) * _M2
-        return x ^ (x >> np.uint64(31))
-
-
-class _WordTable(dict):
-    """Numbers words on first sight; hash and commonness of each stand in arrays."""
-
-    def __init__(self, rates: dict[bytes, int]):
-        import xxhash
-
-        super().__init__()
-        self.digest, self.rates = xxhash.xxh3_64_intdigest, rates
-        self.hashes, self.common = np.zeros(1 << 14, dtype=np.uint64), np.zeros(1 << 14, dtype=np.int64)
-
-    def __missing__(self, word: bytes) -> int:
-        n = self[word] = len(self)
-        if n == len(self.hashes):
-            self.hashes, self.common = np.resize(self.hashes, 2 * n), np.resize(self.common, 2 * n)
-        self.hashes[n], self.common[n] = self.digest(word), self.rates.get(word, 0)
-        return n
-
+    def __init__(self, rates: Slots | None = None, width: int = WIDTH):
+        self.rates, self.width = rates, width
 
-class Shingler:
-    """Distinct 64-bit shingles of texts; hashes of words are looked up, and how common the words are."""
-
-    def __init__(self, rates: dict[bytes, int] | None = None, width: int = WIDTH, keep: int = 250_000):
-        self.rates, self.width, self.keep = rates or {}, width, keep
-        self.table = _WordTable(self.rates)
-
-    def words(self, text: str | None) -> list[bytes]:
-        return (text or "").encode("utf-8", "surrogatepass").lower().split()
-
-    def shingles(self, words: list[bytes]) -> np.ndarray:
-        """Sorted and distinct; with fewer words than the width the whole sequence is one."""
-        return np.unique(self._all(words)[0])
-
-    def rated(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """Shingles, and for each the summed commonness of its words."""
-        every, ids = self._all(words)
-        found, first = np.unique(every, return_index=True)
-        upto = np.concatenate([[0], np.cumsum(self.table.common[ids])])
-        width = min(self.width, len(words))
-        return found, (upto[width:] - upto[: len(upto) - width])[first]
-
-    def _all(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        if len(self.table) > self.keep:
-            self.table = _WordTable(self.rates)
-        ids = np.fromiter(map(self.table.__getitem__, words), dtype=np.int64, count=len(words))
-        if not words:
-            return np.zeros(0, dtype=np.uint64), ids
-        h = self.table.hashes[ids]
-        width = min(self.width, len(words))
-        n = len(h) - width + 1
-        with np.errstate(over="ignore"):
-            out = h[:n] + np.uint64(width)
-            for i in range(1, width):
-                out = out * _M3 + h[i : n + i]
-        return mixed(out, 99), ids
+    def sets(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray | None, np.ndarray]:
+        """Shingles of all texts, bounds of each text's, rates of the shingles, and the hashes of all words."""
+        words, bounds = word_hashes(*lowered(texts))
+        found, bounds, rate = shingles_of(words, bounds, self.width, None if self.rates is None else self.rates.get(words))
+        keep, bounds = distinct(found, bounds)
+        if keep is not None:
+            found, rate = found[keep], None if rate is None else rate[keep]
+        return found, bounds, rate, words
 
 
 def prefix_length(size: int) -> int:
     return size - -(-SHARE * size // 100) + 1
 
 
-def first_of(shingles: np.ndarray, keys: np.ndarray) -> np.ndarray:
-    """The prefix, in order."""
-    p = prefix_length(len(shingles))
-    at = np.argpartition(keys, p - 1)[:p] if p < len(shingles) else np.arange(len(shingles))
-    return shingles[at[np.argsort(keys[at])]]
-
-
-def first_keys(shingles: np.ndarray, rates: np.ndarray, frequent: np.ndarray, ranks: np.ndarray) -> np.ndarray:
+def first_keys(shingles: np.ndarray, rates: np.ndarray, frequent: Slots) -> np.ndarray:
     """The first order: those of rare words first, ties by hash; then the frequent ones by how frequent they are."""
     keys = (np.minimum(rates, 1023).astype(np.uint64) << np.uint64(53)) | (mixed(shingles, 1) >> np.uint64(11))
-    if len(frequent) and len(shingles):
-        at = np.searchsorted(frequent, shingles)
-        at[at == len(frequent)] = 0
-        hot = frequent[at] == shingles
-        keys[hot] = np.uint64(1 << 63) + ranks[at[hot]]
+    ranks = frequent.get(shingles)
+    hot = np.flatnonzero(ranks)
+    keys[hot] = np.uint64(1 << 63) + ranks[hot].astype(np.uint64)
     return keys
 
 
-def set_hash(shingles: np.ndarray) -> tuple[int, int]:
-    """128 bits of a set."""
-    return tuple(int(mixed(shingles, salt).sum(dtype=np.uint64).view(np.int64)) for salt in (5, 6))
+def set_hashes(shingles: np.ndarray, bounds: np.ndarray) -> list[np.ndarray]:
+    """128 bits of each set, in two halves."""
+    return [sums(mixed(shingles, salt), bounds).view(np.int64) for salt in (5, 6)]
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -148,106 +90,115 @@ def _small(df: DataFrame) -> DataFrame:
 
 @dataclass(frozen=True)
 class FrequentParts:
-    """Frequent shingles, sorted, and their ranks; how common the common words are, in eighths of a doubling; and ``hot``,
-    a frame of one column, ``tok``, with the shingles whose lists may be too long for one task."""
+    """Frequent shingles and their ranks; hashes of the common words and how common these are, in eighths of a doubling; and
+    ``hot``, a frame of one column, ``tok``, with the shingles whose lists may be too long for one task."""
 
     shingles: np.ndarray
     ranks: np.ndarray
-    rates: dict[bytes, int]
+    words: np.ndarray
+    rates: np.ndarray
     hot: DataFrame
 
 
+class _Counts:
+    """Sums of how often values occur; what a stretch of input has once only is not counted."""
+
+    def __init__(self) -> None:
+        self.values, self.n = np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64)
+        self.parts, self.held = [], 0
+
+    def add(self, values: np.ndarray) -> None:
+        self.parts.append(values)
+        self.held += len(values)
+        if self.held > 2_000_000:
+            self.fold()
+
+    def fold(self) -> None:
+        values, n = counted(np.concatenate([*self.parts, np.zeros(0, dtype=np.uint64)]))
+        self.parts, self.held = [], 0
+        both, where = np.unique(np.concatenate([self.values, values]), return_inverse=True)
+        self.values, self.n = both, np.bincount(where.reshape(-1), np.concatenate([self.n, n]), len(both)).astype(np.int64)
+
+
 def frequent_parts(docs: DataFrame) -> FrequentParts:
     """Counted in each partition and summed where a partition has a shingle twice or a word sixteen times; equal texts of a
     partition count once. At most FREQUENT_KEPT shingles and COMMON_KEPT words come to the driver.
     """
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, seen, common = Shingler(), set(), Counter()
-        total_s, total_n = np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64)
-        parts, held = [], 0
-
-        def fold() -> None:
-            nonlocal total_s, total_n, parts, held
-            s, n = np.unique(np.concatenate([*parts, np.zeros(0, dtype=np.uint64)]), return_counts=True)
-            parts, held = [], 0
-            s, n = s[n > 1], n[n > 1]
-            both, where = np.unique(np.concatenate([total_s, s]), return_inverse=True)
-            total_s, total_n = both, np.bincount(where.reshape(-1), np.concatenate([total_n, n]), len(both)).astype(np.int64)
-
-        for batch in batches:
-            for value in batch.column(0):
-                text = value.as_py()
-                if not text or (h := hash(text)) in seen:
-                    continue
-                seen.add(h)
-                words = shingler.words(text)
-                common.update(words)
-                parts.append(shingler.shingles(words))
-                held += len(parts[-1])
-                if held > 2_000_000:
-                    fold()
-                if len(common) > 400_000:
-                    common = Counter({w: c for w, c in common.items() if c > 1})
-        fold()
-        kept = [(w, c) for w, c in common.items() if c >= 16]
+        shingler, seen = Shingler(), set()
+        sets, common = _Counts(), _Counts()
+        for _, texts in sliced(batches):
+            data, bounds = lowered(texts)
+            fresh = np.zeros(len(texts), dtype=bool)
+            for k, (lo, hi) in enumerate(pairwise(bounds.tolist())):
+                if hi > lo and (h := hash(data[lo:hi])) not in seen:
+                    seen.add(h)
+                    fresh[k] = True
+            found, _, _, words = shingler.sets(texts if fresh.all() else texts.filter(pa.array(fresh)))
+            sets.add(found)
+            common.add(words)
+        sets.fold()
+        common.fold()
+        often = common.n >= 16
+        kept = common.values[often]
         columns = [
-            pa.array([None] * len(total_s) + [w for w, _ in kept], pa.binary()),
-            pa.concat_arrays([pa.array(total_s.view(np.int64)), pa.array([0] * len(kept), pa.int64())]),
-            pa.array([*total_n.tolist(), *(c for _, c in kept)], pa.int64()),
+            pa.array(np.arange(len(sets.values) + len(kept)) >= len(sets.values)),
+            pa.array(np.concatenate([sets.values, kept]).view(np.int64)),
+            pa.array(np.concatenate([sets.n, common.n[often]])),
         ]
-        yield pa.RecordBatch.from_arrays(columns, names=["w", "s", "n"])
+        yield pa.RecordBatch.from_arrays(columns, names=["word", "s", "n"])
 
-    counted = docs.select("text").mapInArrow(count, "w binary, s long, n long").groupBy("w", "s").agg(F.sum("n").alias("n"))
-    counted = cut(counted, "frequencies")
-    shingles = counted.where("w IS NULL AND n > 2").orderBy(F.desc("n"), "s").limit(FREQUENT_KEPT).select("s", "n").toArrow()
-    words = counted.where("w IS NOT NULL").orderBy(F.desc("n"), "w").limit(COMMON_KEPT).select("w", "n").toArrow()
-    s, n = (shingles[c].to_numpy() if shingles.num_rows else np.zeros(0, dtype=np.int64) for c in ("s", "n"))
-    s, order = s.view(np.uint64), np.lexsort((s, -n))
-    ranks = np.empty(len(s), dtype=np.uint64)
-    ranks[order] = np.arange(len(s), 0, -1)  # the most frequent last
-    by_value = np.argsort(s)
-    rates = {w: int(8 * np.log2(c)) for w, c in zip(words["w"].to_pylist(), words["n"].to_pylist(), strict=True)}
-    return FrequentParts(s[by_value], ranks[by_value], rates, counted.where(f"w IS NULL AND n >= {HOT_LIST}").select(F.col("s").alias("tok")))
+    totals = docs.select("doc_id", "text").mapInArrow(count, "word boolean, s long, n long").groupBy("word", "s").agg(F.sum("n").alias("n"))
+    totals = cut(totals, "frequencies")
+    most = lambda part, kept: totals.where(part).orderBy(F.desc("n"), "s").limit(kept).select("s", "n").toArrow()
+    (s, n), (words, often) = ([t[c].to_numpy() if t.num_rows else np.zeros(0, dtype=np.int64) for c in ("s", "n")] for t in (most("NOT word AND n > 2", FREQUENT_KEPT), most("word", COMMON_KEPT)))
+    ranks = np.empty(len(s), dtype=np.int64)
+    ranks[np.lexsort((s.view(np.uint64), -n))] = np.arange(len(s), 0, -1)  # the most frequent last
+    rates = (8 * np.log2(np.maximum(often, 1))).astype(np.int64)
+    hot = totals.where(f"NOT word AND n >= {HOT_LIST}").select(F.col("s").alias("tok"))
+    return FrequentParts(s.view(np.uint64), ranks, words.view(np.uint64), rates, hot)
 
 
 def signatures(spark: SparkSession, docs: DataFrame, parts: FrequentParts) -> DataFrame:
     """doc_id, n_shingles, ha and hb (128 bits of the set), p1 and p2 (prefixes; p2 cut to 32 bits: values that became equal are allowed for in the counts)."""
-    sent = spark.sparkContext.broadcast((parts.shingles, parts.ranks, parts.rates))
+    sent = spark.sparkContext.broadcast((parts.shingles, parts.ranks, parts.words, parts.rates))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        frequent, ranks, rates = sent.value
-        shingler = Shingler(rates)
+        frequent, ranks, words, rates = sent.value
+        frequent, shingler = Slots(frequent, ranks), Shingler(Slots(words, rates))
         for ids, texts in sliced(batches):
-            n, hashes, p1, p2 = [], [], [], []
-            for text in texts:
-                s, rate = shingler.rated(shingler.words(text.as_py()))
-                n.append(len(s))
-                hashes.append(set_hash(s))
-                p1.append(first_of(s, first_keys(s, rate, frequent, ranks)).view(np.int64) if len(s) else s.view(np.int64))
-                p2.append((first_of(s, mixed(s, 2)) & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32) if len(s) else np.zeros(0, dtype=np.int32))
-            ha, hb = zip(*hashes, strict=True) if hashes else ((), ())
-            columns = [ids.cast(pa.int64()), *(pa.array(x, pa.int64()) for x in (n, ha, hb)), list_column(p1, pa.int64()), list_column(p2, pa.int32())]
-            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_shingles", "ha", "hb", "p1", "p2"])
+            s, bounds, rate, _ = shingler.sets(texts)
+            first, second = first_keys(s, rate, frequent), mixed(s, 2)
+            p1, p2 = [], []
+            for lo, hi in pairwise(bounds.tolist()):
+                p = prefix_length(hi - lo) if hi > lo else 0
+                keys, other = first[lo:hi], second[lo:hi]
+                at = np.argpartition(keys, p - 1)[:p] if p < hi - lo else np.arange(p)
+                p1.append(s[lo + at[np.argsort(keys[at])]])
+                other.sort()
+                p2.append(other[:p])
+            p1, p2 = list_column([x.view(np.int64) for x in p1], pa.int64()), list_column([x.astype(np.uint32).view(np.int32) for x in p2], pa.int32())
+            n = np.diff(bounds).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([ids.cast(pa.int64()), *map(pa.array, (n, *set_hashes(s, bounds))), p1, p2], names=["doc_id", "n_shingles", "ha", "hb", "p1", "p2"])
 
     return docs.select("doc_id", "text").mapInArrow(sign, "doc_id long, n_shingles long, ha long, hb long, p1 array<long>, p2 array<int>")
 
 
 def shingle_sets(docs: DataFrame) -> DataFrame:
-    """doc_id, ha, hb and the set itself of each row, one row at a time; a partition names a repeated row once."""
+    """doc_id, ha, hb and the set itself of each row; a partition names a repeated row once."""
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler, seen = Shingler(), set()
         for ids, texts in sliced(batches):
+            s, bounds, _, _ = shingler.sets(texts)
             rows = []
-            for d, text in zip(ids.to_pylist(), texts, strict=True):
-                s = shingler.shingles(shingler.words(text.as_py()))
-                key = d, *set_hash(s)
-                if key not in seen and len(s):
+            for lo, hi, *key in zip(*(x.tolist() for x in (bounds[:-1], bounds[1:])), ids.to_pylist(), *(h.tolist() for h in set_hashes(s, bounds)), strict=True):
+                if (key := tuple(key)) not in seen and hi > lo:
                     if len(seen) > 100_000:
                         seen.clear()
                     seen.add(key)
-                    rows.append((key, s))
+                    rows.append((key, np.sort(s[lo:hi])))
             lists = list_column([s.view(np.int64) for _, s in rows], pa.int64())
             yield pa.RecordBatch.from_arrays([*(pa.array([k[i] for k, _ in rows], pa.int64()) for i in range(3)), lists], names=["doc_id", "ha", "hb", "s"])
 

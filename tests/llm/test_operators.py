@@ -5,9 +5,11 @@ from __future__ import annotations
 import hashlib
 import random
 import re
+import time
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -21,6 +23,7 @@ from matkeep.llm import (
     phrase_index,
     quality_net,
     sentence_pieces,
+    shingling,
     toxicity_fm,
     url_filter,
 )
@@ -179,6 +182,60 @@ def test_leaders_and_listed_pairs_agree(spark, monkeypatch):
     assert {r["doc_id"]: r["component_id"] for r in ngram_join.similar_components(spark, docs_frame(spark, rows)).collect()} == want
 
 
+def test_words_and_shingles_of_a_slice_are_those_of_each_text(monkeypatch):
+    rng = random.Random(21)
+    bits = [" ", " ", "\n", "\t", "\x0b", "\x0c", "\r", "\x00", "\x1c", "\x85", "\xa0", "a", "A", "b", "é", "日", "z" * 8, "w" * 128, "w" * 129, "B" * 136]
+    texts = [None, "", " ", "x", *("".join(rng.choice(bits) for _ in range(rng.randrange(40))) for _ in range(600))]
+    for piece in (1 << 20, 7):
+        monkeypatch.setattr(shingling, "PIECE_BYTES", piece)
+        column = pa.array(["before", *texts]).slice(1)
+        found, bounds = shingling.word_hashes(*shingling.lowered(column))
+        sets, edges, _, _ = ngram_join.Shingler().sets(column)
+        known = {}
+        for k, text in enumerate(texts):
+            words = brute.words5(text)
+            assert len(words) == bounds[k + 1] - bounds[k]
+            assert all(known.setdefault(w, h) == h for w, h in zip(words, found[bounds[k] : bounds[k + 1]].tolist(), strict=True))
+            assert edges[k + 1] - edges[k] == len(brute.shingle_set(text)) == len(set(sets[edges[k] : edges[k + 1]].tolist()))
+        assert len(set(known.values())) == len(known) > 100
+
+
+def test_slots_find_what_shares_a_slot():
+    keys = np.array([1, 2, 3, 1 << 40, (1 << 64) - 1, (1 << 64) - 2, 0], dtype=np.uint64)
+    asked = np.array([5, 3, 0, (1 << 64) - 2, 1, (1 << 64) - 3, 1 << 40, (1 << 64) - 1], dtype=np.uint64)
+    assert shingling.Slots(keys, np.arange(1, 8)).get(asked).tolist() == [0, 3, 0, 6, 1, 0, 4, 5]
+    assert shingling.Slots(keys[:0], np.arange(0)).get(asked).tolist() == [0] * 8
+
+
+class _Handed:
+    """Stands for a frame: what is mapped over it is kept, to be called here."""
+
+    def select(self, *columns):
+        return self
+
+    def mapInArrow(self, function, schema):  # noqa: N802
+        return function
+
+
+def test_signing_takes_little_more_time_than_splitting(spark):
+    """In CPU seconds of this process, so that no other work counts; the least of three."""
+    rng = random.Random(22)
+    words = [f"{rng.choice(WORDS)}{rng.choice(WORDS)}{i}" for i in range(60_000)]
+    texts = [" ".join(rng.choices(words, k=300)) for _ in range(1500)]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(texts))), pa.array(texts)], names=["doc_id", "text"])
+    sign = ngram_join.signatures(spark, _Handed(), ngram_join.frequent_parts(docs_frame(spark, [(i, x, "en") for i, x in enumerate(texts[:50])])))
+
+    def least(call):
+        took = []
+        for _ in range(3):
+            began = time.process_time()
+            call()
+            took.append(time.process_time() - began)
+        return min(took)
+
+    assert least(lambda: list(sign(iter([batch])))) < 5 * least(lambda: [x.encode().lower().split() for x in texts])
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(1, 20)] + [(30, 31), (31, 32), (40, 40), (7, 3)]
     got = {r["node"]: r["component"] for r in components.components(spark.createDataFrame(edges, "a long, b long")).collect()}
